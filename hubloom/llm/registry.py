@@ -8,7 +8,10 @@ from pyspark.sql import functions as F
 
 from hubloom.llm.bpe import bpe_documents
 from hubloom.llm.common import sha256_hex, table, texts
+from hubloom.llm.simhash import simhash_components
+from hubloom.llm.syncmers import syncmer_fingerprints
 from hubloom.llm.token_counts import token_counts
+from hubloom.llm.warc import archive_and_read
 
 
 def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -17,13 +20,30 @@ def op1_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return coded.select("doc_id", "n_tokens", sha256_hex(F.col("ids")).alias("ids_sha256"), sha256_hex(F.col("decoded")).alias("decoded_sha256"))
 
 
+def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    read = archive_and_read(table(spark, sf_dir, "pages"))
+    return read.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    grouped = simhash_components(texts(table(spark, sf_dir, "documents")), shingle=4, lanes=1, radius=4)
+    return grouped.select("doc_id", F.lower(F.hex("fp")).alias("fingerprint"), "component_id")
+
+
 def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(texts(table(spark, sf_dir, "documents")), public_tokenizers.path("word_bpe_49k.json"), limit=2048)
 
 
+def op9_syncmers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return syncmer_fingerprints(texts(table(spark, sf_dir, "documents")))
+
+
 QUERIES = {
     "op1_byte_bpe": op1_byte_bpe,
+    "op2_warc": op2_warc,
+    "op6_simhash": op6_simhash,
     "op7_token_counts": op7_token_counts,
+    "op9_syncmers": op9_syncmers,
 }
 
 SQL: dict[str, str] = {}
