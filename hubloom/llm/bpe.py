@@ -23,6 +23,7 @@ from functools import lru_cache
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -32,9 +33,11 @@ INF = np.int64(1) << 62
 #: Pre-tokens up to this many bytes run in lock-step.
 LOCKSTEP_BYTES = 64
 #: Entries of a worker's pre-token cache; it is emptied when full.
-CACHE_ENTRIES = 600_000
+CACHE_ENTRIES = 200_000
 #: Characters cut into pre-tokens at a time, which bounds a worker's memory.
-CHUNK_CHARS = 1 << 20
+CHUNK_CHARS = 1 << 19
+#: Rows encoded between two batches that a worker hands on.
+SLICE_ROWS = 256
 
 
 class Ranks:
@@ -268,21 +271,42 @@ def encode_column(text: Column, path: str, pattern: str) -> Column:
     return encode(text)
 
 
+def decode_ids(ranks: Ranks, packed: bytes) -> bytes:
+    vocab = ranks.vocab
+    return b"".join([vocab[i] for i in np.frombuffer(packed, dtype="<u4").tolist()])
+
+
 def decode_column(ids: Column, path: str) -> Column:
     """The bytes that packed ids stand for."""
 
     @pandas_udf("binary")
     def decode(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        vocab = load_ranks(path).vocab
+        ranks = load_ranks(path)
         for s in batches:
-            yield pd.Series([b"".join([vocab[i] for i in np.frombuffer(b or b"", dtype="<u4").tolist()]) for b in s], dtype=object)
+            yield pd.Series([decode_ids(ranks, b or b"") for b in s], dtype=object)
 
     return decode(ids)
 
 
 def bpe_documents(docs: DataFrame, path: str, pattern: str) -> DataFrame:
-    """``(doc_id, n_tokens, ids binary, decoded binary)`` for ``docs(doc_id, text)``."""
-    coded = docs.select("doc_id", encode_column(F.col("text"), path, pattern).alias("ids"))
-    return coded.select(
-        "doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), "ids", decode_column(F.col("ids"), path).alias("decoded")
-    )
+    """``(doc_id, n_tokens, ids binary, decoded binary)`` for ``docs(doc_id, text)``.
+
+    One worker encodes and decodes, a few rows at a time, so that a task holds
+    one rank table and no more than a slice of its Arrow batch in Python.
+    """
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder = _encoder(path, pattern)
+        for batch in batches:
+            for lo in range(0, batch.num_rows, SLICE_ROWS):
+                part = batch.slice(lo, SLICE_ROWS)
+                ids = encoder.encode([t or "" for t in part.column("text").to_pylist()])
+                columns = {
+                    "doc_id": part.column("doc_id"),
+                    "n_tokens": pa.array([len(b) // 4 for b in ids], pa.int64()),
+                    "ids": pa.array(ids, pa.binary()),
+                    "decoded": pa.array([decode_ids(encoder.ranks, b) for b in ids], pa.binary()),
+                }
+                yield pa.RecordBatch.from_pydict(columns)
+
+    return docs.select("doc_id", "text").mapInArrow(work, "doc_id long, n_tokens long, ids binary, decoded binary")
