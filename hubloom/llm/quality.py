@@ -35,7 +35,8 @@ from pyspark.sql import functions as F
 from hubloom.llm.common import saved
 
 #: Hash buckets of the n-gram models.
-BUCKETS = 1 << 18
+BUCKETS = 1 << 19
+HALF = BUCKETS // 2
 #: Weight, in expected counts, of the prior that pulls a rare bucket to ratio one.
 PRIOR = 2.0
 #: Log ratios below this are evidence against the target.
@@ -67,7 +68,10 @@ def ngram_buckets(text: str) -> tuple[np.ndarray, int]:
     with np.errstate(over="ignore"):
         pairs = (h[:-1] * np.uint64(0x9E3779B97F4A7C15)) ^ (h[1:] + np.uint64(0x632BE59BD9B4E019))
         both = np.concatenate([h, pairs * np.uint64(0xD6E8FEB86659FD93)]) if len(h) > 1 else h
-    return (both >> np.uint64(64 - BUCKETS.bit_length() + 1)).astype(np.int64), len(h)
+    # Words and pairs have a half of the buckets each, so that rare pairs don't blur telling words.
+    buckets = (both >> np.uint64(64 - HALF.bit_length() + 1)).astype(np.int64)
+    buckets[len(h) :] += HALF
+    return buckets, len(h)
 
 
 def bucket_counts(rows: DataFrame, target_ids: Broadcast) -> tuple[np.ndarray, np.ndarray]:

@@ -8,6 +8,9 @@ from pyspark.sql import functions as F
 
 from hubloom.llm.bpe import bpe_documents
 from hubloom.llm.common import sha256_hex, table, texts
+from hubloom.llm.decontamination import contaminated
+from hubloom.llm.line_templates import drop_recurring_lines
+from hubloom.llm.quality import resample
 from hubloom.llm.simhash import simhash_components
 from hubloom.llm.syncmers import syncmer_fingerprints
 from hubloom.llm.token_counts import token_counts
@@ -25,6 +28,12 @@ def op2_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The documents that importance resampling keeps."""
+    kept = resample(texts(table(spark, sf_dir, "documents")), table(spark, sf_dir, "labels"))
+    return kept.select("doc_id", F.lit(True).alias("kept"), "log_ratio", "log_weight", F.col("key").alias("gumbel_key"))
+
+
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     grouped = simhash_components(texts(table(spark, sf_dir, "documents")), shingle=4, lanes=1, radius=4)
     return grouped.select("doc_id", F.lower(F.hex("fp")).alias("fingerprint"), "component_id")
@@ -34,6 +43,15 @@ def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(texts(table(spark, sf_dir, "documents")), public_tokenizers.path("word_bpe_49k.json"), limit=2048)
 
 
+def op8_line_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return drop_recurring_lines(texts(table(spark, sf_dir, "documents"))).select("doc_id", "n_lines", "n_dropped", "text")
+
+
+def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    items = table(spark, sf_dir, "benchmark").select(F.col("item_id").cast("long").alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
+    return contaminated(texts(table(spark, sf_dir, "documents")), items)
+
+
 def op9_syncmers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return syncmer_fingerprints(texts(table(spark, sf_dir, "documents")))
 
@@ -41,9 +59,12 @@ def op9_syncmers(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op1_byte_bpe": op1_byte_bpe,
     "op2_warc": op2_warc,
+    "op3_quality": op3_quality,
     "op6_simhash": op6_simhash,
     "op7_token_counts": op7_token_counts,
+    "op8_line_templates": op8_line_templates,
     "op9_syncmers": op9_syncmers,
+    "op10_decontamination": op10_decontamination,
 }
 
 SQL: dict[str, str] = {}
