@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from hubloom.llm.bpe import bpe_documents
 from hubloom.llm.common import sha256_hex, table, texts
 from hubloom.llm.decontamination import contaminated
+from hubloom.llm.katz import katz_scores
 from hubloom.llm.line_templates import drop_recurring_lines
 from hubloom.llm.quality import resample
 from hubloom.llm.simhash import simhash_components
@@ -34,6 +35,10 @@ def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kept.select("doc_id", F.lit(True).alias("kept"), "log_ratio", "log_weight", F.col("key").alias("gumbel_key"))
 
 
+def op5_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return katz_scores(texts(table(spark, sf_dir, "documents")))
+
+
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     grouped = simhash_components(texts(table(spark, sf_dir, "documents")), shingle=4, lanes=1, radius=4)
     return grouped.select("doc_id", F.lower(F.hex("fp")).alias("fingerprint"), "component_id")
@@ -60,6 +65,7 @@ QUERIES = {
     "op1_byte_bpe": op1_byte_bpe,
     "op2_warc": op2_warc,
     "op3_quality": op3_quality,
+    "op5_katz": op5_katz,
     "op6_simhash": op6_simhash,
     "op7_token_counts": op7_token_counts,
     "op8_line_templates": op8_line_templates,
