@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 import uuid
@@ -78,6 +79,12 @@ def saved(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release_shuffles(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of finished steps: their owners are garbage once their result is saved."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def sha256_hex(col: Column) -> Column:
     return F.sha2(col, 256)
 

@@ -12,6 +12,7 @@ from hubloom.llm.decontamination import contaminated
 from hubloom.llm.katz import katz_scores
 from hubloom.llm.line_templates import drop_recurring_lines
 from hubloom.llm.quality import resample
+from hubloom.llm.runindex import remove_repeats
 from hubloom.llm.simhash import simhash_components
 from hubloom.llm.syncmers import syncmer_fingerprints
 from hubloom.llm.token_counts import token_counts
@@ -35,6 +36,11 @@ def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kept.select("doc_id", F.lit(True).alias("kept"), "log_ratio", "log_weight", F.col("key").alias("gumbel_key"))
 
 
+def op4_run_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cut = remove_repeats(texts(table(spark, sf_dir, "documents")), length=50)
+    return cut.select("doc_id", "n_bytes", "n_removed", "n_spans", sha256_hex(F.col("kept")).alias("kept_sha256"))
+
+
 def op5_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
     return katz_scores(texts(table(spark, sf_dir, "documents")))
 
@@ -65,6 +71,7 @@ QUERIES = {
     "op1_byte_bpe": op1_byte_bpe,
     "op2_warc": op2_warc,
     "op3_quality": op3_quality,
+    "op4_run_index": op4_run_index,
     "op5_katz": op5_katz,
     "op6_simhash": op6_simhash,
     "op7_token_counts": op7_token_counts,
