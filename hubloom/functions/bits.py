@@ -50,14 +50,16 @@ def has_hub(side: str, hub: int) -> Column:
     return F.shiftright(F.col(f"{side}{hub // WORD}"), hub % WORD).bitwiseAND(F.lit(1)) == 1
 
 
+def _members_of_word(side: str, w: int, n: int) -> Column:
+    word = F.col(f"{side}{w}")
+    numbers = F.array(*[F.lit(i) for i in range(n)]) if n > 0 else F.array().cast("array<int>")
+    found = F.filter(numbers, lambda i: F.call_function("shiftright", word, i).bitwiseAND(F.lit(1).cast("long")) == 1)
+    return F.transform(found, lambda i: i + WORD * w) if w else found
+
+
 def members(side: str, k: int) -> Column:
     """The hub numbers of a set, ascending."""
-    parts = []
-    for w in range(n_words(k)):
-        inside = F.array(*[F.lit(i) for i in range(min(WORD, k - WORD * w))]) if k else F.array().cast("array<int>")
-        word = F.col(f"{side}{w}")
-        found = F.filter(inside, lambda i, word=word: F.expr("1") == F.call_function("shiftright", word, i).bitwiseAND(F.lit(1)))
-        parts.append(F.transform(found, lambda i, w=w: i + WORD * w))
+    parts = [_members_of_word(side, w, min(WORD, k - WORD * w)) for w in range(n_words(k))]
     return parts[0] if len(parts) == 1 else F.concat(*parts)
 
 

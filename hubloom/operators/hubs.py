@@ -88,7 +88,8 @@ def all_distances(graph: PropertyGraph, batch: int = 63) -> DataFrame:
     for lo in range(0, len(vids), batch):
         part = vids[lo : lo + batch]
         found = arrivals(graph, part, directions=(0,))
-        rows = found.select(F.element_at(F.array(*map(F.lit, part)), F.explode(members("b", len(part))) + 1).alias("src"), F.col("vid").alias("tgt"), F.col("round").alias("d"))
+        each = found.select(F.explode(members("b", len(part))).alias("i"), "vid", "round")
+        rows = each.select(F.element_at(F.array(*map(F.lit, part)), F.col("i") + 1).alias("src"), F.col("vid").alias("tgt"), F.col("round").alias("d"))
         out = rows if out is None else out.unionAll(rows)
     return saved(out, "apsp")
 

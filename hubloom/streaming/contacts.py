@@ -14,9 +14,15 @@ def event_stream(spark: SparkSession, path: str, schema_of: DataFrame, files_per
     return spark.readStream.schema(schema_of.schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
 
 
+def _timed(events: DataFrame, watermark: str | None) -> DataFrame:
+    """Event times as instants, with a watermark where the input is a stream."""
+    timed = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    return timed.withWatermark("ts", watermark) if events.isStreaming and watermark else timed
+
+
 def contact_windows(events: DataFrame, window: str = "1 hour", slide: str | None = None, watermark: str | None = "2 hours") -> DataFrame:
     """Events and distinct-kind counts of each user and kind by time window; works on streams and tables alike."""
-    timed = events.withWatermark("ts", watermark) if events.isStreaming and watermark else events
+    timed = _timed(events, watermark)
     span = F.window("ts", window, slide) if slide else F.window("ts", window)
     return timed.groupBy(span.alias("w"), "user_id", "event_type").agg(F.count("*").alias("n")).select(
         F.unix_micros("w.start").alias("window_start"), "user_id", "event_type", "n"
@@ -24,7 +30,7 @@ def contact_windows(events: DataFrame, window: str = "1 hour", slide: str | None
 
 
 def session_windows(events: DataFrame, gap: str = "30 minutes", watermark: str | None = "2 hours") -> DataFrame:
-    timed = events.withWatermark("ts", watermark) if events.isStreaming and watermark else events
+    timed = _timed(events, watermark)
     return timed.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select(F.unix_micros("w.start").alias("window_start"), "user_id", "n")
 
 
