@@ -33,6 +33,9 @@ def arrivals(graph: PropertyGraph, hubs: list[int], max_rounds: int | None = Non
     shape = "dir int, vid long, round int, " + ", ".join(f"{b} long" for b in names("b", n))
     if not hubs:
         return spark.createDataFrame([], shape)
+    if arcs.isEmpty():  # every hub reaches itself
+        own = [(d, v, 0, *words_of(sum(1 << i for i, h in enumerate(hubs) if h == v), n)) for d in directions for v in sorted(set(hubs))]
+        return spark.createDataFrame(own, shape)
     if local_edges and arcs.limit(local_edges + 1).count() <= local_edges:
 
         def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
