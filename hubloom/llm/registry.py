@@ -80,4 +80,40 @@ QUERIES = {
     "op10_decontamination": op10_decontamination,
 }
 
-SQL: dict[str, str] = {}
+OP2_SQL = """
+WITH p AS (SELECT page_id, COALESCE(html, '') AS h, sha1(COALESCE(html, '')) AS hx FROM pages),
+d AS (SELECT page_id, CAST(strlen(h) AS BIGINT) AS payload_bytes,
+             array_to_string(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+               1 + CAST((CAST('0x' || substr(hx, 1 + 5 * CAST(i // 4 AS INTEGER), 5) AS BIGINT) >> CAST(15 - 5 * (i % 4) AS INTEGER)) & 31 AS INTEGER), 1)), '') AS payload_digest
+      FROM p)
+SELECT page_id, payload_bytes, payload_digest, CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END AS record_type,
+       CASE WHEN page_id = first THEN NULL ELSE first END AS refers_to
+FROM (SELECT *, MIN(page_id) OVER (PARTITION BY payload_digest) AS first FROM d)
+"""
+
+OP8_SQL = """
+WITH raw AS (SELECT doc_id, COALESCE(text, '') AS text, string_split(COALESCE(text, ''), chr(10)) AS ls FROM documents),
+lines AS (SELECT doc_id, UNNEST(ls) AS line, generate_subscripts(ls, 1) AS pos FROM raw),
+cut AS (SELECT doc_id, pos, list_transform(list_filter(regexp_split_to_array(line, '[ \\t\\r\\f\\v]+'), lambda w: w <> ''),
+               lambda w: CASE WHEN regexp_matches(w, '[0-9]') THEN '<*>' ELSE w END) AS tokens FROM lines),
+sigs AS (SELECT doc_id, pos, tokens, len(tokens) AS n, list_concat([CAST(len(tokens) AS VARCHAR)], tokens[1:3]) AS leaf FROM cut WHERE len(tokens) >= 4),
+counted AS (SELECT leaf, tokens, COUNT(DISTINCT doc_id) AS docs, COUNT(*) AS w FROM sigs GROUP BY 1, 2),
+busy AS (SELECT leaf FROM counted GROUP BY leaf HAVING SUM(docs) >= 10 AND COUNT(*) > 1),
+variants AS (SELECT leaf, tokens, w FROM counted WHERE leaf IN (SELECT leaf FROM busy)),
+fields AS (SELECT leaf, w, UNNEST(tokens) AS token, generate_subscripts(tokens, 1) AS place FROM variants),
+votes AS (SELECT leaf, place, token, SUM(w) AS w FROM fields GROUP BY 1, 2, 3),
+tops AS (SELECT leaf, place, token, w, SUM(w) OVER (PARTITION BY leaf, place) AS total, ROW_NUMBER() OVER (PARTITION BY leaf, place ORDER BY w DESC, token DESC) AS rn FROM votes),
+shape AS (SELECT leaf, list(CASE WHEN w >= 0.6 * total THEN token END ORDER BY place) AS shape FROM tops WHERE rn = 1 GROUP BY leaf),
+agreed AS (SELECT v.leaf, v.tokens FROM variants v JOIN shape s USING (leaf)
+           WHERE len(list_filter(range(1, len(v.tokens) + 1), lambda i: v.tokens[i] = s.shape[i])) >= 0.75 * len(v.tokens)),
+named AS (SELECT g.doc_id, g.pos, CASE WHEN a.leaf IS NULL THEN list_concat(['line'], g.tokens) ELSE list_concat(['leaf'], g.leaf) END AS template
+          FROM sigs g LEFT JOIN agreed a ON a.leaf = g.leaf AND a.tokens = g.tokens),
+often AS (SELECT template, MIN((doc_id, pos)) AS first FROM named GROUP BY template HAVING COUNT(DISTINCT doc_id) >= 10),
+gone AS (SELECT DISTINCT n.doc_id, n.pos FROM named n JOIN often o USING (template) WHERE (n.doc_id, n.pos) <> o.first)
+SELECT r.doc_id, CAST(len(r.ls) AS BIGINT) AS n_lines, COUNT(g.pos) AS n_dropped,
+       COALESCE(string_agg(l.line, chr(10) ORDER BY l.pos) FILTER (WHERE g.pos IS NULL), '') AS text
+FROM raw r JOIN lines l USING (doc_id) LEFT JOIN gone g ON g.doc_id = l.doc_id AND g.pos = l.pos GROUP BY r.doc_id, r.ls
+"""
+
+#: Tokenizers, XXH64, regular expressions that look behind, and fitted models are beyond SQL; tests hold those queries against brute force.
+SQL: dict[str, str] = {"op2_warc": OP2_SQL, "op8_line_templates": OP8_SQL}
