@@ -24,6 +24,8 @@ DRIVER_TAGS = 200_000
 PER_PAIR_LIMIT = 100
 #: Rows of a plan that are broadcast (a unit number and a few words each).
 PLAN_ROWS = 1_000_000
+#: Vertices whose groups (an id and a few values) may be broadcast.
+BROADCAST_VERTICES = 1_000_000
 
 
 def _live(tagged: DataFrame, k: int) -> DataFrame:
@@ -206,7 +208,17 @@ def aggregate_membership(members_of: DataFrame, elements: DataFrame, key: str, d
     return each.groupBy("p.x", "p.y", *dims).agg(*merging(aggs)).select("x", "y", *dims, *finishing(aggs))
 
 
-def lift_edges(edges: DataFrame, vertices: DataFrame, dims: list[str]) -> DataFrame:
-    """Edges with the group values of both ends (``src_<dim>``, ``tgt_<dim>``)."""
-    at = lambda end: vertices.select(F.col("vid").alias(end), *[F.col(d).alias(f"{end}_{d}") for d in dims])
+def lift_edges(edges: DataFrame, vertices: DataFrame, dims: list[str], access: str = "join") -> DataFrame:
+    """Edges with the group values of both ends (``src_<dim>``, ``tgt_<dim>``).
+
+    ``access="join"`` leaves the joins to the optimizer (and to bucketing, where
+    both tables are bucketed by id); ``broadcast`` sends the vertex groups to all
+    tasks, where they are few enough.
+    """
+    if access not in ("join", "broadcast"):
+        raise ValueError(f"unknown access: {access}")
+    if access == "broadcast" and vertices.limit(BROADCAST_VERTICES + 1).count() > BROADCAST_VERTICES:
+        raise ValueError("too many vertices to broadcast their groups")
+    hint = F.broadcast if access == "broadcast" else (lambda d: d)
+    at = lambda end: hint(vertices.select(F.col("vid").alias(end), *[F.col(d).alias(f"{end}_{d}") for d in dims]))
     return edges.join(at("src"), "src").join(at("tgt"), "tgt")

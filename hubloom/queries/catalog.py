@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from hubloom.functions.aggregates import Agg
 from hubloom.functions.bits import cardinality
-from hubloom.operators import cycles, reach_index, structure
+from hubloom.operators import cycles, measures, reach_index, structure
 from hubloom.operators import hubs as hub_ops
 from hubloom.operators import scope as scope_ops
 from hubloom.operators.graph import PropertyGraph, group_cardinality
@@ -21,6 +21,7 @@ from hubloom.plans.sharing import add_operations, plan_sharing
 from hubloom.plans.text import parse_query
 from hubloom.queries import sql as S
 from hubloom.sources import graphs
+from hubloom.sources.generator import register
 from hubloom.sources.tables import read_table
 from hubloom.streaming.contacts import as_of, contact_windows
 
@@ -424,6 +425,37 @@ def _plan(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([("tags", len(plan.groups)), ("clusters", len(plan.clusters)), *[(f"units_{k}", n) for k, n in sorted(rows.items())]], "what string, n long")
 
 
+PIVOT_SQL = S.sql(
+    NEAR, S.closeness_all(40),
+    " h AS (SELECT CAST(ROW_NUMBER() OVER (ORDER BY md5(vid::VARCHAR), vid) - 1 AS INTEGER) AS i, vid FROM v ORDER BY md5(vid::VARCHAR), vid LIMIT 16)",
+    S.reach_hops(40), " piv AS (SELECT vid, ROUND(COUNT(*) / SUM(d), 9) AS closeness FROM bwd WHERE d > 0 GROUP BY vid)",
+    final="SELECT COUNT(*) AS n, ROUND(AVG(abs(p.closeness - c.closeness) / c.closeness), 6) AS mean_error, ROUND(MAX(abs(p.closeness - c.closeness) / c.closeness), 6) AS max_error FROM close c JOIN piv p USING (vid) WHERE c.closeness > 0",
+)
+query("accuracy_pivots", PIVOT_SQL)(lambda s, d: measures.relative_error(hub_ops.closeness(near(s, d)), hub_ops.pivot_closeness(near(s, d), 16), "vid", "closeness"))
+query(
+    "tau_group_values",
+    S.sql(*V_MEM, " g AS (SELECT x, y, v_grp, CAST(SUM(v_mr) AS BIGINT) AS t FROM mem JOIN v USING (vid) GROUP BY 1, 2, 3)", final="SELECT x, y, string_agg(v_grp || '=' || t, ',' ORDER BY v_grp) AS groups FROM g GROUP BY 1, 2"),
+)(
+    lambda s, d: q.group_values(_v_agg(s, d, [Agg("sum", "v_mr", "t")], ["v_grp"]), ["v_grp"], ["t"], "groups").select(
+        "x", "y", F.array_join(F.transform("groups", lambda g: F.concat(g["v_grp"].cast("string"), F.lit("="), g["t"].cast("string"))), ",").alias("groups")
+    )
+)
+
+
+@query("agg_edge_broadcast_access", E_SUM)
+def _broadcast_access(s: SparkSession, d: str) -> DataFrame:
+    g, hubs, tags = _flow_tags(s, d)
+    lifted = PropertyGraph(g.vertices, lift_edges(g.edges, g.vertices, ["v_grp"], access="broadcast"))
+    return aggregate_pairs(tag_edges(lifted, tags, len(hubs)), hubs, ["src_v_grp", "e_grp", "tgt_v_grp"], [Agg("sum", "e_mr")])
+
+
+@query("source_generator", S.sql(S.synthetic(500, 4), final="SELECT src, tgt, e_mr FROM e"))
+def _generated(s: SparkSession, d: str) -> DataFrame:
+    register(s)
+    drawn = s.read.format("hubloom_dag").option("n", "500").option("degree", "4").load()
+    return drawn.groupBy("src", "tgt").agg(F.sum(F.col("number") % 100).alias("e_mr"))
+
+
 # -- whole queries, zooming, presentation ------------------------------------------------------------------
 @query("hsg_performance_vertices", V_SUM)
 def _performance(s: SparkSession, d: str) -> DataFrame:
