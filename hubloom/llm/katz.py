@@ -43,6 +43,7 @@ LARGEST = 5
 BATCH_BYTES = 6 << 20
 #: Corpus bytes a partition of the count tables serves.
 PARTITION_BYTES = 16 << 20
+RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
 def _pack(*arrays: np.ndarray) -> bytes:
@@ -222,7 +223,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         .collect()
     }
     if not totals:
-        return spark.createDataFrame([], "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+        return spark.createDataFrame([], RESULT)
     stats = {k: np.array([r[f"s{i}"] for i in range(LARGEST + 4)], dtype=float) for k, r in totals.items()}
     types, tokens = stats[0][0], stats[0][1]
     d1, d2 = discounts(stats[0][2:]), discounts(stats[1][2:])
@@ -306,22 +307,26 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         count = np.zeros(len(words))
         count[of] = np.concatenate([r[1] for r in rows])
         alpha = (1 - taken / (count + 1)) / np.maximum(1 - mass, 1e-12)
-        batches, docs_at, logs = [], [], []
+        out = []
         for batch, r in zip(pdf["batch"], rows, strict=True):
             if len(r[4]):
                 each = np.log10(alpha[np.searchsorted(words, r[4])]) * r[6]
                 at, where = np.unique(r[5], return_inverse=True)
-                batches.append(np.full(len(at), batch)), docs_at.append(at), logs.append(np.bincount(where, weights=each))
-        none = [np.zeros(0)]
-        return pd.DataFrame(
-            {"batch": np.concatenate(batches or none).astype("int64"), "at": np.concatenate(docs_at or none).astype("int64"), "wait": np.concatenate(logs or none)}
-        )
-
-    waits = (
-        settled.where("kind = 1").select("slot", "batch", "blob").groupBy("slot").applyInPandas(weigh, "batch long, at long, wait double")
-        .groupBy("batch", "at").agg(F.sum("wait").alias("wait"))
-    )
-    each = settled.where("kind = 0").select("batch", F.posexplode("docs").alias("at", "d")).select("batch", F.col("at").cast("long").alias("at"), "d.*")
-    return each.join(waits, ["batch", "at"], "left").select(
-        "doc_id", "held_out", "n_tokens", "n_known", F.lit(int(tokens)).cast("long").alias("train_tokens"), "base_score", (F.col("part") + F.coalesce("wait", F.lit(0.0))).alias("score")
-    )
+                out.append((batch, _pack(at, np.bincount(where, weights=each))))
+        return pd.DataFrame(out, columns=["batch", "waits"]).astype({"batch": "int64"})
+
+    # A packed row for each batch and partition, as on the way there.
+    waits = settled.where("kind = 1").select("slot", "batch", "blob").groupBy("slot").applyInPandas(weigh, "batch long, waits binary")
+    gathered = settled.where("kind = 0").select("batch", "docs").join(waits.groupBy("batch").agg(F.collect_list("waits").alias("waits")), "batch", "left")
+
+    def finish(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in frames:
+            for docs_of, blobs in zip(pdf["docs"], pdf["waits"], strict=True):
+                wait = np.zeros(len(docs_of))
+                for blob in blobs if blobs is not None else ():
+                    at, w = _unpack(blob)
+                    np.add.at(wait, at, w)
+                rows = [(d["doc_id"], d["held_out"], d["n_tokens"], d["n_known"], int(tokens), d["base_score"], d["part"] + w) for d, w in zip(docs_of, wait.tolist(), strict=True)]
+                yield pd.DataFrame(rows, columns=[f.split()[0] for f in RESULT.split(", ")]).astype({"doc_id": "Int64"})
+
+    return gathered.mapInPandas(finish, RESULT)
