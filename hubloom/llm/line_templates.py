@@ -28,6 +28,8 @@ MIN_DOCUMENTS = 10
 CONSTANT_SHARE = 0.6
 #: Share of a line's tokens that must be its template's constants.
 AGREEMENT = 0.75
+#: Rows of leaves, templates or recurring lines (at most 48 bytes each) up to which a join broadcasts them.
+BROADCAST_ROWS = 500_000
 
 
 def _row_key() -> Column:
@@ -37,25 +39,32 @@ def _row_key() -> Column:
 def _lines(docs: DataFrame, min_tokens: int) -> DataFrame:
     """``(row, doc_id, pos, tokens, leaf, sig)`` of the lines long enough; digits make a token a field."""
     split = docs.select(_row_key().alias("row"), "doc_id", F.posexplode(F.split("text", "\n")).alias("pos", "line"))
-    # One pass over the line: every token that holds a digit becomes the field mark.
-    masked = F.regexp_replace(F.trim(F.regexp_replace("line", r"[\s]+", " ")), r"\S*\d\S*", "<*>")
-    cut = split.select("row", "doc_id", "pos", F.split(masked, " ").alias("tokens")).where(F.size("tokens") >= min_tokens)
+    # Every token that holds a digit becomes the field mark; most lines have none.
+    marked = F.regexp_replace("line", r"(?<!\S)(?=\S*\d)\S+", "<*>")
+    masked = F.when(F.col("line").rlike(r"\d"), marked).otherwise(F.col("line"))
+    words = F.filter(F.split(masked, r"[ \t\r\f\x0B]+"), lambda w: w != "")
+    cut = split.select("row", "doc_id", "pos", words.alias("tokens")).where(F.size("tokens") >= min_tokens)
     n = F.size("tokens")
     return cut.select(
         "row", "doc_id", "pos", "tokens", F.xxhash64(n, F.slice("tokens", 1, DEPTH)).alias("leaf"), F.xxhash64(n, F.col("tokens")).alias("sig")
     )
 
 
-def leaf_templates(lines: DataFrame, min_documents: int) -> DataFrame:
+def _small(df: DataFrame) -> DataFrame:
+    """A saved table with a broadcast hint where it has few enough rows (of a few numbers); else the join shuffles."""
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+
+
+def leaf_templates(lines: DataFrame, narrow: DataFrame, min_documents: int) -> DataFrame:
     """``(leaf, sig, template)`` of the lines that share a leaf's generalised template."""
-    counted = lines.select("leaf", "sig", "row").distinct().groupBy("leaf", "sig").agg(F.count("*").alias("docs"))
+    counted = narrow.select("leaf", "sig", "row").distinct().groupBy("leaf", "sig").agg(F.count("*").alias("docs"))
     busy = saved(
         counted.groupBy("leaf").agg(F.sum("docs").alias("docs"), F.count("*").alias("sigs")).where((F.col("docs") >= min_documents) & (F.col("sigs") > 1)).select("leaf"),
         "leaves",
     )
     # Tokens of the distinct lines in leaves with branches; weights are lines, pre-aggregated.
     variants = saved(
-        lines.join(busy, "leaf", "left_semi").groupBy("leaf", "sig").agg(F.first("tokens").alias("tokens"), F.count("*").alias("w")), "variants"
+        lines.join(_small(busy), "leaf", "left_semi").groupBy("leaf", "sig").agg(F.first("tokens").alias("tokens"), F.count("*").alias("w")), "variants"
     )
     fields = variants.select("leaf", "w", F.posexplode("tokens").alias("at", "token"))
     votes = fields.groupBy("leaf", "at", "token").agg(F.sum("w").alias("w"))
@@ -81,16 +90,17 @@ def leaf_templates(lines: DataFrame, min_documents: int) -> DataFrame:
 def recurring_lines(docs: DataFrame, min_documents: int = MIN_DOCUMENTS, min_tokens: int = MIN_TOKENS) -> DataFrame:
     """``(row, dropped array<int>)``: the line numbers that each row of ``docs(doc_id, text)`` loses."""
     lines = _lines(docs, min_tokens)
-    shared = saved(leaf_templates(lines, min_documents), "templates")
-    named = lines.select("row", "doc_id", "pos", "leaf", "sig").join(shared, ["leaf", "sig"], "left")
-    placed = saved(named.select("row", "doc_id", "pos", F.coalesce("template", "sig").alias("template")), "lines")
+    narrow = saved(lines.select("row", "doc_id", "pos", "leaf", "sig"), "lines")  # a few numbers a line
+    shared = saved(leaf_templates(lines, narrow, min_documents), "templates")
+    named = narrow.join(_small(shared), ["leaf", "sig"], "left")
+    placed = named.select("row", "doc_id", "pos", F.coalesce("template", "sig").alias("template"))
     place = F.struct(F.coalesce("doc_id", F.lit(-(2**63))).alias("d"), F.col("row").alias("r"), F.col("pos").alias("p"))
     # A row a (template, document) before the count, so a template in all documents is spread over tasks.
     by_doc = placed.groupBy("template", "row").agg(F.min(place).alias("first"))
     often = saved(
         by_doc.groupBy("template").agg(F.count("*").alias("docs"), F.min("first").alias("first")).where(F.col("docs") >= min_documents), "often"
     )
-    gone = placed.join(often, "template").where(~((F.col("row") == F.col("first.r")) & (F.col("pos") == F.col("first.p"))))
+    gone = placed.join(_small(often), "template").where(~((F.col("row") == F.col("first.r")) & (F.col("pos") == F.col("first.p"))))
     return gone.groupBy("row").agg(F.collect_set("pos").alias("dropped"))
 
 
