@@ -107,7 +107,7 @@ def recurring_lines(docs: DataFrame, min_documents: int = MIN_DOCUMENTS, min_tok
 def drop_recurring_lines(docs: DataFrame, min_documents: int = MIN_DOCUMENTS, min_tokens: int = MIN_TOKENS) -> DataFrame:
     """``(doc_id, text, n_lines, n_dropped, row)``: every row of ``docs(doc_id, text)`` without its recurring lines."""
     gone = saved(recurring_lines(docs, min_documents, min_tokens), "dropped")
-    joined = docs.withColumn("row", _row_key()).join(gone, "row", "left")
+    joined = docs.withColumn("row", _row_key()).join(gone.hint("merge"), "row", "left")  # grows with the documents: never broadcast
     parts = F.split("text", "\n")
     kept = F.when(F.col("dropped").isNull(), F.col("text")).otherwise(
         F.concat_ws("\n", F.filter(parts, lambda _, i: ~F.array_contains(F.col("dropped"), i)))
