@@ -32,13 +32,13 @@ def _row() -> Column:
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that importance resampling rejects go."""
     kept = saved(resample(texts(docs), table(spark, sf_dir, "labels")).select("row").distinct(), "kept")
-    return docs.withColumn("row", _row()).join(kept, "row", "left_semi").select(COLUMNS)
+    return docs.withColumn("row", _row()).join(kept.hint("merge"), "row", "left_semi").select(COLUMNS)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines of recurring templates go, but for their first place; every document stays."""
     shorter = saved(drop_recurring_lines(texts(docs)).where("n_dropped > 0").select("row", F.col("text").alias("left")).distinct(), "shorter")
-    joined = docs.withColumn("row", _row()).join(shorter, "row", "left").withColumn("text", F.coalesce("left", "text"))
+    joined = docs.withColumn("row", _row()).join(shorter.hint("merge"), "row", "left").withColumn("text", F.coalesce("left", "text"))
     return joined.withColumn("n_chars", F.when(F.col("left").isNull(), F.col("n_chars")).otherwise(F.char_length("text"))).select(COLUMNS)
 
 
@@ -46,7 +46,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each near-duplicate group stays: that of the smallest id."""
     grouped = simhash_components(texts(docs), bands=sampled_bands(256, BAND_WIDTH, BAND_TABLES), **NEAR)
     stay = saved(grouped.where("doc_id = component_id").select("doc_id").distinct(), "stay")
-    first = docs.join(stay, "doc_id", "left_semi")
+    first = docs.join(stay.hint("merge"), "doc_id", "left_semi")
     nameless = docs.where("doc_id is null")
     return first.dropDuplicates(["doc_id"]).unionByName(nameless).select(COLUMNS)
 
@@ -55,7 +55,7 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     """Documents that hold a benchmark item go."""
     items = table(spark, sf_dir, "benchmark").select(F.col("item_id").cast("long").alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
     leaks = saved(contaminated(texts(docs), items).select("doc_id").distinct(), "leaks")
-    return docs.join(leaks, "doc_id", "left_anti").select(COLUMNS)
+    return docs.join(leaks.hint("merge"), "doc_id", "left_anti").select(COLUMNS)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -73,6 +73,8 @@ STAGES = [
     ("byte-level BPE", encode),
 ]
 
+# Joins of a stage take a side that grows with the documents, so they merge at every size and never broadcast.
+
 #: The models of the first stage and the fingerprints of the third are beyond SQL; tests hold stages against brute force.
 ORACLE_SQL = None
 
