@@ -2,18 +2,22 @@
 
 Numbers, names and units give way to typed placeholders, so a question asked
 again with other values has the same template.  Windows of canonical tokens of
-the benchmark meet those of the documents in a hash join; matches gather by
-document, item and alignment.  Along one alignment the slots are checked: the
-values of the item must map to values of the document one to one, as they do
-when a question is re-parameterised and not when templates agree by chance.
-
-Items shorter than a window are one window as a whole.  Null texts are empty and
-match nothing; null item ids are left out; repeated rows of either table count
-once in the counts of matched windows.
+the benchmark meet those of the documents in a hash join that carries two
+numbers a window; matches gather by document, item and alignment.  The few rows
+that match well are canonicalised once more with the values of their slots:
+windows are compared word by word, and along an alignment each value of the
+item must go with one value of the document, as it does when a question is
+re-parameterised and not when templates agree by chance.
+
+A name is a capitalised word inside a sentence.  Items shorter than a window are
+one window as a whole.  Null texts are empty and match nothing; null item ids are
+left out; a repeated row counts once.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -24,58 +28,85 @@ WINDOW = 8
 COVERAGE = 0.5
 #: Share of slots that must agree with a one-to-one renaming.
 CONSISTENCY = 0.8
-#: Benchmark windows up to this many rows (8 bytes of key, two small numbers and short slots each) are broadcast; more are joined by shuffle.
+#: Rows (of at most a few hundred bytes) up to which a join broadcasts its small side.
 BROADCAST_ROWS = 200_000
 
-# Unit words that become a placeholder.
+# Unit words that become a placeholder after a number.
 UNITS = (
     "mm cm m km in inch inches ft foot feet yd yard yards mi mile miles mg g kg t lb lbs oz ml l litre litres liter liters gallon gallons "
     "s sec second seconds min minute minutes h hr hour hours day days week weeks month months year years "
-    "cent cents dollar dollars euro euros pound pounds usd eur gbp percent kmh mph km/h m/s kg/m3 °c °f"
+    "cent cents dollar dollars euro euros pound pounds usd eur gbp percent kmh mph"
 ).split()
 
+# Each pattern starts with what is rare in prose, and looks around only there.
+_NAME = r"\p{Lu}(?<=[^.!?:\s][ \t]\p{Lu})\p{Ll}+(?![\p{L}\p{N}])"
+_NUMBER = r"\p{N}(?<![\p{L}\p{N}]\p{N})\p{N}*(?:[.,:/-]\p{N}+)*(?![\p{L}\p{N}])"
+_UNIT = r"<num> (" + "|".join(UNITS) + r")(?![\p{L}\p{N}])"
 
-def _raw_tokens(text: Column) -> Column:
-    """Words with their case; a word that opens a line or sentence is lowered, so capitals mark names."""
-    opened = F.regexp_replace(text, r"(^|\n)\s*(?=\S)", "\n\u0001")
-    opened = F.regexp_replace(opened, r"([.!?:][\"')\]]*\s+)(?=\S)", "$1\u0001")
-    return F.filter(F.split(opened, r"\s+"), lambda w: (w != "") & (w != "\u0001"))
 
+def _steps(text: Column) -> tuple[Column, Column, Column, Column]:
+    """The text before names, numbers and units are replaced, and after: each a string of its own."""
+    own = F.contains(text, F.lit("<")) | F.contains(text, F.lit(">"))
+    clean = F.when(own, F.regexp_replace(text, "[<>]", " ")).otherwise(text)  # so that placeholders are ours
+    named = F.regexp_replace(clean, _NAME, "<name>")
+    counted = F.lower(F.regexp_replace(named, _NUMBER, "<num>"))
+    return clean, named, counted, F.regexp_replace(counted, _UNIT, "<num> <unit>")
 
-def _bare(word: Column) -> Column:
-    return F.regexp_replace(word, r"^[^\p{L}\p{N}\x01]+|[^\p{L}\p{N}]+$", "")
 
+def _tokens(final: Column) -> Column:
+    return F.filter(F.split(final, r"[^\p{L}\p{N}<>]+"), lambda w: w != "")
+
+
+def _row() -> Column:
+    return F.xxhash64(F.coalesce("doc_id", F.lit(-(2**63))), F.col("text"))
 
-def _kind(bare: Column) -> Column:
-    """Placeholder of a bare word, or the lower-cased word itself."""
-    plain = F.lower(F.regexp_replace(bare, "\u0001", ""))
-    return (
-        F.when(F.regexp_like(plain, F.lit(r"^[$€£#]?\p{N}[\p{N}.,:/%-]*$")), "<num>")
-        .when(plain.isin(UNITS), "<unit>")
-        .when(F.regexp_like(bare, F.lit(r"^\p{Lu}\p{Ll}+$")), "<name>")
-        .otherwise(plain)
-    )
 
+def canonical(docs: DataFrame, *keys: str) -> DataFrame:
+    """``(keys.., canon array<string>)``: the canonical tokens of ``text``."""
+    return docs.select(*keys, _tokens(_steps(F.col("text"))[3]).alias("canon"))
 
-def canonical(docs: DataFrame, key: str) -> DataFrame:
-    """``(key, canon array<string>, plain array<string>)``: canonical tokens, and the plain words they stand for."""
-    bare = F.filter(F.transform(_raw_tokens(F.col("text")), _bare), lambda w: (w != "") & (w != "\u0001"))
-    cut = docs.select(key, bare.alias("bare"))
-    return cut.select(
-        key,
-        F.transform("bare", _kind).alias("canon"),
-        F.transform("bare", lambda w: F.lower(F.regexp_replace(w, "\u0001", ""))).alias("plain"),
+
+def with_lists(docs: DataFrame, *keys: str) -> DataFrame:
+    """Canonical tokens, and what the placeholders of each kind stand for, in order."""
+    clean, named, counted, final = _steps(F.col("text"))
+    return docs.select(
+        *keys,
+        _tokens(final).alias("canon"),
+        F.regexp_extract_all(clean, F.lit(_NAME), 0).alias("names"),
+        F.regexp_extract_all(named, F.lit(_NUMBER), 0).alias("numbers"),
+        F.regexp_extract_all(counted, F.lit(_UNIT), 1).alias("units"),
     )
 
 
-def _windows(canon: DataFrame, key: str, width: int, whole_if_short: bool) -> DataFrame:
-    """One row a window: ``(key, at, n_windows, hash, plain slice, canon slice)``."""
-    n = F.size("canon")
-    last = F.greatest(n - width, F.lit(0)) if whole_if_short else n - width
-    some = canon.where(n >= (1 if whole_if_short else width))
-    spread = some.select(key, "canon", "plain", (last + 1).alias("n_windows"), F.explode(F.sequence(F.lit(0), last)).alias("at"))
-    part = F.slice("canon", F.col("at") + 1, F.lit(width))
-    return spread.select(key, "at", "n_windows", F.xxhash64(part).alias("hash"), F.slice("plain", F.col("at") + 1, F.lit(width)).alias("plain"), part.alias("canon"))
+_KINDS = (("<name>", "names"), ("<num>", "numbers"), ("<unit>", "units"))
+
+
+def _plain(part: Column, before: Column, lists: dict[str, Column]) -> Column:
+    """The words and values of a part of the tokens: the n-th placeholder of a kind stands for the n-th match of its pattern."""
+    met = [F.size(_only(before, k)).alias(n) for k, n in _KINDS]
+    start = F.struct(F.array().cast("array<string>").alias("out"), *met)
+
+    def step(acc: Column, word: Column) -> Column:
+        value = reduce(lambda rest, kn: F.when(word == kn[0], F.get(lists[kn[1]], acc[kn[1]])).otherwise(rest), _KINDS, word)
+        return F.struct(F.concat(acc["out"], F.array(F.lower(value))).alias("out"), *[(acc[n] + F.when(word == k, 1).otherwise(0)).alias(n) for k, n in _KINDS])
+
+    return F.aggregate(part, start, step, lambda acc: acc["out"])
+
+
+def _only(tokens: Column, kind: str) -> Column:
+    return F.filter(tokens, lambda w: w == kind)
+
+
+def _windows(canon: DataFrame, keys: list[str], width: int) -> DataFrame:
+    """``(keys.., at, hash)`` of every window of a width."""
+    last = F.size("canon") - width
+    # No filter: pushed below, it would canonicalise every text twice.
+    spread = canon.select(*keys, "canon", F.explode(F.when(last >= 0, F.sequence(F.lit(0), last))).alias("at"))
+    return spread.select(*keys, "at", F.xxhash64(F.slice("canon", F.col("at") + 1, F.lit(width))).alias("hash"))
+
+
+def _small(df: DataFrame) -> DataFrame:
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, coverage: float = COVERAGE, consistency: float = CONSISTENCY) -> DataFrame:
@@ -83,48 +114,60 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, cov
 
     ``docs(doc_id, text)`` and ``benchmark(item_id, text)``.
     """
-    items = canonical(benchmark.where("item_id is not null"), "item_id")
-    known = saved(
-        _windows(items, "item_id", width, True)
-        .groupBy("item_id", "at")
-        .agg(F.min("n_windows").alias("n_windows"), F.min("hash").alias("hash"), F.min("plain").alias("item_plain"), F.min("canon").alias("item_canon")),
-        "items",
-    )
-    # Windows of the width of short items too: an item of n < width tokens is looked for at width n.
-    widths = sorted(r[0] for r in known.select(F.size("item_canon").alias("w")).distinct().collect())  # at most ``width`` numbers
-    n_known = known.count()
-    small = known.select(F.col("hash"), "item_id", F.col("at").alias("item_at"), "n_windows", "item_plain", "item_canon")
-    side = F.broadcast(small) if n_known <= BROADCAST_ROWS else small
-    canon = canonical(docs, "doc_id")
-    hits = None
-    for w in widths:
-        found = _windows(canon, "doc_id", w, False).drop("n_windows").join(side, "hash").where(F.col("canon") == F.col("item_canon"))
-        hits = found if hits is None else hits.unionByName(found)
-    if hits is None:
-        empty = "doc_id long, item_id long, matched long, item_windows int, slots long, slots_consistent long"
-        return docs.sparkSession.createDataFrame([], empty)
-    shift = (F.col("at") - F.col("item_at")).alias("shift")
-    hits = saved(hits.select("doc_id", "item_id", shift, "item_at", "n_windows", "plain", "item_plain", "canon"), "hits")
-    who = ["doc_id", "item_id", "shift"]
-    runs = hits.groupBy(*who).agg(F.count_distinct("item_at").alias("matched"), F.min("n_windows").alias("item_windows"))
-    enough = runs.where(F.col("matched") >= F.ceil(coverage * F.col("item_windows")))
-    # Slots: one row a (alignment, place in the item), then agreement of values both ways.
-    slot = F.arrays_zip(F.col("canon"), F.col("plain"), F.col("item_plain"))
-    slots = (
-        hits.select(*who, "item_at", F.posexplode(slot).alias("i", "s"))
-        .where(F.col("s.canon").isin("<num>", "<name>", "<unit>"))
-        .select(*who, (F.col("item_at") + F.col("i")).alias("place"), F.col("s.plain").alias("mine"), F.col("s.item_plain").alias("theirs"))
-        .distinct()
-    )
-    pairs = slots.groupBy(*who, "theirs", "mine").agg(F.count("*").alias("n"))
-    forward = pairs.groupBy(*who, "theirs").agg(F.max("n").alias("best"), F.sum("n").alias("n"))
-    agreed = forward.groupBy(*who).agg(F.sum("best").alias("slots_consistent"), F.sum("n").alias("slots"))
-    judged = enough.join(agreed, who, "left").select(
-        "doc_id", "item_id", "matched", "item_windows", F.coalesce("slots", F.lit(0)).alias("slots"), F.coalesce("slots_consistent", F.lit(0)).alias("slots_consistent")
+    spark = docs.sparkSession
+    items = benchmark.where("item_id is not null").groupBy("item_id").agg(F.min("text").alias("text"))
+    plain = _plain(F.col("canon"), F.array().cast("array<string>"), {n: F.col(n) for _, n in _KINDS})
+    items = with_lists(items, "item_id").select("item_id", "canon", plain.alias("plain"), F.least(F.size("canon"), F.lit(width)).alias("width"))
+    items = saved(items.where("width > 0"), "items")
+    widths = sorted(r[0] for r in items.select("width").distinct().collect())  # at most ``width`` numbers
+    if not widths:
+        return spark.createDataFrame([], "doc_id long, item_id long, matched long, item_windows long, slots long, slots_consistent long")
+    n_windows = F.size("canon") - F.col("width") + 1
+    known = reduce(DataFrame.unionByName, [_windows(items.where(F.col("width") == w), ["item_id"], w).withColumn("width", F.lit(w)) for w in widths])
+    known = saved(known.withColumnRenamed("at", "item_at"), "windows")
+    canon = canonical(docs.withColumn("row", _row()), "row")
+    hits = reduce(
+        DataFrame.unionByName,
+        [_windows(canon, ["row"], w).join(_small(known.where(F.col("width") == w).drop("width")), "hash") for w in widths],
+    ).select("row", "item_id", (F.col("at") - F.col("item_at")).alias("shift"), "item_at")
+    who = ["row", "item_id", "shift"]
+    sizes = items.select("item_id", n_windows.cast("long").alias("item_windows"))
+    runs = hits.distinct().groupBy(*who).agg(F.count("*").alias("matched"))
+    likely = saved(runs.join(_small(sizes), "item_id").where(F.col("matched") >= F.ceil(coverage * F.col("item_windows"))), "likely")
+
+    # From here on, only documents with a likely item.
+    some = docs.withColumn("row", _row()).join(_small(likely.select("row").distinct()), "row", "left_semi").dropDuplicates(["row"])
+    valued = saved(with_lists(some, "row", "doc_id").withColumnRenamed("canon", "tokens"), "slots")
+    both = likely.join(valued, "row").join(_small(items.select("item_id", "canon", "plain", "width")), "item_id")
+    # Item and document side by side along the alignment; only this part of the document gets its values back.
+    start = F.greatest(F.col("shift"), F.lit(0))
+    skip = F.greatest(-F.col("shift"), F.lit(0))
+    both = both.withColumn("dc", F.slice("tokens", start + 1, F.size("canon") - skip))
+    both = both.withColumn("dp", _plain(F.col("dc"), F.slice("tokens", 1, start), {n: F.col(n) for _, n in _KINDS}))
+    # Written down, so that the expressions below read arrays and don't make them anew for each use.
+    aligned = saved(
+        both.select(
+            "row", "doc_id", "item_id", "shift", "item_windows", "width",
+            F.arrays_zip(F.slice("canon", skip + 1, F.size("canon")).alias("ic"), F.slice("plain", skip + 1, F.size("canon")).alias("ip"), "dc", "dp").alias("p"),
+            F.zip_with(F.slice("canon", skip + 1, F.size("canon")), F.col("dc"), lambda x, y: x.eqNullSafe(y)).alias("same"),
+        ),
+        "aligned",
+    )
+    ends = F.sequence(F.lit(1), F.greatest(F.size("p") - F.col("width") + 1, F.lit(1)))
+    # Windows all of whose tokens agree (the hash said so; this is exact).
+    full = F.filter(ends, lambda i: F.forall(F.slice("same", i, F.col("width")), lambda x: x))
+    checked = aligned.withColumn("matched", F.size(full).cast("long"))
+    slots = F.filter("p", lambda x: x["ic"].eqNullSafe(x["dc"]) & x["ic"].isin("<num>", "<name>", "<unit>"))
+    judged = checked.where(F.col("matched") >= F.ceil(coverage * F.col("item_windows"))).select(
+        "doc_id", "row", "item_id", "shift", "matched", "item_windows", slots.alias("s")
     )
+    # A slot agrees when the item's value there goes with the value it goes with most often.
+    key = ["row", "doc_id", "item_id", "shift", "matched", "item_windows"]
+    each = judged.select(*key, F.explode_outer("s").alias("x")).groupBy(*key, F.col("x.ip").alias("theirs"), F.col("x.dp").alias("mine")).agg(F.count("x").alias("n"))
+    agreed = each.groupBy(*key, "theirs").agg(F.max("n").alias("best"), F.sum("n").alias("n")).groupBy(*key).agg(F.sum("best").alias("slots_consistent"), F.sum("n").alias("slots"))
     best = F.max(F.struct("matched", "item_windows", "slots", "slots_consistent")).alias("m")
     return (
-        judged.where(F.col("slots_consistent") >= consistency * F.col("slots"))
+        agreed.where(F.col("slots_consistent") >= consistency * F.col("slots"))
         .groupBy("doc_id", "item_id")
         .agg(best)
         .select("doc_id", "item_id", "m.matched", "m.item_windows", "m.slots", "m.slots_consistent")
