@@ -41,13 +41,15 @@ from hubloom.llm.katz import _deltas, _keys, _pack, _unpack
 
 LENGTH = 50
 ANCHOR = 26
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 2 << 20
 #: Packed bytes of a count partition.
-PARTITION_BYTES = 8 << 20
+PARTITION_BYTES = 4 << 20
 #: An anchor of more pieces than this in all is searched by single windows.
 HOT_PIECES = 20_000
 #: Bytes indexed together.
-INDEX_BYTES = 2 << 20
+INDEX_BYTES = 256 << 10
+#: Bytes whose pieces are found together.
+CACHED_BYTES = 96 << 10
 NO_DOC = -(2**63)
 
 
@@ -200,7 +202,17 @@ class TextBatch:
         ids, sizes, data = _unpack(blob)
         self.ids, self.sizes, self.data = ids, sizes, data
         self.doc = np.repeat(np.arange(len(ids), dtype=np.int32), sizes)
-        self.anchor, self.first, self.last = pieces(data, self.doc, length, anchor)
+        # Some documents at a time, so that the arrays of the search stay in the processor's cache.
+        ends = np.cumsum(sizes)
+        found, lo = [], 0
+        while lo < len(data):
+            hi = int(ends[max(np.searchsorted(ends, lo + CACHED_BYTES, side="right") - 1, np.searchsorted(ends, lo, side="right"))])
+            a, f, e = pieces(data[lo:hi], self.doc[lo:hi], length, anchor)
+            found.append((a, f + lo, e + lo))
+            lo = hi
+        none = np.zeros(0, dtype=np.int64)
+        self.anchor = np.concatenate([none.astype(np.uint64), *[x[0] for x in found]])
+        self.first, self.last = (np.concatenate([none, *[x[i] for x in found]]) for i in (1, 2))
         self.keys, self.key_of = np.unique(self.anchor, return_inverse=True)
         self.raw, self.length = data.tobytes(), length
 
@@ -359,7 +371,9 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
                 least = np.full(len(units), np.iinfo(np.int64).max)
                 np.minimum.at(least, of, b.ids[b.doc[starts]])
                 order, cut = _slots(group, parts)
-                rows = []
+                # Under no partition: where the units occur, for the batch itself.
+                size = np.array([len(u) for u in units], dtype=np.uint8)
+                rows = [(-1, batch, _pack(of.astype(np.uint32), starts.astype(np.uint32), size, order.astype(np.uint32), cut.astype(np.uint32)))]
                 for p in range(parts):
                     at = order[cut[p] : cut[p + 1]]
                     if len(at):
@@ -393,25 +407,27 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
             out.append(_pack(np.array([len(x) for x in lists], dtype=np.uint8), np.concatenate([np.zeros(0, np.int64), *lists]).astype(np.int64)))
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": out})
 
-    least = saved(batches.join(answers, "batch").mapInPandas(units_of, shape).groupBy("slot").applyInPandas(search, shape), "least")
+    units = saved(batches.join(answers, "batch").mapInPandas(units_of, shape), "units")
+    release_shuffles(spark)
+    least = saved(units.where("slot >= 0").groupBy("slot").applyInPandas(search, shape), "least")
     release_shuffles(spark)
-    settled = answers.join(least.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("least")), "batch", "left")
+    settled = units.where("slot < 0").unionAll(least).groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("least"))
 
     def cut_texts(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in frames:
-            for blob, got, leasts in zip(pdf["coded"], pdf["states"], pdf["least"], strict=True):
-                b = TextBatch(blob, length, anchor)
-                gone = np.zeros(len(b.data) + 1, dtype=np.int32)
-                if got is not None and len(got) and leasts is not None:
-                    units, group, of, starts = b.units(state_of(b, got))
-                    order, cut = _slots(group, parts)
-                    known: list = [None] * len(units)
-                    for a in leasts:
-                        n, values = _unpack(a["blob"])
-                        pieces_of = np.split(values, np.cumsum(n.astype(np.int64))[:-1])
-                        for i, v in zip(order[cut[a["slot"]] : cut[a["slot"] + 1]].tolist(), pieces_of, strict=True):
+            for blob, leasts in zip(pdf["coded"], pdf["least"], strict=True):
+                ids, sizes, data = _unpack(blob)
+                doc, raw = np.repeat(np.arange(len(ids)), sizes), data.tobytes()
+                gone = np.zeros(len(data) + 1, dtype=np.int32)
+                if leasts is not None:
+                    by_slot = {a["slot"]: a["blob"] for a in leasts}
+                    of, starts, size, order, cut = (x.astype(np.int64) for x in _unpack(by_slot.pop(-1)))
+                    known: list = [None] * len(size)
+                    for p, answer in by_slot.items():
+                        n, values = _unpack(answer)
+                        for i, v in zip(order[cut[p] : cut[p + 1]].tolist(), np.split(values, np.cumsum(n.astype(np.int64))[:-1]), strict=True):
                             known[i] = v
-                    size = np.array([len(u) for u in units], dtype=np.int64) - length + 1
+                    size = size - length + 1
                     # Every occurrence spreads its unit's least documents over its windows.
                     n_win = size[of] if len(of) else of
                     one = np.array([len(v) == 1 for v in known], dtype=bool)
@@ -423,16 +439,16 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
                         u = of[occ]
                         least_doc = flat[base[u] + np.where(one[u], 0, shift)]
                         at = starts[occ] + shift
-                        hit = at[least_doc < b.ids[b.doc[starts[occ]]]]
+                        hit = at[least_doc < ids[doc[starts[occ]]]]
                         np.add.at(gone, hit, 1)
                         np.add.at(gone, hit + length, -1)
                 removed = np.cumsum(gone[:-1]) > 0
                 rows, at = [], 0
-                for i, n in zip(b.ids.tolist(), b.sizes.tolist(), strict=True):
+                for i, n in zip(ids.tolist(), sizes.tolist(), strict=True):
                     r = removed[at : at + n]
                     edge = np.diff(np.r_[0, r.view(np.int8), 0])
                     spans = list(zip(np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist(), strict=True))
-                    kept = b.data[at : at + n][~r].tobytes() if spans else b.raw[at : at + n]
+                    kept = data[at : at + n][~r].tobytes() if spans else raw[at : at + n]
                     rows.append((None if i == NO_DOC else i, n, int(r.sum()), len(spans), [{"start": x, "end": y} for x, y in spans], kept))
                     at += n
                     if len(rows) >= 2000:
