@@ -371,9 +371,9 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
                 least = np.full(len(units), np.iinfo(np.int64).max)
                 np.minimum.at(least, of, b.ids[b.doc[starts]])
                 order, cut = _slots(group, parts)
-                # Under no partition: where the units occur, for the batch itself.
+                # Below zero: where the units occur, for the batch itself; it only passes through.
                 size = np.array([len(u) for u in units], dtype=np.uint8)
-                rows = [(-1, batch, _pack(of.astype(np.uint32), starts.astype(np.uint32), size, order.astype(np.uint32), cut.astype(np.uint32)))]
+                rows = [(-1 - int(batch) % parts, batch, _pack(of.astype(np.uint32), starts.astype(np.uint32), size, order.astype(np.uint32), cut.astype(np.uint32)))]
                 for p in range(parts):
                     at = order[cut[p] : cut[p + 1]]
                     if len(at):
@@ -382,6 +382,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
                 yield pd.DataFrame(rows, columns=["slot", "batch", "blob"])
 
     def search(pdf: pd.DataFrame) -> pd.DataFrame:
+        if pdf["slot"].iloc[0] < 0:
+            return pdf
         number: dict[bytes, int] = {}
         groups: list[int] = []
         docs_of: list[int] = []
@@ -407,11 +409,9 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
             out.append(_pack(np.array([len(x) for x in lists], dtype=np.uint8), np.concatenate([np.zeros(0, np.int64), *lists]).astype(np.int64)))
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": out})
 
-    units = saved(batches.join(answers, "batch").mapInPandas(units_of, shape), "units")
+    least = saved(batches.join(answers, "batch").mapInPandas(units_of, shape).groupBy("slot").applyInPandas(search, shape), "least")
     release_shuffles(spark)
-    least = saved(units.where("slot >= 0").groupBy("slot").applyInPandas(search, shape), "least")
-    release_shuffles(spark)
-    settled = units.where("slot < 0").unionAll(least).groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("least"))
+    settled = least.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("least"))
 
     def cut_texts(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in frames:
@@ -421,7 +421,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
                 gone = np.zeros(len(data) + 1, dtype=np.int32)
                 if leasts is not None:
                     by_slot = {a["slot"]: a["blob"] for a in leasts}
-                    of, starts, size, order, cut = (x.astype(np.int64) for x in _unpack(by_slot.pop(-1)))
+                    of, starts, size, order, cut = (x.astype(np.int64) for x in _unpack(by_slot.pop(min(by_slot))))
                     known: list = [None] * len(size)
                     for p, answer in by_slot.items():
                         n, values = _unpack(answer)
