@@ -40,7 +40,7 @@ from hubloom.llm.common import saved
 END, START = np.uint64(0), np.uint64(1)
 #: Counts above this are not discounted.
 LARGEST = 5
-BATCH_BYTES = 6 << 20
+BATCH_BYTES = 3 << 20
 #: Corpus bytes a partition of the count tables serves.
 PARTITION_BYTES = 16 << 20
 RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
