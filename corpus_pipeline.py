@@ -14,15 +14,18 @@ from hubloom.llm.bpe import bpe_documents
 from hubloom.llm.common import saved, sha256_hex, table, texts
 from hubloom.llm.decontamination import contaminated
 from hubloom.llm.line_templates import drop_recurring_lines
+from hubloom.llm.near_copies import near_copy_components
 from hubloom.llm.quality import resample
-from hubloom.llm.simhash import sampled_bands, simhash_components
+from hubloom.llm.simhash import sampled_bands
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
-#: Near-duplicates: five-word shingles, 256-bit fingerprints that agree in over 0.8 of their bits
-#: (46 of 256 may differ, about a Jaccard similarity of 0.75), met in sampled bands: the recall
-#: of a pair is 0.92 at a Jaccard similarity of 0.8, 0.98 at 0.85 and 0.999 at 0.9.
-NEAR = {"shingle": 5, "lanes": 4, "radius": 46}
-BAND_WIDTH, BAND_TABLES = 18, 48
+#: Near-duplicates: sets of five-word shingles of a Jaccard similarity of 0.8 at least, verified.  Candidates are 256-bit
+#: fingerprints of which up to 64 bits differ, met in sampled bands; with binomial bit differences a pair is a candidate
+#: with probability 0.998 at a similarity of 0.8 and 0.9998 at 0.85.
+NEAR = {"shingle": 5, "lanes": 4, "radius": 64, "least": 0.8}
+BAND_WIDTH, BAND_TABLES = 14, 96
+#: Wider bands of the first pass, which joins most copies before every pair is tried.
+FIRST_WIDTH, FIRST_TABLES = 18, 16
 
 
 def _row() -> Column:
@@ -44,7 +47,8 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each near-duplicate group stays: that of the smallest id."""
-    grouped = simhash_components(texts(docs), bands=sampled_bands(256, BAND_WIDTH, BAND_TABLES), **NEAR)
+    bands, first = sampled_bands(256, BAND_WIDTH, BAND_TABLES), sampled_bands(256, FIRST_WIDTH, FIRST_TABLES, seed=8)
+    grouped = near_copy_components(texts(docs), bands=bands, first_bands=first, **NEAR)
     stay = saved(grouped.where("doc_id = component_id").select("doc_id").distinct(), "stay")
     first = docs.join(stay.hint("merge"), "doc_id", "left_semi")
     nameless = docs.where("doc_id is null")

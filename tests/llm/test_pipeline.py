@@ -1,3 +1,5 @@
+import random
+
 import corpus_pipeline as C
 from hubloom.llm.common import saved, table
 
@@ -24,3 +26,36 @@ def test_copies_and_nulls(spark, sf_dir):
     assert C.decontaminate(spark, docs, sf_dir).count() == 5
     assert C.line_dedup(spark, docs, sf_dir).count() == 5
     assert C.near_dedup(spark, docs.limit(0), sf_dir).count() == 0
+
+
+def test_near_dedup_against_brute_force(spark, sf_dir):
+    rnd = random.Random(21)
+    word = lambda: "".join(rnd.choice("abcdefghij") for _ in range(6))
+    rows, i = [], 0
+    for k in range(60):  # pairs a little above and below the limit
+        words = [word() for _ in range(300)]
+        other = list(words)
+        for at in range(5, 300, 300 // (6 if k % 2 else 9)):
+            other[at] = word()
+        rows += [(i, " ".join(words)), (i + 1, " ".join(other))]
+        i += 2
+    base = [word() for _ in range(100)]
+    for _ in range(90):  # a large group about one text
+        copy = list(base)
+        copy[rnd.randrange(100)] = word()
+        rows.append((i, " ".join(copy)))
+        i += 1
+    sets = {d: {tuple(w[j : j + 5]) for j in range(len(w) - 4)} for d, w in ((d, t.split()) for d, t in rows)}
+    root = {d: d for d in sets}
+
+    def top(d):
+        while root[d] != d:
+            d = root[d]
+        return d
+
+    for a in sets:
+        for b in sets:
+            if a < b and 10 * len(sets[a] & sets[b]) >= 8 * len(sets[a] | sets[b]):
+                root[max(top(a), top(b))] = min(top(a), top(b))
+    docs = spark.createDataFrame([(d, t, "en", "x", 1) for d, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(r["doc_id"] for r in C.near_dedup(spark, docs, sf_dir).collect()) == sorted(d for d in root if top(d) == d)
