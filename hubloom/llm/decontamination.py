@@ -5,12 +5,17 @@ again with other values has the same template.  Windows of canonical tokens of
 the benchmark meet those of the documents in a hash join that carries two
 numbers a window; matches gather by document, item and alignment.  The few rows
 that match well are canonicalised once more with the values of their slots:
-windows are compared word by word, and along an alignment each value of the
-item must go with one value of the document, as it does when a question is
-re-parameterised and not when templates agree by chance.
+windows are compared word by word, and in them each value of the item must go
+with one value of the document, as it does when a question is re-parameterised
+and not when templates agree by chance.
 
-A name is a capitalised word inside a sentence.  Items shorter than a window are
-one window as a whole.  Null texts are empty and match nothing; null item ids are
+Matched windows add up over a band of alignments, so that words put in or left
+out on the way cost only the windows they stand in.  Items of under 23 tokens take
+narrower windows, of which one changed word leaves half; those of under eight
+are one window as a whole.
+
+A name is a capitalised word inside a sentence.  A capitalised word elsewhere (at
+the start of a sentence) may be one: windows are tried both ways.  Null texts are empty and match nothing; null item ids are
 left out; a repeated row counts once.
 """
 
@@ -24,7 +29,7 @@ from pyspark.sql import functions as F
 from hubloom.llm.common import saved
 
 WINDOW = 8
-#: Share of an item's windows that one document must match on one alignment.
+#: Share of an item's windows that one document must match on one band of alignments.
 COVERAGE = 0.5
 #: Share of slots that must agree with a one-to-one renaming.
 CONSISTENCY = 0.8
@@ -40,6 +45,7 @@ UNITS = (
 
 # Each pattern starts with what is rare in prose, and looks around only there.
 _NAME = r"\p{Lu}(?<=[^.!?:\s][ \t]\p{Lu})\p{Ll}+(?![\p{L}\p{N}])"
+_INITIAL = r"\p{Lu}(?<![\p{L}\p{N}]\p{Lu})\p{Ll}+(?![\p{L}\p{N}])"
 _NUMBER = r"\p{N}(?<![\p{L}\p{N}]\p{N})\p{N}*(?:[.,:/-]\p{N}+)*(?![\p{L}\p{N}])"
 _UNIT = r"<num> (" + "|".join(UNITS) + r")(?![\p{L}\p{N}])"
 
@@ -48,7 +54,8 @@ def _steps(text: Column) -> tuple[Column, Column, Column, Column]:
     """The text before names, numbers and units are replaced, and after: each a string of its own."""
     own = F.contains(text, F.lit("<")) | F.contains(text, F.lit(">"))
     clean = F.when(own, F.regexp_replace(text, "[<>]", " ")).otherwise(text)  # so that placeholders are ours
-    named = F.regexp_replace(clean, _NAME, "<name>")
+    # Capitalised words left over keep their letters behind a mark of their own.
+    named = F.regexp_replace(F.regexp_replace(clean, _NAME, "<name>"), _INITIAL, "<<$0>")
     counted = F.lower(F.regexp_replace(named, _NUMBER, "<num>"))
     return clean, named, counted, F.regexp_replace(counted, _UNIT, "<num> <unit>")
 
@@ -87,7 +94,7 @@ def _plain(part: Column, before: Column, lists: dict[str, Column]) -> Column:
     start = F.struct(F.array().cast("array<string>").alias("out"), *met)
 
     def step(acc: Column, word: Column) -> Column:
-        value = reduce(lambda rest, kn: F.when(word == kn[0], F.get(lists[kn[1]], acc[kn[1]])).otherwise(rest), _KINDS, word)
+        value = reduce(lambda rest, kn: F.when(word == kn[0], F.get(lists[kn[1]], acc[kn[1]])).otherwise(rest), _KINDS, _as_word(word))
         return F.struct(F.concat(acc["out"], F.array(F.lower(value))).alias("out"), *[(acc[n] + F.when(word == k, 1).otherwise(0)).alias(n) for k, n in _KINDS])
 
     return F.aggregate(part, start, step, lambda acc: acc["out"])
@@ -97,12 +104,32 @@ def _only(tokens: Column, kind: str) -> Column:
     return F.filter(tokens, lambda w: w == kind)
 
 
-def _windows(canon: DataFrame, keys: list[str], width: int) -> DataFrame:
-    """``(keys.., at, hash)`` of every window of a width."""
-    last = F.size("canon") - width
+def _as_name(word: Column) -> Column:
+    return F.when(F.startswith(word, F.lit("<<")), F.lit("<name>")).otherwise(word)
+
+
+def _as_word(word: Column) -> Column:
+    return F.when(F.startswith(word, F.lit("<<")), F.regexp_replace(word, "[<>]", "")).otherwise(word)
+
+
+def _width(n: Column, width: int) -> Column:
+    """Window width of an item of ``n`` tokens: one changed word leaves half of the windows of ``3 * w - 1`` tokens."""
+    narrow = reduce(lambda rest, w: F.when(n >= 3 * w - 1, F.lit(w)).otherwise(rest), range(3, width, 2), F.lit(width))
+    return F.when(n < width, n).when(n >= 3 * width - 1, F.lit(width)).otherwise(narrow).cast("int")
+
+
+def _windows(canon: DataFrame, keys: list[str], widths: Column) -> DataFrame:
+    """``(keys.., at, hash)`` of every window of ``widths`` (an array), with initial words as names and as words."""
+    both = F.transform("canon", lambda w: F.struct(F.xxhash64(_as_name(w)).alias("n"), F.xxhash64(_as_word(w)).alias("w")))
+    read = canon.select(*keys, both.alias("both"), widths.alias("widths")).select(*keys, "widths", F.col("both.n").alias("names"), F.col("both.w").alias("words"))
     # No filter: pushed below, it would canonicalise every text twice.
-    spread = canon.select(*keys, "canon", F.explode(F.when(last >= 0, F.sequence(F.lit(0), last))).alias("at"))
-    return spread.select(*keys, "at", F.xxhash64(F.slice("canon", F.col("at") + 1, F.lit(width))).alias("hash"))
+    last = lambda w: F.size("names") - w
+    places = F.flatten(
+        F.transform("widths", lambda w: F.when(last(w) >= 0, F.transform(F.sequence(F.lit(0), last(w)), lambda i: F.struct(w.alias("width"), i.alias("at")))).otherwise(F.array()))
+    )
+    spread = read.select(*keys, "names", "words", F.explode(places).alias("p")).select(*keys, "names", "words", "p.width", "p.at")
+    hashed = lambda c: F.xxhash64("width", F.slice(c, F.col("at") + 1, F.col("width")))
+    return spread.select(*keys, "at", F.explode(F.array_distinct(F.array(hashed("names"), hashed("words")))).alias("hash"))
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -117,52 +144,56 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, cov
     spark = docs.sparkSession
     items = benchmark.where("item_id is not null").groupBy("item_id").agg(F.min("text").alias("text"))
     plain = _plain(F.col("canon"), F.array().cast("array<string>"), {n: F.col(n) for _, n in _KINDS})
-    items = with_lists(items, "item_id").select("item_id", "canon", plain.alias("plain"), F.least(F.size("canon"), F.lit(width)).alias("width"))
+    items = with_lists(items, "item_id").select("item_id", "canon", plain.alias("plain"), _width(F.size("canon"), width).alias("width"))
     items = saved(items.where("width > 0"), "items")
     widths = sorted(r[0] for r in items.select("width").distinct().collect())  # at most ``width`` numbers
     if not widths:
         return spark.createDataFrame([], "doc_id long, item_id long, matched long, item_windows long, slots long, slots_consistent long")
     n_windows = F.size("canon") - F.col("width") + 1
-    known = reduce(DataFrame.unionByName, [_windows(items.where(F.col("width") == w), ["item_id"], w).withColumn("width", F.lit(w)) for w in widths])
-    known = saved(known.withColumnRenamed("at", "item_at"), "windows")
+    known = saved(_windows(items, ["item_id"], F.array("width")).distinct().withColumnRenamed("at", "item_at"), "windows")
     canon = canonical(docs.withColumn("row", _row()), "row")
-    hits = reduce(
-        DataFrame.unionByName,
-        [_windows(canon, ["row"], w).join(_small(known.where(F.col("width") == w).drop("width")), "hash") for w in widths],
-    ).select("row", "item_id", (F.col("at") - F.col("item_at")).alias("shift"), "item_at")
-    who = ["row", "item_id", "shift"]
-    sizes = items.select("item_id", n_windows.cast("long").alias("item_windows"))
-    runs = hits.distinct().groupBy(*who).agg(F.count("*").alias("matched"))
-    likely = saved(runs.join(_small(sizes), "item_id").where(F.col("matched") >= F.ceil(coverage * F.col("item_windows"))), "likely")
-
-    # From here on, only documents with a likely item.
+    shift = (F.col("at") - F.col("item_at")).alias("shift")
+    hits = _windows(canon, ["row"], F.array(*map(F.lit, widths))).join(_small(known), "hash").select("row", "item_id", shift, "item_at")
+    # Bands of alignments overlap by half, so what lies within ``half`` shifts is whole in one of them.
+    sizes = items.select("item_id", n_windows.cast("long").alias("item_windows"), (8 + F.floor(F.size("canon") / 8)).cast("int").alias("half"))
+    band = F.floor(F.col("shift") / F.col("half"))
+    hits = saved(hits.distinct().join(_small(sizes), "item_id").withColumn("band", F.explode(F.array(band, band - 1))), "hits")
+    who = ["row", "item_id", "band"]
+    enough = F.col("matched") >= F.ceil(coverage * F.col("item_windows"))
+    runs = hits.select(*who, "item_windows", "item_at").distinct().groupBy(*who, "item_windows").agg(F.count("*").alias("matched"))
+    likely = saved(runs.where(enough).select(*who), "likely")
+
+    # From here on, only documents with a likely item.  A window that matches on several alignments takes that of most matches.
+    held = hits.join(_small(likely), who)
+    often = held.groupBy(*who, "item_windows", "shift").agg(F.count("*").alias("n"), F.collect_list("item_at").alias("ats")).withColumn("item_at", F.explode("ats"))
+    taken = often.groupBy(*who, "item_windows", "item_at").agg(F.max_by("shift", F.struct("n", "shift")).alias("shift"))
+    listed = taken.groupBy(*who, "item_windows").agg(
+        F.collect_list(F.struct("item_at", (F.col("item_at") + F.col("shift")).alias("at"))).alias("hits"), F.min(F.col("item_at") + F.col("shift")).alias("start")
+    )
     some = docs.withColumn("row", _row()).join(_small(likely.select("row").distinct()), "row", "left_semi").dropDuplicates(["row"])
     valued = saved(with_lists(some, "row", "doc_id").withColumnRenamed("canon", "tokens"), "slots")
-    both = likely.join(valued, "row").join(_small(items.select("item_id", "canon", "plain", "width")), "item_id")
-    # Item and document side by side along the alignment; only this part of the document gets its values back.
-    start = F.greatest(F.col("shift"), F.lit(0))
-    skip = F.greatest(-F.col("shift"), F.lit(0))
-    both = both.withColumn("dc", F.slice("tokens", start + 1, F.size("canon") - skip))
-    both = both.withColumn("dp", _plain(F.col("dc"), F.slice("tokens", 1, start), {n: F.col(n) for _, n in _KINDS}))
+    both = listed.join(valued, "row").join(_small(items.select("item_id", "canon", "plain", "width")), "item_id")
+    # Only the part of the document that the band covers gets its values back.
+    span = F.array_max(F.transform("hits", lambda h: h["at"])) + F.col("width") - F.col("start")
+    both = both.withColumn("dc", F.slice("tokens", F.col("start") + 1, span))
+    both = both.withColumn("dp", _plain(F.col("dc"), F.slice("tokens", F.lit(1), F.col("start")), {n: F.col(n) for _, n in _KINDS}))
     # Written down, so that the expressions below read arrays and don't make them anew for each use.
-    aligned = saved(
-        both.select(
-            "row", "doc_id", "item_id", "shift", "item_windows", "width",
-            F.arrays_zip(F.slice("canon", skip + 1, F.size("canon")).alias("ic"), F.slice("plain", skip + 1, F.size("canon")).alias("ip"), "dc", "dp").alias("p"),
-            F.zip_with(F.slice("canon", skip + 1, F.size("canon")), F.col("dc"), lambda x, y: x.eqNullSafe(y)).alias("same"),
-        ),
-        "aligned",
-    )
-    ends = F.sequence(F.lit(1), F.greatest(F.size("p") - F.col("width") + 1, F.lit(1)))
+    aligned = saved(both.select(*who, "doc_id", "item_windows", "width", "hits", "start", "canon", "plain", "dc", "dp"), "aligned")
+    tokens = lambda h: F.transform(
+        F.sequence(F.lit(0), F.col("width") - 1), lambda k: F.struct((h["item_at"] + k).alias("i"), (h["at"] - F.col("start") + k).alias("d"))
+    )
+    ic, dc = (lambda x: F.get("canon", x["i"])), (lambda x: F.get("dc", x["d"]))
+    same = lambda x: _as_name(ic(x)).eqNullSafe(_as_name(dc(x))) | _as_word(ic(x)).eqNullSafe(_as_word(dc(x)))
     # Windows all of whose tokens agree (the hash said so; this is exact).
-    full = F.filter(ends, lambda i: F.forall(F.slice("same", i, F.col("width")), lambda x: x))
-    checked = aligned.withColumn("matched", F.size(full).cast("long"))
-    slots = F.filter("p", lambda x: x["ic"].eqNullSafe(x["dc"]) & x["ic"].isin("<num>", "<name>", "<unit>"))
-    judged = checked.where(F.col("matched") >= F.ceil(coverage * F.col("item_windows"))).select(
-        "doc_id", "row", "item_id", "shift", "matched", "item_windows", slots.alias("s")
+    checked = aligned.withColumn("full", F.filter("hits", lambda h: F.forall(tokens(h), same))).withColumn("matched", F.size("full").cast("long"))
+    met = F.array_distinct(F.flatten(F.transform("full", tokens)))
+    slots = F.transform(
+        F.filter(met, lambda x: _as_name(ic(x)).eqNullSafe(_as_name(dc(x))) & _as_name(ic(x)).isin("<num>", "<name>", "<unit>")),
+        lambda x: F.struct(F.get("plain", x["i"]).alias("ip"), F.get("dp", x["d"]).alias("dp")),
     )
+    judged = checked.where(enough).select("doc_id", *who, "matched", "item_windows", slots.alias("s"))
     # A slot agrees when the item's value there goes with the value it goes with most often.
-    key = ["row", "doc_id", "item_id", "shift", "matched", "item_windows"]
+    key = ["row", "doc_id", "item_id", "band", "matched", "item_windows"]
     each = judged.select(*key, F.explode_outer("s").alias("x")).groupBy(*key, F.col("x.ip").alias("theirs"), F.col("x.dp").alias("mine")).agg(F.count("x").alias("n"))
     agreed = each.groupBy(*key, "theirs").agg(F.max("n").alias("best"), F.sum("n").alias("n")).groupBy(*key).agg(F.sum("best").alias("slots_consistent"), F.sum("n").alias("slots"))
     best = F.max(F.struct("matched", "item_windows", "slots", "slots_consistent")).alias("m")

@@ -317,3 +317,23 @@ def test_kth_largest(spark):
 
 def test_all_operators_are_registered():
     assert [any(n.startswith(f"op{i}_") for n in registry.QUERIES) for i in range(1, 11)] == [True] * 10
+
+
+def test_decontamination_of_edited_items(spark):
+    long = " ".join(f"w{chr(97 + i // 26)}{chr(97 + i % 26)}" for i in range(60))
+    words = long.split()
+    items = spark.createDataFrame(
+        [(0, long), (1, "why does the old clock tower strike seven bells at noon"), (2, "Mary has 3 apples. John gives 4 more. Susan eats 2 now. Peter asks how many remain.")],
+        "item_id long, text string",
+    )
+    rows = [
+        (1, " ".join([*words[:30], "inserted", *words[30:]])),  # one word put in the middle
+        (2, " ".join([*words[:30], *words[31:]])),  # one left out
+        (3, "why does the old clock turret strike seven bells at noon"),  # one word changed in a short item
+        (4, "Anna has 5 apples. Karl gives 6 more. Laura eats 7 now. Oscar asks how many remain."),  # names at the starts of sentences
+        (5, " ".join(words[:20])),
+        (6, "why does the new house stand empty at noon"),
+        (7, "mary has 3 apples. john gives 4 more. susan eats 2 now. peter asks how many remain."),
+    ]
+    got = {(r["doc_id"], r["item_id"]) for r in contaminated(texts(docs_of(spark, rows)), items).collect()}
+    assert got == {(1, 0), (2, 0), (3, 1), (4, 2), (7, 2)}
