@@ -22,7 +22,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import zlib
-from bisect import bisect_right
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 
 import pandas as pd
@@ -101,7 +101,7 @@ def write_warc(pages: DataFrame, path: str, date: str = "2024-01-01T00:00:00Z")
 # -- reading -------------------------------------------------------------------
 def _headers(raw: bytes) -> dict[str, str]:
     lines = raw.decode("utf-8", "replace").split("\r\n")
-    return {k.lower(): v.strip() for k, _, v in (x.partition(":") for x in lines[1:])} | {"": lines[0]}
+    return {k.lower(): v.strip(" \t") for k, _, v in (x.partition(":") for x in lines[1:])} | {"": lines[0]}
 
 
 def parse_record(raw: bytes) -> tuple[dict[str, str], dict[str, str], bytes]:
@@ -229,12 +229,22 @@ class CaptureIndex:
         """
         directory = self._group(self.blocks.select("first_key"), "first_key").groupBy("region").agg(F.sort_array(F.collect_list("first_key")).alias("firsts"))
         # A key below its region's first block belongs to the block before it.
-        wanted = self._group(keys.select("key"), "key").join(directory, "region")
+        # Equal keys may go on over blocks, from the last one that starts below the key: that may be of an earlier region.
+        top = self.spark.sparkContext.broadcast(self.top)
+
+        def regions(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for pdf in batches:
+                places = [sorted({max(0, bisect_left(top.value, k) - 1), max(0, bisect_right(top.value, k) - 1)}) for k in pdf["key"]]
+                yield pdf.assign(region=places).explode("region").astype({"region": "int32"})
+
+        wanted = keys.select("key").mapInPandas(regions, "key string, region int").join(directory, "region")
 
         def block_of(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for pdf in batches:
-                at = [max(0, bisect_right(f, k) - 1) for k, f in zip(pdf["key"], map(list, pdf["firsts"]), strict=True)]
-                yield pd.DataFrame({"key": pdf["key"], "first_key": [f[i] for f, i in zip(pdf["firsts"], at, strict=True)]})
+                rows = []
+                for k, f in zip(pdf["key"], map(list, pdf["firsts"]), strict=True):
+                    rows += [(k, x) for x in dict.fromkeys(f[max(0, bisect_left(f, k) - 1) : max(1, bisect_right(f, k))])]
+                yield pd.DataFrame(rows, columns=["key", "first_key"])
 
         placed = wanted.mapInPandas(block_of, "key string, first_key string")
         asked = placed.groupBy("first_key").agg(F.collect_set("key").alias("keys"))  # keys name single captures: about BLOCK_LINES of them

@@ -337,3 +337,9 @@ def test_decontamination_of_edited_items(spark):
     ]
     got = {(r["doc_id"], r["item_id"]) for r in contaminated(texts(docs_of(spark, rows)), items).collect()}
     assert got == {(1, 0), (2, 0), (3, 1), (4, 2), (7, 2)}
+
+
+def test_warc_of_repeated_pages(spark):
+    rows = [(i, f"http://host{i % 7}.example/{i}", f"page {i}") for i in range(700)] * 3 + [(None, "http://one.example/", "none")] * 1300 + [(9000, "http://blank.example/a\u00a0", "blank"), (9001, "http://blank.example/b\u3000", "blank")]
+    got = archive_and_read(spark.createDataFrame(rows, "page_id long, url string, html string"))
+    assert Counter(r["page_id"] for r in got.collect()) == Counter(i for i, _, _ in rows)
