@@ -12,11 +12,18 @@ and not when templates agree by chance.
 Matched windows add up over a band of alignments, so that words put in or left
 out on the way cost only the windows they stand in.  Items of under 23 tokens take
 narrower windows, of which one changed word leaves half; those of under eight
-are one window as a whole.
+are one window as a whole.  Windows of fewer than two ordinary words tell
+nothing and don't count.  Items of under five tokens, or without a telling
+window, are found only in documents that are the item as a whole, word by word.
 
 A name is a capitalised word inside a sentence.  A capitalised word elsewhere (at
-the start of a sentence) may be one: windows are tried both ways.  Null texts are empty and match nothing; null item ids are
-left out; a repeated row counts once.
+the start of a sentence) may be one: windows are tried both ways.
+
+Items of one template are one while windows are joined, and texts that are equal
+are one row, so neither copies of a document nor variants of a question multiply
+each other before values are compared.  Null texts are empty and match nothing;
+null item ids are left out; a repeated row counts once; rows that repeat an id
+are reported if one of them is.
 """
 
 from __future__ import annotations
@@ -29,6 +36,12 @@ from pyspark.sql import functions as F
 from hubloom.llm.common import saved
 
 WINDOW = 8
+#: Widths of windows by the tokens that an item needs at least; one changed word leaves half of ``3 * w - 1`` tokens' windows.
+WIDTHS = ((8, 3), (14, 5), (23, WINDOW))
+#: Items of fewer tokens are looked for as whole documents only.
+LEAST_TOKENS = 5
+#: Ordinary words (no placeholders) without which a window tells nothing.
+LEAST_WORDS = 2
 #: Share of an item's windows that one document must match on one band of alignments.
 COVERAGE = 0.5
 #: Share of slots that must agree with a one-to-one renaming.
@@ -55,7 +68,7 @@ def _steps(text: Column) -> tuple[Column, Column, Column, Column]:
     own = F.contains(text, F.lit("<")) | F.contains(text, F.lit(">"))
     clean = F.when(own, F.regexp_replace(text, "[<>]", " ")).otherwise(text)  # so that placeholders are ours
     # Capitalised words left over keep their letters behind a mark of their own.
-    named = F.regexp_replace(F.regexp_replace(clean, _NAME, "<name>"), _INITIAL, "<<$0>")
+    named = F.regexp_replace(F.regexp_replace(clean, _NAME, "<name>"), _INITIAL, "<<$0")
     counted = F.lower(F.regexp_replace(named, _NUMBER, "<num>"))
     return clean, named, counted, F.regexp_replace(counted, _UNIT, "<num> <unit>")
 
@@ -65,12 +78,13 @@ def _tokens(final: Column) -> Column:
 
 
 def _row() -> Column:
-    return F.xxhash64(F.coalesce("doc_id", F.lit(-(2**63))), F.col("text"))
+    return F.xxhash64("text")
 
 
 def canonical(docs: DataFrame, *keys: str) -> DataFrame:
-    """``(keys.., canon array<string>)``: the canonical tokens of ``text``."""
-    return docs.select(*keys, _tokens(_steps(F.col("text"))[3]).alias("canon"))
+    """``(keys.., words, names array<string>)``: canonical tokens of ``text``, with capitalised words at a start as words and as names."""
+    final = docs.select(*keys, _steps(F.col("text"))[3].alias("final"))
+    return final.select(*keys, _tokens(F.replace("final", F.lit("<<"), F.lit(""))).alias("words"), _tokens(F.regexp_replace("final", r"<<\p{L}+", "<name>")).alias("names"))
 
 
 def with_lists(docs: DataFrame, *keys: str) -> DataFrame:
@@ -112,24 +126,20 @@ def _as_word(word: Column) -> Column:
     return F.when(F.startswith(word, F.lit("<<")), F.regexp_replace(word, "[<>]", "")).otherwise(word)
 
 
-def _width(n: Column, width: int) -> Column:
-    """Window width of an item of ``n`` tokens: one changed word leaves half of the windows of ``3 * w - 1`` tokens."""
-    narrow = reduce(lambda rest, w: F.when(n >= 3 * w - 1, F.lit(w)).otherwise(rest), range(3, width, 2), F.lit(width))
-    return F.when(n < width, n).when(n >= 3 * width - 1, F.lit(width)).otherwise(narrow).cast("int")
+def _width(n: Column) -> Column:
+    """Window width of an item of ``n`` tokens."""
+    return reduce(lambda rest, w: F.when(n >= w[0], F.lit(w[1])).otherwise(rest), WIDTHS, n).cast("int")
 
 
-def _windows(canon: DataFrame, keys: list[str], widths: Column) -> DataFrame:
-    """``(keys.., at, hash)`` of every window of ``widths`` (an array), with initial words as names and as words."""
-    both = F.transform("canon", lambda w: F.struct(F.xxhash64(_as_name(w)).alias("n"), F.xxhash64(_as_word(w)).alias("w")))
-    read = canon.select(*keys, both.alias("both"), widths.alias("widths")).select(*keys, "widths", F.col("both.n").alias("names"), F.col("both.w").alias("words"))
+def _windows(tokens: DataFrame, keys: list[str], widths: Column) -> DataFrame:
+    """``(keys.., width, at, hash)`` of every window of ``widths`` (an array), with initial words as names and as words."""
+    each = tokens.select(*keys, "words", "names", F.explode(widths).alias("width"))
     # No filter: pushed below, it would canonicalise every text twice.
-    last = lambda w: F.size("names") - w
-    places = F.flatten(
-        F.transform("widths", lambda w: F.when(last(w) >= 0, F.transform(F.sequence(F.lit(0), last(w)), lambda i: F.struct(w.alias("width"), i.alias("at")))).otherwise(F.array()))
-    )
-    spread = read.select(*keys, "names", "words", F.explode(places).alias("p")).select(*keys, "names", "words", "p.width", "p.at")
+    last = F.size("words") - F.col("width")
+    placed = each.select(*keys, "words", "names", "width", F.explode(F.when(last >= 0, F.sequence(F.lit(0), last))).alias("at"))
     hashed = lambda c: F.xxhash64("width", F.slice(c, F.col("at") + 1, F.col("width")))
-    return spread.select(*keys, "at", F.explode(F.array_distinct(F.array(hashed("names"), hashed("words")))).alias("hash"))
+    both = placed.select(*keys, "width", "at", hashed("words").alias("w"), hashed("names").alias("n"))
+    return both.select(*keys, "width", "at", F.explode(F.when(F.col("w") == F.col("n"), F.array("w")).otherwise(F.array("w", "n"))).alias("hash"))
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -144,21 +154,23 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, cov
     spark = docs.sparkSession
     items = benchmark.where("item_id is not null").groupBy("item_id").agg(F.min("text").alias("text"))
     plain = _plain(F.col("canon"), F.array().cast("array<string>"), {n: F.col(n) for _, n in _KINDS})
-    items = with_lists(items, "item_id").select("item_id", "canon", plain.alias("plain"), _width(F.size("canon"), width).alias("width"))
-    items = saved(items.where("width > 0"), "items")
-    widths = sorted(r[0] for r in items.select("width").distinct().collect())  # at most ``width`` numbers
+    items = with_lists(items, "item_id").select("item_id", "canon", plain.alias("plain"), F.xxhash64("canon").alias("template"))
+    items = saved(items.where(F.size("canon") > 0).withColumn("width", _width(F.size("canon"))), "items")
+    templates = items.where(F.size("canon") >= LEAST_TOKENS).groupBy("template").agg(F.first("canon").alias("canon"), F.first("width").alias("width"))
+    known = saved(_known_windows(templates), "windows")
+    sizes = known.groupBy("template").agg(F.countDistinct("item_at").alias("item_windows"))
+    sizes = saved(templates.join(sizes, "template").select("template", "item_windows", "width", (8 + F.floor(F.size("canon") / 8)).cast("int").alias("half")), "sizes")
+    widths = sorted(r[0] for r in sizes.select("width").distinct().collect())  # at most WINDOW numbers
+    whole = _whole_documents(docs, items.join(sizes, "template", "left_anti"))
     if not widths:
-        return spark.createDataFrame([], "doc_id long, item_id long, matched long, item_windows long, slots long, slots_consistent long")
-    n_windows = F.size("canon") - F.col("width") + 1
-    known = saved(_windows(items, ["item_id"], F.array("width")).distinct().withColumnRenamed("at", "item_at"), "windows")
-    canon = canonical(docs.withColumn("row", _row()), "row")
+        return whole
     shift = (F.col("at") - F.col("item_at")).alias("shift")
-    hits = _windows(canon, ["row"], F.array(*map(F.lit, widths))).join(_small(known), "hash").select("row", "item_id", shift, "item_at")
+    tokens = canonical(docs.select(_row().alias("row"), "text"), "row")
+    hits = _windows(tokens, ["row"], F.array(*map(F.lit, widths))).join(_small(known), ["width", "hash"]).select("row", "template", shift, "item_at")
     # Bands of alignments overlap by half, so what lies within ``half`` shifts is whole in one of them.
-    sizes = items.select("item_id", n_windows.cast("long").alias("item_windows"), (8 + F.floor(F.size("canon") / 8)).cast("int").alias("half"))
     band = F.floor(F.col("shift") / F.col("half"))
-    hits = saved(hits.distinct().join(_small(sizes), "item_id").withColumn("band", F.explode(F.array(band, band - 1))), "hits")
-    who = ["row", "item_id", "band"]
+    hits = saved(hits.distinct(), "hits").join(_small(sizes), "template").withColumn("band", F.explode(F.array(band, band - 1)))
+    who = ["row", "template", "band"]
     enough = F.col("matched") >= F.ceil(coverage * F.col("item_windows"))
     runs = hits.select(*who, "item_windows", "item_at").distinct().groupBy(*who, "item_windows").agg(F.count("*").alias("matched"))
     likely = saved(runs.where(enough).select(*who), "likely")
@@ -170,36 +182,53 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, cov
     listed = taken.groupBy(*who, "item_windows").agg(
         F.collect_list(F.struct("item_at", (F.col("item_at") + F.col("shift")).alias("at"))).alias("hits"), F.min(F.col("item_at") + F.col("shift")).alias("start")
     )
-    some = docs.withColumn("row", _row()).join(_small(likely.select("row").distinct()), "row", "left_semi").dropDuplicates(["row"])
-    valued = saved(with_lists(some, "row", "doc_id").withColumnRenamed("canon", "tokens"), "slots")
-    both = listed.join(valued, "row").join(_small(items.select("item_id", "canon", "plain", "width")), "item_id")
+    # Bands of the same matches are one; then every item of the template is looked at with its own values.
+    listed = listed.groupBy("row", "template", "item_windows", "start", F.sort_array("hits").alias("hits")).agg(F.min("band").alias("band"))
+    some = docs.select(_row().alias("row"), "text").join(_small(likely.select("row").distinct()), "row", "left_semi").dropDuplicates(["row"])
+    valued = saved(with_lists(some, "row").withColumnRenamed("canon", "tokens"), "slots")
+    both = listed.join(valued, "row").join(_small(items.select("item_id", "template", "canon", "plain", "width")), "template")
     # Only the part of the document that the band covers gets its values back.
     span = F.array_max(F.transform("hits", lambda h: h["at"])) + F.col("width") - F.col("start")
     both = both.withColumn("dc", F.slice("tokens", F.col("start") + 1, span))
     both = both.withColumn("dp", _plain(F.col("dc"), F.slice("tokens", F.lit(1), F.col("start")), {n: F.col(n) for _, n in _KINDS}))
     # Written down, so that the expressions below read arrays and don't make them anew for each use.
-    aligned = saved(both.select(*who, "doc_id", "item_windows", "width", "hits", "start", "canon", "plain", "dc", "dp"), "aligned")
-    tokens = lambda h: F.transform(
+    aligned = saved(both.select("row", "item_id", "band", "item_windows", "width", "hits", "start", "canon", "plain", "dc", "dp"), "aligned")
+    each = lambda h: F.transform(
         F.sequence(F.lit(0), F.col("width") - 1), lambda k: F.struct((h["item_at"] + k).alias("i"), (h["at"] - F.col("start") + k).alias("d"))
     )
     ic, dc = (lambda x: F.get("canon", x["i"])), (lambda x: F.get("dc", x["d"]))
     same = lambda x: _as_name(ic(x)).eqNullSafe(_as_name(dc(x))) | _as_word(ic(x)).eqNullSafe(_as_word(dc(x)))
     # Windows all of whose tokens agree (the hash said so; this is exact).
-    checked = aligned.withColumn("full", F.filter("hits", lambda h: F.forall(tokens(h), same))).withColumn("matched", F.size("full").cast("long"))
-    met = F.array_distinct(F.flatten(F.transform("full", tokens)))
+    checked = aligned.withColumn("full", F.filter("hits", lambda h: F.forall(each(h), same))).withColumn("matched", F.size("full").cast("long"))
+    met = F.array_distinct(F.flatten(F.transform("full", each)))
     slots = F.transform(
         F.filter(met, lambda x: _as_name(ic(x)).eqNullSafe(_as_name(dc(x))) & _as_name(ic(x)).isin("<num>", "<name>", "<unit>")),
         lambda x: F.struct(F.get("plain", x["i"]).alias("ip"), F.get("dp", x["d"]).alias("dp")),
     )
-    judged = checked.where(enough).select("doc_id", *who, "matched", "item_windows", slots.alias("s"))
+    key = ["row", "item_id", "band", "matched", "item_windows"]
+    judged = checked.where(enough).select(*key, slots.alias("s"))
     # A slot agrees when the item's value there goes with the value it goes with most often.
-    key = ["row", "doc_id", "item_id", "band", "matched", "item_windows"]
-    each = judged.select(*key, F.explode_outer("s").alias("x")).groupBy(*key, F.col("x.ip").alias("theirs"), F.col("x.dp").alias("mine")).agg(F.count("x").alias("n"))
-    agreed = each.groupBy(*key, "theirs").agg(F.max("n").alias("best"), F.sum("n").alias("n")).groupBy(*key).agg(F.sum("best").alias("slots_consistent"), F.sum("n").alias("slots"))
+    pairs = judged.select(*key, F.explode_outer("s").alias("x")).groupBy(*key, F.col("x.ip").alias("theirs"), F.col("x.dp").alias("mine")).agg(F.count("x").alias("n"))
+    agreed = pairs.groupBy(*key, "theirs").agg(F.max("n").alias("best"), F.sum("n").alias("n")).groupBy(*key).agg(F.sum("best").alias("slots_consistent"), F.sum("n").alias("slots"))
     best = F.max(F.struct("matched", "item_windows", "slots", "slots_consistent")).alias("m")
-    return (
-        agreed.where(F.col("slots_consistent") >= consistency * F.col("slots"))
-        .groupBy("doc_id", "item_id")
-        .agg(best)
-        .select("doc_id", "item_id", "m.matched", "m.item_windows", "m.slots", "m.slots_consistent")
-    )
+    found = saved(agreed.where(F.col("slots_consistent") >= consistency * F.col("slots")).groupBy("row", "item_id").agg(best), "found")
+    named = docs.select("doc_id", _row().alias("row")).join(_small(found), "row").groupBy("doc_id", "item_id").agg(F.max("m").alias("m"))
+    return named.select("doc_id", "item_id", "m.matched", "m.item_windows", "m.slots", "m.slots_consistent").unionByName(whole)
+
+
+def _known_windows(templates: DataFrame) -> DataFrame:
+    """``(width, hash, template, item_at)`` of the telling windows of ``templates(template, canon, width)``."""
+    ordinary = F.filter(F.slice("canon", F.col("at") + 1, F.col("width")), lambda w: ~w.isin(*[k for k, _ in _KINDS]))
+    tokens = templates.select("template", "width", "canon", F.transform("canon", _as_word).alias("words"), F.transform("canon", _as_name).alias("names"))
+    at = _windows(tokens.withColumnRenamed("width", "w"), ["template", "canon"], F.array("w"))
+    return at.where(F.size(ordinary) >= LEAST_WORDS).select("width", "hash", "template", F.col("at").alias("item_at")).distinct()
+
+
+def _whole_documents(docs: DataFrame, items: DataFrame) -> DataFrame:
+    """Documents that are an item of ``items(item_id, plain)`` word by word; an item is one window."""
+    few = saved(items.select("item_id", F.xxhash64("plain").alias("whole")), "short")
+    one = [F.lit(n).cast("long").alias(c) for c, n in (("matched", 1), ("item_windows", 1), ("slots", 0), ("slots_consistent", 0))]
+    if few.isEmpty():
+        return docs.sparkSession.createDataFrame([], "doc_id long, item_id long, matched long, item_windows long, slots long, slots_consistent long")
+    words = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
+    return docs.select("doc_id", F.xxhash64(words).alias("whole")).join(_small(few), "whole").select("doc_id", "item_id", *one).distinct()

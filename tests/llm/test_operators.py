@@ -343,3 +343,12 @@ def test_warc_of_repeated_pages(spark):
     rows = [(i, f"http://host{i % 7}.example/{i}", f"page {i}") for i in range(700)] * 3 + [(None, "http://one.example/", "none")] * 1300 + [(9000, "http://blank.example/a\u00a0", "blank"), (9001, "http://blank.example/b\u3000", "blank")]
     got = archive_and_read(spark.createDataFrame(rows, "page_id long, url string, html string"))
     assert Counter(r["page_id"] for r in got.collect()) == Counter(i for i, _, _ in rows)
+
+
+def test_decontamination_of_items_that_tell_little(spark):
+    items = spark.createDataFrame([(0, "42"), (1, "the"), (2, "1, 2, 3, 4, 5, 6, 7, 8, 9"), (3, "What is 3 plus 4 in the old town hall?"), (4, "What is 5 plus 6 in the old town hall?")], "item_id long, text string")
+    rows = [(1, "There are 42 of the kind, 43 of the other."), (2, "42"), (3, " The. "), (4, "9 8 7 6 5 4 3 2 1"), (5, "So: what is 3 plus 4 in the old town hall?"), (6, "1 2 3 4 5 6 7 8 9")]
+    found = contaminated(texts(docs_of(spark, rows)), items)
+    assert {(r["doc_id"], r["item_id"]) for r in found.collect()} == {(2, 0), (3, 1), (6, 2), (5, 3), (5, 4)}
+    plan = found._jdf.queryExecution().toString()
+    assert "Python" not in plan and "Arrow" not in plan
