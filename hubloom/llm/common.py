@@ -79,6 +79,22 @@ def saved(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Buckets of a table at most (Spark's own limit is 100,000).
+MOST_BUCKETS = 50_000
+
+
+def saved_in_place(df: DataFrame, key: str, parts: int, label: str) -> DataFrame:
+    """Like ``saved``, as a table bucketed by ``key``: a later join on it alone does not shuffle these rows.
+
+    ``key`` should be one value a task, so that a task writes one file.
+    """
+    spark = df.sparkSession
+    path = scratch_dir(spark, label)
+    name = f"hubloom_{label}_{path[-12:]}"
+    df.write.bucketBy(max(1, min(parts, MOST_BUCKETS)), key).option("path", path).saveAsTable(name)
+    return spark.table(name)
+
+
 def release_shuffles(spark: SparkSession) -> None:
     """Let Spark delete the shuffle files of finished steps: their owners are garbage once their result is saved."""
     gc.collect()

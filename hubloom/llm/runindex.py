@@ -36,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubloom.llm.common import release_shuffles, saved
+from hubloom.llm.common import release_shuffles, saved, saved_in_place
 from hubloom.llm.katz import _deltas, _keys, _pack, _unpack
 
 LENGTH = 50
@@ -327,7 +327,14 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
     ``(doc_id, n_bytes, n_removed, n_spans, spans array<struct<start,end>>, kept binary)``.
     """
     spark = docs.sparkSession
-    batches = saved(text_batches(docs), "texts")
+    # Written where they were read and never shuffled: answers come to them by the task that wrote them.
+    home = F.shiftright("batch", 32).cast("int").alias("home")
+    batches = saved_in_place(text_batches(docs).select(home, "batch", "coded"), "home", docs.rdd.getNumPartitions(), "texts")
+
+    def with_answers(answers: DataFrame, how: str) -> DataFrame:
+        theirs = answers.select(home, F.col("batch").alias("of"), *[c for c in answers.columns if c != "batch"])
+        return batches.join(theirs, (batches["home"] == theirs["home"]) & (batches["batch"] - theirs["of"] == 0), how).drop(theirs["home"])
+
     size = batches.agg(F.coalesce(F.sum(F.octet_length("coded")), F.lit(0))).first()[0]
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // PARTITION_BYTES))
     shape = "slot int, batch long, blob binary"
@@ -351,7 +358,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
         ends = np.cumsum([len(k) for k in keys])[:-1]
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": [_pack(s) for s in np.split(state, ends)]})
 
-    states = saved(batches.mapInPandas(anchors_of, shape).groupBy("slot").applyInPandas(shared, shape), "states")
+    states = saved(batches.select("batch", "coded").mapInPandas(anchors_of, shape).groupBy("slot").applyInPandas(shared, shape), "states")
     release_shuffles(spark)
     # One row a batch: at most one packed answer a partition.
     answers = states.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("states"))
@@ -372,13 +379,13 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
                 np.minimum.at(least, of, b.ids[b.doc[starts]])
                 order, cut = _slots(group, parts)
                 # Below zero: where the units occur, for the batch itself; it only passes through.
-                size = np.array([len(u) for u in units], dtype=np.uint8)
+                size = np.array([len(u) for u in units], dtype=np.uint32)
                 rows = [(-1 - int(batch) % parts, batch, _pack(of.astype(np.uint32), starts.astype(np.uint32), size, order.astype(np.uint32), cut.astype(np.uint32)))]
                 for p in range(parts):
                     at = order[cut[p] : cut[p + 1]]
                     if len(at):
                         part = [units[i] for i in at.tolist()]
-                        rows.append((p, batch, _pack(group[at], least[at], np.array([len(u) for u in part], dtype=np.uint8), np.frombuffer(b"".join(part), dtype=np.uint8))))
+                        rows.append((p, batch, _pack(group[at], least[at], np.array([len(u) for u in part], dtype=np.uint32), np.frombuffer(b"".join(part), dtype=np.uint8))))
                 yield pd.DataFrame(rows, columns=["slot", "batch", "blob"])
 
     def search(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -406,10 +413,10 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
         out = []
         for mine in per_row:
             lists = [found[n] for n in mine]
-            out.append(_pack(np.array([len(x) for x in lists], dtype=np.uint8), np.concatenate([np.zeros(0, np.int64), *lists]).astype(np.int64)))
+            out.append(_pack(np.array([len(x) for x in lists], dtype=np.uint32), np.concatenate([np.zeros(0, np.int64), *lists]).astype(np.int64)))
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": out})
 
-    least = saved(batches.join(answers, "batch").mapInPandas(units_of, shape).groupBy("slot").applyInPandas(search, shape), "least")
+    least = saved(with_answers(answers, "inner").select("batch", "coded", "states").mapInPandas(units_of, shape).groupBy("slot").applyInPandas(search, shape), "least")
     release_shuffles(spark)
     settled = least.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("least"))
 
@@ -460,6 +467,6 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
         out = pd.DataFrame(rows, columns=["doc_id", "n_bytes", "n_removed", "n_spans", "spans", "kept"])
         return out.astype({"doc_id": "Int64"})
 
-    return batches.join(settled, "batch", "left").mapInPandas(
+    return with_answers(settled, "left").select("coded", "least").mapInPandas(
         cut_texts, "doc_id long, n_bytes long, n_removed long, n_spans long, spans array<struct<start:long,end:long>>, kept binary"
     )
