@@ -198,7 +198,7 @@ def pieces(data: np.ndarray, doc: np.ndarray, length: int, k: int) -> tuple[np.n
 class TextBatch:
     """Whole documents as one byte array, with their pieces."""
 
-    def __init__(self, blob: bytes, length: int, anchor: int):
+    def __init__(self, blob: bytes, length: int, anchor: int, cut_bits: int = 0):
         ids, sizes, data = _unpack(blob)
         self.ids, self.sizes, self.data = ids, sizes, data
         self.doc = np.repeat(np.arange(len(ids), dtype=np.int32), sizes)
@@ -211,7 +211,7 @@ class TextBatch:
             found.append((a, f + lo, e + lo))
             lo = hi
         none = np.zeros(0, dtype=np.int64)
-        self.anchor = np.concatenate([none.astype(np.uint64), *[x[0] for x in found]])
+        self.anchor = np.concatenate([none.astype(np.uint64), *[x[0] for x in found]]) >> np.uint64(cut_bits)
         self.first, self.last = (np.concatenate([none, *[x[i] for x in found]]) for i in (1, 2))
         self.keys, self.key_of = np.unique(self.anchor, return_inverse=True)
         self.raw, self.length = data.tobytes(), length
@@ -338,11 +338,17 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
     size = batches.agg(F.coalesce(F.sum(F.octet_length("coded")), F.lit(0))).first()[0]
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // PARTITION_BYTES))
     shape = "slot int, batch long, blob binary"
+    # Anchors that agree by chance are only searched together, so their hashes need few bits beyond the number of anchors.
+    cut_bits = max(0, 64 - 12 - int(size).bit_length())
+
+    def dealt(rows: DataFrame) -> DataFrame:
+        """As many tasks as the partitions that the size of the texts asks for."""
+        return rows.repartition(parts, "slot").groupBy("slot")
 
     def anchors_of(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in frames:
             for batch, blob in zip(pdf["batch"], pdf["coded"], strict=True):
-                b = TextBatch(blob, length, anchor)
+                b = TextBatch(blob, length, anchor, cut_bits)
                 order, cut = _slots(b.keys, parts)
                 multi, count = b.multi(), np.bincount(b.key_of, minlength=len(b.keys)).astype(np.uint32)
                 rows = [(p, batch, _pack(_deltas(b.keys[at]), multi[at], count[at])) for p in range(parts) if len(at := order[cut[p] : cut[p + 1]])]
@@ -358,7 +364,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
         ends = np.cumsum([len(k) for k in keys])[:-1]
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": [_pack(s) for s in np.split(state, ends)]})
 
-    states = saved(batches.select("batch", "coded").mapInPandas(anchors_of, shape).groupBy("slot").applyInPandas(shared, shape), "states")
+    states = saved(dealt(batches.select("batch", "coded").mapInPandas(anchors_of, shape)).applyInPandas(shared, shape), "states")
     release_shuffles(spark)
     # One row a batch: at most one packed answer a partition.
     answers = states.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("states"))
@@ -373,7 +379,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
     def units_of(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in frames:
             for batch, blob, got in zip(pdf["batch"], pdf["coded"], pdf["states"], strict=True):
-                b = TextBatch(blob, length, anchor)
+                b = TextBatch(blob, length, anchor, cut_bits)
                 units, group, of, starts = b.units(state_of(b, got))
                 least = np.full(len(units), np.iinfo(np.int64).max)
                 np.minimum.at(least, of, b.ids[b.doc[starts]])
@@ -416,7 +422,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
             out.append(_pack(np.array([len(x) for x in lists], dtype=np.uint32), np.concatenate([np.zeros(0, np.int64), *lists]).astype(np.int64)))
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": out})
 
-    least = saved(with_answers(answers, "inner").select("batch", "coded", "states").mapInPandas(units_of, shape).groupBy("slot").applyInPandas(search, shape), "least")
+    least = saved(dealt(with_answers(answers, "inner").select("batch", "coded", "states").mapInPandas(units_of, shape)).applyInPandas(search, shape), "least")
     release_shuffles(spark)
     settled = least.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("least"))
 
