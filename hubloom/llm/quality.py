@@ -1,12 +1,18 @@
 """Quality classification by importance resampling.
 
 Two generative models of hashed n-grams - of the target texts (labelled good and
-not toxic) and of the raw corpus - give each n-gram a log ratio.  A document's
-importance weight is calibrated from those ratios (their mean, the mass of
-strongly raw-only n-grams and its share) on a bounded sample of labelled rows,
-and the corpus is resampled without replacement by Gumbel top-k: the k documents
-of largest ``log weight + Gumbel noise``, k being the number of documents whose
-weight favours the target.  Documents outside the sample are rejected.
+not toxic) and of the raw corpus - give each n-gram a log ratio, and a text the
+sum of those of its n-grams.  The corpus is resampled without replacement by
+Gumbel top-k: the k documents of largest ``log weight + Gumbel noise``, k being
+the number of documents whose weight favours the target.  Documents outside the
+sample are rejected.
+
+``weigh="ratio"`` takes the sum as the log weight, as it is.  A long text with a
+few words of the worst kind then still has a large sum, and many are kept; so
+``weigh="calibrated"``, the default, fits the weight by what the ratios of a
+text say - their mean, the mass of strongly raw-only words, its share, and the
+strongest - on a bounded sample of labelled rows, and scales the noise down to
+the size of such log odds.
 
 The raw model covers all rows; a task sends one dense vector of ``BUCKETS``
 counts for each model, never an n-gram.  Labels are read by a bounded sample, the
@@ -15,9 +21,10 @@ quarters of it make the target model, one quarter the calibration.
 
 Null texts are empty; an empty text has neutral ratios.  Noise is a function of
 id and text, so repeated rows tie and are kept or rejected together: at the k-th
-key all tied rows are kept.  Labels without a document, and null labels, are left
-out; of contradicting labels the worst counts.  Without labels of both kinds
-every document is kept.
+key all tied rows are kept.  Rows that repeat a labelled id count once in the
+calibration, by the least hash of their text.  Labels without a document, and
+null labels, are left out; of contradicting labels the worst counts.  Without
+labels of both kinds every document is kept; without documents none is.
 """
 
 from __future__ import annotations
@@ -29,7 +36,7 @@ import numpy as np
 import pandas as pd
 import xxhash
 from pyspark import Broadcast
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from hubloom.llm.common import saved
@@ -162,8 +169,10 @@ def label_sample(labels: DataFrame, rows: int = SAMPLE_ROWS) -> pd.DataFrame:
     return hashed.select("doc_id", "good", (F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(4)) == 0).alias("fit")).toPandas()
 
 
-def score_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
+def score_documents(docs: DataFrame, labels: DataFrame, weigh: str = "calibrated") -> DataFrame:
     """``(doc_id, row, log_ratio, log_weight, key)`` of every row of ``docs(doc_id, text)``."""
+    if weigh not in ("calibrated", "ratio"):
+        raise ValueError(f"unknown weight: {weigh}")
     spark = docs.sparkSession
     sample = label_sample(labels)
     target_ids = spark.sparkContext.broadcast(frozenset(sample.loc[sample["good"] & ~sample["fit"], "doc_id"].tolist()))
@@ -182,24 +191,32 @@ def score_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
     row = F.xxhash64(F.coalesce(F.col("doc_id"), F.lit(-(2**63))), F.col("text")).alias("row")
     shape = "doc_id long, row long, grams long, " + ", ".join(f"{f} double" for f in FEATURES)
     seen = saved(docs.select("doc_id", row, "text").mapInPandas(measure, shape), "quality")
-    fit = spark.createDataFrame(sample.loc[sample["fit"], ["doc_id", "good"]].reset_index(drop=True), "doc_id long, good boolean")
-    known = seen.join(F.broadcast(fit), "doc_id").select("good", *FEATURES).limit(4 * SAMPLE_ROWS).toPandas()  # ids may repeat
-    if known["good"].nunique() < 2:
+    log_ratio = F.col("mean") * F.col("grams")
+    log_weight, scale = log_ratio, 1.0
+    if weigh == "calibrated":
+        fit = spark.createDataFrame(sample.loc[sample["fit"], ["doc_id", "good"]].reset_index(drop=True), "doc_id long, good boolean")
+        once = seen.join(F.broadcast(fit), "doc_id").groupBy("doc_id", "good").agg(F.min_by(F.struct(*FEATURES), "row").alias("f"))  # at most a row a label
+        known = once.orderBy("doc_id").select("good", "f.*").toPandas()
         weights = np.array([0.0] * len(FEATURES) + [1.0])
-    else:
-        weights = calibrate(known[FEATURES].to_numpy(), known["good"].astype(float).to_numpy())
-    log_weight = F.lit(float(weights[-1]))
-    for f, w in zip(FEATURES, weights, strict=False):
-        log_weight = log_weight + F.lit(float(w)) * F.col(f)
-    # Gumbel noise from the row's own hash: uniform in (0, 1), then -log(-log(u)).
-    u = (F.pmod(F.xxhash64(F.col("row"), F.lit(2024)), F.lit(1 << 40)) + 0.5) / float(1 << 40)
-    noise = -F.log(-F.log(u)) * TEMPERATURE
-    return seen.select("doc_id", "row", (F.col("mean") * F.col("grams")).alias("log_ratio"), log_weight.alias("log_weight"), (log_weight + noise).alias("key"))
-
-
-def resample(docs: DataFrame, labels: DataFrame, k: int | None = None) -> DataFrame:
+        if known["good"].nunique() == 2:
+            weights = calibrate(known[FEATURES].to_numpy(), known["good"].astype(float).to_numpy())
+        log_weight, scale = F.lit(float(weights[-1])), TEMPERATURE
+        for f, w in zip(FEATURES, weights, strict=False):
+            log_weight = log_weight + F.lit(float(w)) * F.col(f)
+    elif sample["good"].nunique() < 2:
+        log_weight = F.lit(1.0)
+    return seen.select("doc_id", "row", log_ratio.alias("log_ratio"), log_weight.alias("log_weight"), (log_weight + gumbel(F.col("row")) * scale).alias("key"))
+
+
+def gumbel(row: Column) -> Column:
+    """Gumbel noise of a row's hash: a uniform number in (0, 1), then -log(-log(u))."""
+    u = (F.pmod(F.xxhash64(row, F.lit(2024)), F.lit(1 << 40)) + 0.5) / float(1 << 40)
+    return -F.log(-F.log(u))
+
+
+def resample(docs: DataFrame, labels: DataFrame, k: int | None = None, weigh: str = "calibrated") -> DataFrame:
     """Scores of the documents that importance resampling keeps (``k`` of them; by default those its weights favour)."""
-    scores = saved(score_documents(docs, labels), "scores")
+    scores = saved(score_documents(docs, labels, weigh), "scores")
     if k is None:
         k = scores.where("log_weight > 0").count()
     least = _kth_largest(scores.select("key"), k)

@@ -22,7 +22,7 @@ from hubloom.llm.common import connected_components, texts
 from hubloom.llm.decontamination import contaminated
 from hubloom.llm.katz import LARGEST, discounts, held_out_id, katz_scores
 from hubloom.llm.line_templates import drop_recurring_lines
-from hubloom.llm.quality import _kth_largest, resample
+from hubloom.llm.quality import _kth_largest, gumbel, label_sample, ngram_buckets, resample, score_documents
 from hubloom.llm.runindex import RunIndex, remove_repeats
 from hubloom.llm.simhash import component_stars, exact_bands, fingerprint, simhash_components, within_radius
 from hubloom.llm.syncmers import syncmer_fingerprints
@@ -307,6 +307,30 @@ def test_quality(spark):
     assert resample(texts(docs_of(spark, [])), labels).collect() == []
 
 
+def test_quality_by_the_ratio_against_brute_force(spark):
+    rnd = random.Random(31)
+    rows = [(i, " ".join(rnd.choice(("clean words of many kinds stand here" if i % 4 else "vile junk words").split()) if rnd.random() < 0.2 else rnd.choice("some other words of a text".split()) for _ in range(rnd.randint(3, 60)))) for i in range(200)] + [(300, None), (7, "another text of one id"), (None, "vile")]
+    labels = spark.createDataFrame([(i, int(i % 4 > 0), 0) for i in range(0, 200, 2)], "doc_id long, quality int, toxic int")
+    sample = label_sample(labels)
+    target_ids = set(sample.loc[sample["good"] & ~sample["fit"], "doc_id"])
+    raw, target = Counter(), Counter()
+    for i, t in rows:
+        grams = ngram_buckets(t or "")[0].tolist()
+        raw.update(grams)
+        if i in target_ids:
+            target.update(grams)
+    share = sum(target.values()) / sum(raw.values())
+    lr = {g: np.float32(math.log((target[g] + 2) / (raw[g] * share + 2))) for g in raw}
+    want = {(i, t or ""): float(sum(lr[g] for g in ngram_buckets(t or "")[0].tolist())) for i, t in rows}
+    docs = texts(docs_of(spark, rows))
+    got = score_documents(docs, labels, weigh="ratio").join(docs.withColumn("row", F.xxhash64(F.coalesce("doc_id", F.lit(-(2**63))), "text")).select("row", "text"), "row").collect()
+    assert len(got) == len(rows) and all(math.isclose(r["log_weight"], want[(r["doc_id"], r["text"])], abs_tol=1e-4) for r in got)
+    best = sorted((r["key"] for r in got), reverse=True)
+    assert sorted((r["key"] for r in resample(docs, labels, k=30, weigh="ratio").collect()), reverse=True) == best[:30]
+    # Gumbel noise: its mean is Euler's constant.
+    assert abs(spark.range(20000).select(F.avg(gumbel(F.col("id")))).first()[0] - 0.5772) < 0.05
+
+
 def test_kth_largest(spark):
     keys = [random.Random(13).gauss(0, 1) for _ in range(500)] + [0.5] * 20
     df = spark.createDataFrame([(k,) for k in keys], "key double")
