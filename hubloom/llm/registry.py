@@ -91,24 +91,34 @@ SELECT page_id, payload_bytes, payload_digest, CASE WHEN page_id = first THEN 'r
 FROM (SELECT *, MIN(page_id) OVER (PARTITION BY payload_digest) AS first FROM d)
 """
 
-OP8_SQL = """
-WITH raw AS (SELECT doc_id, COALESCE(text, '') AS text, string_split(COALESCE(text, ''), chr(10)) AS ls FROM documents),
-lines AS (SELECT doc_id, UNNEST(ls) AS line, generate_subscripts(ls, 1) AS pos FROM raw),
-cut AS (SELECT doc_id, pos, list_transform(list_filter(regexp_split_to_array(line, '[ \\t\\r\\f\\v]+'), lambda w: w <> ''),
+def _splits(rounds: int) -> str:
+    """Common table expressions that split the branches of ``v0(leaf, tokens, w, branch)``."""
+    tops = """
+fields{r} AS (SELECT branch, w, UNNEST(tokens) AS token, generate_subscripts(tokens, 1) AS place FROM v{r}),
+votes{r} AS (SELECT branch, place, token, SUM(w) AS w FROM fields{r} GROUP BY 1, 2, 3),
+tops{r} AS (SELECT branch, place, token, w, SUM(w) OVER (PARTITION BY branch, place) AS total, ROW_NUMBER() OVER (PARTITION BY branch, place ORDER BY w DESC, token DESC) AS rn FROM votes{r}),"""
+    cut = """
+cut{r} AS (SELECT branch, place, token FROM (SELECT *, ROW_NUMBER() OVER (PARTITION BY branch ORDER BY w DESC, place) AS k FROM tops{r} WHERE rn = 1 AND w >= 0.25 * total AND w < 0.6 * total) WHERE k = 1),
+v{n} AS (SELECT v.leaf, v.tokens, v.w, CASE WHEN c.branch IS NULL THEN v.branch ELSE list_concat(v.branch, ['{r}', CAST(v.tokens[c.place] = c.token AS VARCHAR)]) END AS branch FROM v{r} v LEFT JOIN cut{r} c USING (branch)),"""
+    return "".join(tops.format(r=r) + (cut.format(r=r, n=r + 1) if r < rounds else "") for r in range(rounds + 1))
+
+
+OP8_SQL = f"""
+WITH raw AS (SELECT doc_id, COALESCE(text, '') AS text, string_split(COALESCE(text, ''), chr(10)) AS ls, string_split(trim(COALESCE(text, ''), ' ' || chr(9) || chr(13) || chr(10)), chr(10)) AS body FROM documents),
+lines AS (SELECT doc_id, text, body[1] AS head, body[-1] AS tail, UNNEST(ls) AS line, generate_subscripts(ls, 1) AS pos FROM raw),
+cut AS (SELECT doc_id, text, head, tail, pos, list_transform(list_filter(regexp_split_to_array(line, '[ \\t\\r\\f\\v]+'), lambda w: w <> ''),
                lambda w: CASE WHEN regexp_matches(w, '[0-9]') THEN '<*>' ELSE w END) AS tokens FROM lines),
-sigs AS (SELECT doc_id, pos, tokens, len(tokens) AS n, list_concat([CAST(len(tokens) AS VARCHAR)], tokens[1:3]) AS leaf FROM cut WHERE len(tokens) >= 4),
+sigs AS (SELECT doc_id, text, head, tail, pos, tokens, len(tokens) AS n, list_concat([CAST(len(tokens) AS VARCHAR)], tokens[1:3]) AS leaf FROM cut WHERE len(tokens) >= 4),
 counted AS (SELECT leaf, tokens, COUNT(DISTINCT doc_id) AS docs, COUNT(*) AS w FROM sigs GROUP BY 1, 2),
 busy AS (SELECT leaf FROM counted GROUP BY leaf HAVING SUM(docs) >= 10 AND COUNT(*) > 1),
-variants AS (SELECT leaf, tokens, w FROM counted WHERE leaf IN (SELECT leaf FROM busy)),
-fields AS (SELECT leaf, w, UNNEST(tokens) AS token, generate_subscripts(tokens, 1) AS place FROM variants),
-votes AS (SELECT leaf, place, token, SUM(w) AS w FROM fields GROUP BY 1, 2, 3),
-tops AS (SELECT leaf, place, token, w, SUM(w) OVER (PARTITION BY leaf, place) AS total, ROW_NUMBER() OVER (PARTITION BY leaf, place ORDER BY w DESC, token DESC) AS rn FROM votes),
-shape AS (SELECT leaf, list(CASE WHEN w >= 0.6 * total THEN token END ORDER BY place) AS shape FROM tops WHERE rn = 1 GROUP BY leaf),
-agreed AS (SELECT v.leaf, v.tokens FROM variants v JOIN shape s USING (leaf)
-           WHERE len(list_filter(range(1, len(v.tokens) + 1), lambda i: v.tokens[i] = s.shape[i])) >= 0.75 * len(v.tokens)),
-named AS (SELECT g.doc_id, g.pos, CASE WHEN a.leaf IS NULL THEN list_concat(['line'], g.tokens) ELSE list_concat(['leaf'], g.leaf) END AS template
+v0 AS (SELECT leaf, tokens, w, leaf AS branch FROM counted WHERE leaf IN (SELECT leaf FROM busy)),{_splits(3)}
+shape AS (SELECT branch, list(CASE WHEN w >= 0.6 * total THEN token END ORDER BY place) AS shape FROM tops3 WHERE rn = 1 GROUP BY branch),
+agreed AS (SELECT v.leaf, v.tokens, v.branch FROM v3 v JOIN shape s USING (branch)
+           WHERE len(list_filter(range(4, len(v.tokens) + 1), lambda i: v.tokens[i] = s.shape[i])) >= 0.75 * (len(v.tokens) - 3)),
+named AS (SELECT g.*, CASE WHEN a.leaf IS NULL THEN list_concat(['line'], g.tokens) ELSE list_concat(['leaf'], a.branch) END AS template
           FROM sigs g LEFT JOIN agreed a ON a.leaf = g.leaf AND a.tokens = g.tokens),
-often AS (SELECT template, MIN((doc_id, pos)) AS first FROM named GROUP BY template HAVING COUNT(DISTINCT doc_id) >= 10),
+often AS (SELECT template, MIN((doc_id, pos)) AS first FROM named GROUP BY template
+          HAVING COUNT(DISTINCT text) >= 10 OR (MIN(n) >= 8 AND COUNT(DISTINCT text) >= 3 AND MIN(head) <> MAX(head) AND MIN(tail) <> MAX(tail))),
 gone AS (SELECT DISTINCT n.doc_id, n.pos FROM named n JOIN often o USING (template) WHERE (n.doc_id, n.pos) <> o.first)
 SELECT r.doc_id, CAST(len(r.ls) AS BIGINT) AS n_lines, COUNT(g.pos) AS n_dropped,
        COALESCE(string_agg(l.line, chr(10) ORDER BY l.pos) FILTER (WHERE g.pos IS NULL), '') AS text
