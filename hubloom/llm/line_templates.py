@@ -72,18 +72,23 @@ def _small(df: DataFrame) -> DataFrame:
     return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
 
 
-def leaf_templates(lines: DataFrame, narrow: DataFrame, min_documents: int) -> DataFrame:
-    """``(leaf, sig, template)`` of the lines that share a leaf's generalised template."""
+def leaf_templates(docs: DataFrame, narrow: DataFrame, min_documents: int, min_tokens: int) -> DataFrame:
+    """``(leaf, sig, template)`` of the lines (``narrow``: without their tokens) that share a leaf's generalised template."""
     counted = narrow.select("leaf", "sig", "row").distinct().groupBy("leaf", "sig").agg(F.count("*").alias("docs"))
     busy = saved(
         counted.groupBy("leaf").agg(F.sum("docs").alias("docs"), F.count("*").alias("sigs")).where((F.col("docs") >= min_documents) & (F.col("sigs") > 1)).select("leaf"),
         "leaves",
     )
-    # Tokens of the distinct lines in leaves with branches; weights are lines, pre-aggregated.
+    # Tokens of the distinct lines in leaves with branches, read from one text each; weights are lines, pre-aggregated.
+    place = F.struct("row", "pos").alias("place")
+    read = saved(narrow.join(_small(busy), "leaf", "left_semi").groupBy("leaf", "sig").agg(F.min(place).alias("place"), F.count("*").alias("w")).select("leaf", "sig", "w", "place.*"), "places")
+    some = docs.join(_small(read.select("row").distinct()), _row_key() == F.col("row"), "left_semi")
     variants = saved(
-        lines.join(_small(busy), "leaf", "left_semi")
-        .groupBy("leaf", "sig")
-        .agg(F.first("tokens").alias("tokens"), F.count("*").alias("w"))
+        _lines(some, min_tokens)
+        .select("row", "pos", "tokens")
+        .join(_small(read), ["row", "pos"])
+        .groupBy("leaf", "sig", "w")
+        .agg(F.first("tokens").alias("tokens"))
         .select("leaf", F.col("leaf").alias("branch"), "sig", "tokens", "w"),
         "variants",
     )
@@ -119,7 +124,7 @@ def recurring_lines(docs: DataFrame, min_documents: int = MIN_DOCUMENTS, min_tok
     """``(row, dropped array<int>)``: the line numbers that each row of ``docs(doc_id, text)`` loses."""
     lines = _lines(docs, min_tokens)
     narrow = saved(lines.select("row", "doc_id", "words", "head", "tail", "pos", "n", "leaf", "sig"), "lines")  # a few numbers a line
-    shared = saved(leaf_templates(lines, narrow, min_documents), "templates")
+    shared = saved(leaf_templates(docs, narrow, min_documents, min_tokens), "templates")
     named = narrow.join(_small(shared), ["leaf", "sig"], "left")
     placed = named.select("row", "doc_id", "words", "head", "tail", "pos", "n", F.coalesce("template", "sig").alias("template"))
     place = F.struct(F.coalesce("doc_id", F.lit(-(2**63))).alias("d"), F.col("row").alias("r"), F.col("pos").alias("p"))
