@@ -77,8 +77,12 @@ def _tokens(final: Column) -> Column:
     return F.filter(F.split(final, r"[^\p{L}\p{N}<>]+"), lambda w: w != "")
 
 
-def _row() -> Column:
-    return F.xxhash64("text")
+MEASURES = ["matched", "item_windows", "slots", "slots_consistent"]
+
+
+def text_key() -> Column:
+    """What stands for a text; a null text is empty."""
+    return F.xxhash64(F.coalesce("text", F.lit("")))
 
 
 def canonical(docs: DataFrame, *keys: str) -> DataFrame:
@@ -151,7 +155,13 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, cov
 
     ``docs(doc_id, text)`` and ``benchmark(item_id, text)``.
     """
-    spark = docs.sparkSession
+    found = saved(contaminated_texts(docs, benchmark, width, coverage, consistency), "found")
+    named = docs.select("doc_id", text_key().alias("row")).join(_small(found), "row").groupBy("doc_id", "item_id")
+    return named.agg(F.max(F.struct(*MEASURES)).alias("m")).select("doc_id", "item_id", "m.*")
+
+
+def contaminated_texts(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, coverage: float = COVERAGE, consistency: float = CONSISTENCY) -> DataFrame:
+    """The same by text: ``(row, item_id, ..)``, ``row`` being the ``text_key()``."""
     items = benchmark.where("item_id is not null").groupBy("item_id").agg(F.min("text").alias("text"))
     plain = _plain(F.col("canon"), F.array().cast("array<string>"), {n: F.col(n) for _, n in _KINDS})
     items = with_lists(items, "item_id").select("item_id", "canon", plain.alias("plain"), F.xxhash64("canon").alias("template"))
@@ -165,7 +175,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, cov
     if not widths:
         return whole
     shift = (F.col("at") - F.col("item_at")).alias("shift")
-    tokens = canonical(docs.select(_row().alias("row"), "text"), "row")
+    tokens = canonical(docs.select(text_key().alias("row"), "text"), "row")
     hits = _windows(tokens, ["row"], F.array(*map(F.lit, widths))).join(_small(known), ["width", "hash"]).select("row", "template", shift, "item_at")
     # Bands of alignments overlap by half, so what lies within ``half`` shifts is whole in one of them.
     band = F.floor(F.col("shift") / F.col("half"))
@@ -184,7 +194,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, cov
     )
     # Bands of the same matches are one; then every item of the template is looked at with its own values.
     listed = listed.groupBy("row", "template", "item_windows", "start", F.sort_array("hits").alias("hits")).agg(F.min("band").alias("band"))
-    some = docs.select(_row().alias("row"), "text").join(_small(likely.select("row").distinct()), "row", "left_semi").dropDuplicates(["row"])
+    some = docs.select(text_key().alias("row"), "text").join(_small(likely.select("row").distinct()), "row", "left_semi").dropDuplicates(["row"])
     valued = saved(with_lists(some, "row").withColumnRenamed("canon", "tokens"), "slots")
     both = listed.join(valued, "row").join(_small(items.select("item_id", "template", "canon", "plain", "width")), "template")
     # Only the part of the document that the band covers gets its values back.
@@ -210,10 +220,9 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, width: int = WINDOW, cov
     # A slot agrees when the item's value there goes with the value it goes with most often.
     pairs = judged.select(*key, F.explode_outer("s").alias("x")).groupBy(*key, F.col("x.ip").alias("theirs"), F.col("x.dp").alias("mine")).agg(F.count("x").alias("n"))
     agreed = pairs.groupBy(*key, "theirs").agg(F.max("n").alias("best"), F.sum("n").alias("n")).groupBy(*key).agg(F.sum("best").alias("slots_consistent"), F.sum("n").alias("slots"))
-    best = F.max(F.struct("matched", "item_windows", "slots", "slots_consistent")).alias("m")
-    found = saved(agreed.where(F.col("slots_consistent") >= consistency * F.col("slots")).groupBy("row", "item_id").agg(best), "found")
-    named = docs.select("doc_id", _row().alias("row")).join(_small(found), "row").groupBy("doc_id", "item_id").agg(F.max("m").alias("m"))
-    return named.select("doc_id", "item_id", "m.matched", "m.item_windows", "m.slots", "m.slots_consistent").unionByName(whole)
+    best = F.max(F.struct(*MEASURES)).alias("m")
+    found = agreed.where(F.col("slots_consistent") >= consistency * F.col("slots")).groupBy("row", "item_id").agg(best)
+    return found.select("row", "item_id", "m.*").unionByName(whole)
 
 
 def _known_windows(templates: DataFrame) -> DataFrame:
@@ -227,8 +236,8 @@ def _known_windows(templates: DataFrame) -> DataFrame:
 def _whole_documents(docs: DataFrame, items: DataFrame) -> DataFrame:
     """Documents that are an item of ``items(item_id, plain)`` word by word; an item is one window."""
     few = saved(items.select("item_id", F.xxhash64("plain").alias("whole")), "short")
-    one = [F.lit(n).cast("long").alias(c) for c, n in (("matched", 1), ("item_windows", 1), ("slots", 0), ("slots_consistent", 0))]
+    one = [F.lit(n).cast("long").alias(c) for c, n in zip(MEASURES, (1, 1, 0, 0), strict=True)]
     if few.isEmpty():
-        return docs.sparkSession.createDataFrame([], "doc_id long, item_id long, matched long, item_windows long, slots long, slots_consistent long")
+        return docs.sparkSession.createDataFrame([], "row long, item_id long, matched long, item_windows long, slots long, slots_consistent long")
     words = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
-    return docs.select("doc_id", F.xxhash64(words).alias("whole")).join(_small(few), "whole").select("doc_id", "item_id", *one).distinct()
+    return docs.select(text_key().alias("row"), F.xxhash64(words).alias("whole")).join(_small(few), "whole").select("row", "item_id", *one).distinct()

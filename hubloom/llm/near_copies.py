@@ -11,8 +11,9 @@ with itself: first, over a few bands, each class is tried against one candidate
 its bucket, that with most candidates itself, which joins most copies; then all bands give every candidate pair
 whose ends are not joined yet.  The second pass leaves no candidate untried.
 
-Null texts are empty, and texts without words are one class.  Rows with a null id
-take part only where another row of the same shingles has an id.
+Null texts are empty, and texts without words are one class.  Null ids come after
+all others, and rows of equal id in the order of a hash of their text; an empty
+table gives an empty result.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from hubloom.llm.common import connected_components, release_shuffles, saved
@@ -34,6 +35,11 @@ CELL = 512
 ROWS = 20_000
 
 
+def row_key() -> Column:
+    """What stands for a row: its id with its text; a null text is empty."""
+    return F.xxhash64(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))), F.coalesce("text", F.lit("")))
+
+
 def shingle_set(text: str, shingle: int) -> np.ndarray:
     """Sorted distinct hashes of the word shingles; a text of fewer words is one shingle."""
     words = text.encode().lower().split()
@@ -179,9 +185,12 @@ def verified(pairs: DataFrame, rows: DataFrame, marked: DataFrame, shingle: int,
 
 
 def near_copy_components(docs: DataFrame, shingle: int, lanes: int, radius: int, bands: list[list[int]], first_bands: list[list[int]], least: float) -> DataFrame:
-    """``(doc_id, component_id)`` for ``docs(doc_id, text)``: components of links of Jaccard similarity ``least`` at least."""
+    """``(row, doc_id, component_id, stays)`` for ``docs(doc_id, text)``: components of links of Jaccard similarity ``least`` at least.
+
+    ``row`` is the ``row_key()``; one distinct row of a component ``stays``, that of the least id.
+    """
     spark = docs.sparkSession
-    rows = docs.withColumn("row", F.xxhash64(F.coalesce("doc_id", F.lit(-(2**63))), F.col("text")))
+    rows = docs.withColumn("row", row_key())
 
     def mark(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
@@ -192,7 +201,7 @@ def near_copy_components(docs: DataFrame, shingle: int, lanes: int, radius: int,
             yield pdf[["row", "doc_id"]].assign(c=[x for x, _, _ in out], n=[x for _, x, _ in out], fp=[x for _, _, x in out]).astype({"doc_id": "Int64"})
 
     marked = saved(rows.select("row", "doc_id", "text").mapInPandas(mark, "row long, doc_id long, c long, n int, fp binary"), "prints")
-    classes = saved(marked.where("doc_id is not null").groupBy("c").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("fp").alias("fp")), "classes")
+    classes = saved(marked.groupBy("c").agg(F.min(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "row")).alias("rep"), F.first("n").alias("n"), F.first("fp").alias("fp")), "classes")
     texts = rows.select("row", "text")
 
     early = saved(candidates(classes.withColumn("label", F.col("c")), first_bands, radius, least, True), "early")
@@ -206,6 +215,6 @@ def near_copy_components(docs: DataFrame, shingle: int, lanes: int, radius: int,
     release_shuffles(spark)
 
     named = classes.join(roots.hint("merge"), F.col("c") == F.col("node"), "left").select("c", "rep", F.coalesce("root", "c").alias("root"))
-    least_id = named.groupBy("root").agg(F.min("rep").alias("component_id"))
-    ids = named.join(least_id.hint("merge"), "root").select("c", "component_id")
-    return marked.join(ids.hint("merge"), "c", "left").select("doc_id", "component_id")
+    first = named.groupBy("root").agg(F.min("rep").alias("first"))
+    ids = named.join(first.hint("merge"), "root").select("c", "first")
+    return marked.join(ids.hint("merge"), "c").select("row", "doc_id", F.col("first.doc_id").alias("component_id"), (F.col("row") == F.col("first.row")).alias("stays"))

@@ -59,3 +59,22 @@ def test_near_dedup_against_brute_force(spark, sf_dir):
                 root[max(top(a), top(b))] = min(top(a), top(b))
     docs = spark.createDataFrame([(d, t, "en", "x", 1) for d, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
     assert sorted(r["doc_id"] for r in C.near_dedup(spark, docs, sf_dir).collect()) == sorted(d for d in root if top(d) == d)
+
+
+SHAPE = "doc_id long, text string, lang string, source string, n_chars long"
+
+
+def test_equal_and_null_ids(spark, sf_dir):
+    leak = table(spark, sf_dir, "benchmark").first()["text"]
+    clean = "some clean words that stand in no benchmark item of any kind"
+    rows = [(1, clean, "en", "a", 1), (1, f"before {leak} after", "en", "a", 1), (None, leak, None, None, None), (None, clean + " at all", None, None, None), (2, clean, "en", "a", 1), (2, clean, "en", "a", 1)]
+    docs = spark.createDataFrame(rows, SHAPE)
+    left = [(r["doc_id"], r["text"]) for r in C.decontaminate(spark, docs, sf_dir).collect()]
+    assert sorted(left, key=str) == sorted([(1, clean), (None, clean + " at all"), (2, clean), (2, clean)], key=str)
+    left = [(r["doc_id"], r["text"]) for r in C.near_dedup(spark, docs, sf_dir).collect()]
+    assert sorted(left, key=str) == sorted([(1, clean), (1, f"before {leak} after")], key=str)  # those without id are near copies
+
+
+def test_empty_tables(spark, sf_dir):
+    for name, stage in C.STAGES:
+        assert stage(spark, spark.createDataFrame([], SHAPE), sf_dir).count() == 0, name
