@@ -7,14 +7,14 @@ columns of ``documents``, and the last the packed token ids.
 from __future__ import annotations
 
 import public_tokenizers
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hubloom.llm.bpe import bpe_documents
 from hubloom.llm.common import saved, sha256_hex, table, texts
-from hubloom.llm.decontamination import contaminated
+from hubloom.llm.decontamination import contaminated_texts, text_key
 from hubloom.llm.line_templates import drop_recurring_lines
-from hubloom.llm.near_copies import near_copy_components
+from hubloom.llm.near_copies import near_copy_components, row_key
 from hubloom.llm.quality import resample
 from hubloom.llm.simhash import sampled_bands
 
@@ -28,42 +28,45 @@ BAND_WIDTH, BAND_TABLES = 14, 96
 FIRST_WIDTH, FIRST_TABLES = 18, 16
 
 
-def _row() -> Column:
-    return F.xxhash64(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))), F.coalesce(F.col("text"), F.lit("")))
-
-
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that importance resampling rejects go."""
+    """Documents that importance resampling rejects go.
+
+    Null texts are empty, which speaks neither for nor against; repeated rows stay or go together, null ids are judged like others.
+    """
     kept = saved(resample(texts(docs), table(spark, sf_dir, "labels")).select("row").distinct(), "kept")
-    return docs.withColumn("row", _row()).join(kept.hint("merge"), "row", "left_semi").select(COLUMNS)
+    return docs.withColumn("row", row_key()).join(kept.hint("merge"), "row", "left_semi").select(COLUMNS)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines of recurring templates go, but for their first place; every document stays."""
+    """Lines of recurring templates go, but for their first place; every row stays.
+
+    Rows are told apart by id and text: repeated rows lose the same lines; null ids come first; null texts have no lines and stay null.
+    """
     shorter = saved(drop_recurring_lines(texts(docs)).where("n_dropped > 0").select("row", F.col("text").alias("left")).distinct(), "shorter")
-    joined = docs.withColumn("row", _row()).join(shorter.hint("merge"), "row", "left").withColumn("text", F.coalesce("left", "text"))
+    joined = docs.withColumn("row", row_key()).join(shorter.hint("merge"), "row", "left").withColumn("text", F.coalesce("left", "text"))
     return joined.withColumn("n_chars", F.when(F.col("left").isNull(), F.col("n_chars")).otherwise(F.char_length("text"))).select(COLUMNS)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group stays: that of the smallest id."""
+    """One row of each near-duplicate group stays: that of the smallest id, null ids last.
+
+    Different texts under one id are different rows; of repeated rows one stays; null and empty texts are one group.
+    """
     bands, first = sampled_bands(256, BAND_WIDTH, BAND_TABLES), sampled_bands(256, FIRST_WIDTH, FIRST_TABLES, seed=8)
     grouped = near_copy_components(texts(docs), bands=bands, first_bands=first, **NEAR)
-    stay = saved(grouped.where("doc_id = component_id").select("doc_id").distinct(), "stay")
-    first = docs.join(stay.hint("merge"), "doc_id", "left_semi")
-    nameless = docs.where("doc_id is null")
-    return first.dropDuplicates(["doc_id"]).unionByName(nameless).select(COLUMNS)
+    stay = saved(grouped.where("stays").select("row").distinct(), "stay")
+    return docs.withColumn("row", row_key()).join(stay.hint("merge"), "row", "left_semi").dropDuplicates(["row"]).select(COLUMNS)
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold a benchmark item go."""
+    """Rows whose text holds a benchmark item go, whatever their id; null texts hold none."""
     items = table(spark, sf_dir, "benchmark").select(F.col("item_id").cast("long").alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
-    leaks = saved(contaminated(texts(docs), items).select("doc_id").distinct(), "leaks")
-    return docs.join(leaks.hint("merge"), "doc_id", "left_anti").select(COLUMNS)
+    leaks = saved(contaminated_texts(texts(docs), items).select("row").distinct(), "leaks")
+    return docs.withColumn("row", text_key()).join(leaks.hint("merge"), "row", "left_anti").select(COLUMNS)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of each document, packed as little-endian unsigned 32-bit integers."""
+    """Token ids of each row, packed as little-endian unsigned 32-bit integers; null texts are empty and have none."""
     path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
     coded = bpe_documents(texts(docs), path, public_tokenizers.PATTERN)
     return coded.select("doc_id", "n_tokens", "ids", sha256_hex(F.col("decoded")).alias("decoded_sha256"))
