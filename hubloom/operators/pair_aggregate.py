@@ -10,6 +10,7 @@ from __future__ import annotations
 from functools import reduce
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -47,6 +48,23 @@ def _spread(df: DataFrame, k: int, keep: list[str], diagonal: bool = False) -> D
     return two if diagonal else two.where("x <> y")
 
 
+def _deliver(states_of: DataFrame, hubs: list[int], dims: list[str], aggs: list[Agg], steps: int) -> DataFrame:
+    """Merge partial states into the pairs of their tags.
+
+    In one step a state spreads to all its pairs at once.  In two it spreads to the
+    hubs of S, where states of one R are merged, and what is left spreads to R.
+    """
+    k = len(hubs)
+    states = [s for a in aggs for s in a.states()]
+    if steps == 1:
+        each = _spread(states_of, k, [*dims, *states])
+    else:
+        right = names("r", n_words(k))
+        one = states_of.select(*dims, *states, F.explode(members("s", k)).alias("x"), *right).groupBy("x", *right, *dims).agg(*merging(aggs))
+        each = one.select(*dims, *states, "x", F.explode(members("r", k)).alias("y")).where("x <> y")
+    return _named(each.groupBy("x", "y", *dims).agg(*merging(aggs)), hubs, [*dims, *finishing(aggs)])
+
+
 def share_nothing(tagged: DataFrame, hubs: list[int], dims: list[str], aggs: list[Agg], mode: str = "explode") -> DataFrame:
     """The baseline: every part is aggregated by itself.
 
@@ -86,9 +104,12 @@ def combine_equal_tags(tagged: DataFrame, k: int, dims: list[str], aggs: list[Ag
 def tag_groups(partials: DataFrame, k: int) -> list[Group]:
     """The distinct tags with their sizes; D rows on the driver."""
     n = n_words(k)
-    rows = partials.groupBy(*names("s", n), *names("r", n)).agg(F.sum("elements").alias("e"), F.count("*").alias("v")).limit(DRIVER_TAGS + 1).collect()
-    if len(rows) > DRIVER_TAGS:
+    groups = partials.groupBy(*names("s", n), *names("r", n)).agg(F.sum("elements").alias("e"), F.count("*").alias("v")).persist()
+    if groups.count() > DRIVER_TAGS:
+        groups.unpersist()
         raise OverflowError("more distinct tags than the driver plans over")
+    rows = groups.collect()
+    groups.unpersist()
     return [Group(Tag(mask_of(list(r[:n])), mask_of(list(r[n : 2 * n]))), r["e"], r["v"]) for r in rows]
 
 
@@ -96,27 +117,35 @@ def plan_frames(spark, plan: SharingPlan, k: int) -> tuple[DataFrame, DataFrame]
     """The plan as relations: sources of units by tag, and targets of units."""
     n = n_words(k)
     words = lambda t: [*words_of(t.s, n), *words_of(t.r, n)]
-    tag = ", ".join(f"{c} long" for c in [*names("s", n), *names("r", n)])
-    sources = [(u, *words(plan.groups[g].tag)) for u, unit in enumerate(plan.units) for g in unit.sources]
+    tag = [(c, pa.int64()) for c in [*names("s", n), *names("r", n)]]
+    sources = [(u, len(unit.sources) > 1, *words(plan.groups[g].tag)) for u, unit in enumerate(plan.units) for g in unit.sources]
     targets = [(u, *words(unit.target)) for u, unit in enumerate(plan.units)]
-    return spark.createDataFrame(sources, f"unit int, {tag}"), spark.createDataFrame(targets, f"unit int, {tag}")
 
+    def frame(rows: list[tuple], fields: list[tuple]) -> DataFrame:
+        columns = list(zip(*rows, strict=True)) or [()] * len(fields)
+        return spark.createDataFrame(pa.table([pa.array(c, t) for c, (_, t) in zip(columns, fields, strict=True)], names=[f for f, _ in fields]))
 
-def execute_plan(partials: DataFrame, sources: DataFrame, targets: DataFrame, hubs: list[int], dims: list[str], aggs: list[Agg], small: bool = True) -> DataFrame:
-    """Merge each unit's sources once, then deliver it to the pairs of its target."""
-    k = len(hubs)
-    n = n_words(k)
+    unit = ("unit", pa.int32())
+    return frame(sources, [unit, ("merged", pa.bool_()), *tag]), frame(targets, [unit, *tag])
+
+
+def execute_plan(partials: DataFrame, sources: DataFrame, targets: DataFrame, hubs: list[int], dims: list[str], aggs: list[Agg], small: bool = True, steps: int = 2) -> DataFrame:
+    """Merge the sources of units that have several, then deliver all units to the pairs of their targets.
+
+    ``sources(unit, merged, s.., r..)`` and ``targets(unit, s.., r..)``.
+    """
+    n = n_words(len(hubs))
+    tag = [*names("s", n), *names("r", n)]
     hint = F.broadcast if small else (lambda d: d)
     states = [s for a in aggs for s in a.states()]
-    units = partials.join(hint(sources), [*names("s", n), *names("r", n)]).groupBy("unit", *dims).agg(*merging(aggs))
-    given = units.join(hint(targets), "unit")
-    each = _spread(given, k, [*dims, *states])
-    return _named(each.groupBy("x", "y", *dims).agg(*merging(aggs)), hubs, [*dims, *finishing(aggs)])
+    read = partials.join(hint(sources), tag).select("unit", "merged", *dims, *states)
+    units = read.where("merged").groupBy("unit", *dims).agg(*merging(aggs)).unionByName(read.where("not merged").drop("merged"))
+    return _deliver(units.join(hint(targets), "unit"), hubs, dims, aggs, steps)
 
 
 def share(
-    tagged: DataFrame, hubs: list[int], dims: list[str], aggs: list[Agg], level: str = "cluster", layout: str = "chained", objective: str = "gross",
-    min_cardinality: int = 3, merge_on_zero: bool = False,
+    tagged: DataFrame, hubs: list[int], dims: list[str], aggs: list[Agg], level: str = "cluster", layout: str = "flat", objective: str = "gross",
+    min_cardinality: int = 3, merge_on_zero: bool = False, steps: int = 2,
 ) -> DataFrame:
     """Aggregation sharing: equal tags combined, similar tags clustered, shared parts aggregated once."""
     bad = [a.kind for a in aggs if not a.mergeable]
@@ -125,18 +154,16 @@ def share(
     k, spark = len(hubs), tagged.sparkSession
     partials = saved(combine_equal_tags(tagged, k, dims, aggs), "partials")  # read twice: for the plan and by it
     if level == "equal":
-        states = [s for a in aggs for s in a.states()]
-        each = _spread(partials, k, [*dims, *states])
-        return _named(each.groupBy("x", "y", *dims).agg(*merging(aggs)), hubs, [*dims, *finishing(aggs)])
+        return _deliver(partials, hubs, dims, aggs, steps)
     options = {"min_cardinality": min_cardinality, "objective": objective, "layout": layout, "merge_on_zero": merge_on_zero}
     try:
         plan = plan_sharing(tag_groups(partials, k), **options)
     except OverflowError:
         sources, targets = (saved(f, "plan") for f in plan_in_blocks(partials, k, options))
-        return execute_plan(partials, sources, targets, hubs, dims, aggs, small=False)
+        return execute_plan(partials, sources, targets, hubs, dims, aggs, small=False, steps=steps)
     sources, targets = plan_frames(spark, plan, k)
     rows = sum(len(u.sources) for u in plan.units)
-    return execute_plan(partials, sources, targets, hubs, dims, aggs, small=rows <= PLAN_ROWS)
+    return execute_plan(partials, sources, targets, hubs, dims, aggs, small=rows <= PLAN_ROWS, steps=steps)
 
 
 def plan_in_blocks(partials: DataFrame, k: int, options: dict) -> tuple[DataFrame, DataFrame]:
@@ -156,15 +183,15 @@ def plan_in_blocks(partials: DataFrame, k: int, options: dict) -> tuple[DataFram
         made = plan_sharing([Group(Tag(mask_of(r[:n]), mask_of(r[n : 2 * n])), r[-2], r[-1]) for r in rows], **options)
         base, out = int(pdf["block"].iloc[0]) << 24, []
         for u, unit in enumerate(made.units):
-            out.append((0, base + u, *words_of(unit.target.s, n), *words_of(unit.target.r, n)))
+            out.append((0, base + u, False, *words_of(unit.target.s, n), *words_of(unit.target.r, n)))
             for g in unit.sources:
                 t = made.groups[g].tag
-                out.append((1, base + u, *words_of(t.s, n), *words_of(t.r, n)))
-        return pd.DataFrame(out, columns=["kind", "unit", *cols])
+                out.append((1, base + u, len(unit.sources) > 1, *words_of(t.s, n), *words_of(t.r, n)))
+        return pd.DataFrame(out, columns=["kind", "unit", "merged", *cols])
 
-    shape = "kind int, unit long, " + ", ".join(f"{c} long" for c in cols)
+    shape = "kind int, unit long, merged boolean, " + ", ".join(f"{c} long" for c in cols)
     both = saved(blocks.groupBy("block").applyInPandas(plan, shape), "plan")
-    return both.where("kind = 1").drop("kind"), both.where("kind = 0").drop("kind")
+    return both.where("kind = 1").drop("kind"), both.where("kind = 0").drop("kind", "merged")
 
 
 def tag_statistics(tagged: DataFrame, hubs: list[int], dims: list[str]) -> dict[str, float]:

@@ -61,7 +61,7 @@ def _gain(common: np.ndarray, before: np.ndarray, sizes: np.ndarray, objective:
 
 
 def plan_sharing(
-    groups: list[Group], min_cardinality: int = 3, objective: str = "gross", layout: str = "chained", merge_on_zero: bool = False, level: str = "cluster"
+    groups: list[Group], min_cardinality: int = 3, objective: str = "gross", layout: str = "flat", merge_on_zero: bool = False, level: str = "cluster"
 ) -> SharingPlan:
     """Greedy clusters over distinct tags.  ``level="equal"`` stops at equal tags."""
     plan = SharingPlan(order_groups(groups))
@@ -135,13 +135,15 @@ def deliveries(plan: SharingPlan, diagonal: bool = True) -> dict[tuple[int, tupl
 def add_operations(plan: SharingPlan, diagonal: bool = False, by_value: bool = False) -> dict[str, int]:
     """Folds into an accumulator: each element for itself (``share_nothing``), after equal tags, and by the plan.
 
-    ``by_value``: a partial counts its group values, else one.
+    The plan's are counted as they are executed: a unit of several sources folds
+    each of them, a longer prefix those of the shorter again.  ``by_value``: a
+    partial counts its group values, else one.
     """
     weight = lambda at: plan.groups[at].values if by_value else 1
     nothing = sum(g.elements * g.tag.size(diagonal) for g in plan.groups)
     folds = sum(g.elements for g in plan.groups)
     equal = folds + sum(weight(at) * g.tag.size(diagonal) for at, g in enumerate(plan.groups))
-    merges = sum(weight(at) for c in plan.clusters if len(c) > 1 for at in c)
+    merges = sum(weight(at) for u in plan.units if len(u.sources) > 1 for at in u.sources)
     merged = sum(max(weight(at) for at in u.sources) * u.target.size(diagonal) for u in plan.units)
     return {"share_nothing": nothing, "equal_tags": equal, "sharing": folds + merges + merged}
 
