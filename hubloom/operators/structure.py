@@ -78,15 +78,54 @@ def weighted_distance(graph: PropertyGraph, hubs: list[int], weight: str, max_ho
     return best.join(at, "vid", "left_semi").where("x <> vid").select("x", F.col("vid").alias("y"), F.col("dist").alias("distance"))
 
 
-def relationship_strength(graph: PropertyGraph, hubs: list[int], trust: str = "freq", combine: str = "max_product", max_hops: int = 4) -> DataFrame:
+def trust_shares(edges: DataFrame, trust: str) -> DataFrame:
+    """``(src, tgt, p)``: the share of what a source gives that goes to each target."""
+    arcs = edges.groupBy("src", "tgt").agg(F.sum(trust).alias("w"))
+    total = arcs.groupBy("src").agg(F.sum("w").alias("t"))
+    return arcs.join(total, "src").select("src", "tgt", (F.col("w") / F.col("t")).alias("p"))
+
+
+class Parts:
+    """Listed parts as one graph of disjoint copies, so that an operator on graphs works on every part by itself.
+
+    ``members(x, y, vid)`` and ``inside(x, y, src, tgt, ..)``; the copy of a vertex
+    is its id and its pair's number in one integer, in the order of ids.
+    """
+
+    def __init__(self, members: DataFrame, inside: DataFrame):
+        spark = members.sparkSession
+        pairs = sorted(tuple(r) for r in members.select("x", "y").distinct().collect())  # pairs of hubs
+        ends = members.agg(F.least(F.min("vid"), F.min("x"), F.min("y")), F.greatest(F.max("vid"), F.max("x"), F.max("y"))).first()
+        self.least, most = (ends[0], ends[1]) if pairs else (0, 0)
+        self.span = most - self.least + 1
+        if self.span * (len(pairs) + 1) >= 2**63:
+            raise ValueError("ids and pairs do not fit in one integer")
+        numbered = F.broadcast(spark.createDataFrame([(i, x, y) for i, (x, y) in enumerate(pairs)], "part long, x long, y long"))
+        at = lambda c: (F.col("part") * self.span + F.col(c) - self.least).alias(c)
+        rest = [c for c in inside.columns if c not in ("x", "y", "src", "tgt")]
+        vertices = members.join(numbered, ["x", "y"]).select(at("vid"))
+        edges = inside.join(numbered, ["x", "y"]).select(at("src"), at("tgt"), *rest)
+        self.graph = PropertyGraph(vertices, edges, name="parts").saved()
+        self.hubs = [i * self.span + v - self.least for i, (x, y) in enumerate(pairs) for v in (x, y)]
+
+    def back(self, found: DataFrame) -> DataFrame:
+        """A result by pair of copies as one by pair of hubs, from the first hub of a part to its second."""
+        own = lambda c: F.col(c) % self.span + self.least
+        keep = [c for c in found.columns if c not in ("x", "y")]
+        known = F.broadcast(found.sparkSession.createDataFrame(list(zip(self.hubs[::2], self.hubs[1::2], strict=True)), "x long, y long"))
+        one = lambda c: F.transform(c, lambda v: v % self.span + self.least).alias(c) if c == "path" else F.col(c)
+        return found.join(known, ["x", "y"], "left_semi").select(own("x").alias("x"), own("y").alias("y"), *[one(c) for c in keep])
+
+
+def relationship_strength(graph: PropertyGraph, hubs: list[int], trust: str = "freq", combine: str = "max_product", max_hops: int = 4, known: bool = False) -> DataFrame:
     """``(x, y, strength)``: trust of an edge is its share of what its source gives; a path's is the product.
 
+    ``known``: the column ``trust`` holds such shares already (of a larger graph).
+
     ``max_product`` takes the best path of at most ``max_hops``, ``sum_walks``
     adds all walks of at most that length.
     """
-    arcs = graph.edges.groupBy("src", "tgt").agg(F.sum(trust).alias("w"))
-    total = arcs.groupBy("src").agg(F.sum("w").alias("t"))
-    arcs = saved(arcs.join(total, "src").select("src", "tgt", (F.col("w") / F.col("t")).alias("p")), "trust")
+    arcs = saved(graph.edges.groupBy("src", "tgt").agg(F.max(trust).alias("p")) if known else trust_shares(graph.edges, trust), "trust")
     how = F.max if combine == "max_product" else F.sum
     if combine not in ("max_product", "sum_walks"):
         raise ValueError(f"unknown combination: {combine}")

@@ -151,19 +151,44 @@ def run_query(query: ExplorationQuery, cache: TagCache) -> HubSummaryGraph:
             keep = ["src", "tgt", *filter(None, [s.options.get("capacity")])]
             listed = membership(etags, len(hubs), *keep)
             tables[s.name] = structure.min_cut(listed.select(F.element_at(vids, F.col("x") + 1).alias("x"), F.element_at(vids, F.col("y") + 1).alias("y"), *keep), **s.options)
-        elif s.kind in STRUCTURE:
+        elif s.kind in STRUCTURE and query.grouping.hops is None:
+            # All paths between two hubs lie in their part, so the whole graph gives what the part would.
             tables[s.name] = STRUCTURE[s.kind](graph, hubs, s.options)
+    bounded = [s for s in query.summaries if s.kind in STRUCTURE and s.kind != "min_cut"] if query.grouping.hops is not None else []
+    if bounded:
+        at = lambda c: F.element_at(vids, F.col(c) + 1).alias(c)
+        listed = membership(vtags, len(hubs), "vid").select(at("x"), at("y"), "vid")
+        held = membership(tag_edges(graph, vtags, len(hubs), query.grouping.rule), len(hubs), *graph.edges.columns)
+        tables |= _of_parts(graph, listed, held.select(at("x"), at("y"), *graph.edges.columns), bounded)
     attributes = graph.vertices.join(F.broadcast(spark.createDataFrame([(h,) for h in hubs], "vid long")), "vid", "left_semi")
     return HubSummaryGraph(attributes, pairs, tables, hubs, graph, vtags, query.grouping.hops)
 
 
+def _of_parts(graph: PropertyGraph, listed: DataFrame, inside: DataFrame, summaries: list[Summary]) -> dict[str, DataFrame]:
+    """Structural summaries on the parts themselves: ``listed(x, y, vid)`` and their edges ``inside(x, y, src, tgt, ..)``."""
+    tables: dict[str, DataFrame] = {}
+    parts = None
+    for s in summaries:
+        if s.kind == "min_cut":
+            tables[s.name] = structure.min_cut(inside, **s.options)
+            continue
+        options = dict(s.options)
+        some = parts = parts or structure.Parts(listed, inside)
+        if s.kind == "relationship_strength":  # trust is an edge's own, whatever part it is in
+            shares = structure.trust_shares(graph.edges, options.pop("trust", "freq")).withColumnRenamed("p", "trust")
+            some = structure.Parts(listed, inside.select("x", "y", "src", "tgt").join(shares, ["src", "tgt"]))
+            options |= {"trust": "trust", "known": True}
+        tables[s.name] = some.back(STRUCTURE[s.kind](some.graph, some.hubs, options))
+    return tables
+
+
 def _one_summary(graph: PropertyGraph, query: ExplorationQuery) -> HubSummaryGraph:
     """No hub: one summary of the whole graph, under a pair of nulls."""
     none = [F.lit(None).cast("long").alias("x"), F.lit(None).cast("long").alias("y")]
     tables: dict[str, DataFrame] = {}
     for s in query.summaries:
         if s.kind not in ("vertex", "edge"):
-            continue
+            raise ValueError(f"{s.kind} is of two hubs, and there is none")
         rows = graph.vertices if s.kind == "vertex" else lift_edges(graph.edges, graph.vertices, sorted({d[4:] for d in s.dims if d[:4] in ("src_", "tgt_")}))
         starts = [c.alias(n) for n, (c, _) in s.agg.states().items()]
         tables[s.name] = rows.groupBy(*s.dims).agg(*starts).select(*none, *s.dims, s.agg.finish())
@@ -182,17 +207,17 @@ def _by_membership(graph: PropertyGraph, hubs: list[int], query: ExplorationQuer
         listed = saved(numbered.select(F.element_at(vids, F.col("x") + 1).alias("x"), F.element_at(vids, F.col("y") + 1).alias("y"), "vid"), "members")
     pairs = listed.select("x", "y").distinct()
     tables: dict[str, DataFrame] = {}
+    ends = graph.edges.select("src", "tgt").distinct()
+    held = listed.select("x", "y", F.col("vid").alias("src")).join(ends, "src").join(listed.select("x", "y", F.col("vid").alias("tgt")), ["x", "y", "tgt"])
     for s in query.summaries:
         if s.kind == "vertex":
             tables[s.name] = aggregate_membership(listed, graph.vertices, "vid", list(s.dims), [s.agg])
         elif s.kind == "edge":
             edges = lift_edges(graph.edges, graph.vertices, sorted({d[4:] for d in s.dims if d[:4] in ("src_", "tgt_")}))
-            numbered = edges.withColumn("eid", F.struct("src", "tgt"))
-            inside = listed.select("x", "y", F.col("vid").alias("src")).join(edges.select("src", "tgt").distinct(), "src")
-            both = inside.join(listed.select("x", "y", F.col("vid").alias("tgt")), ["x", "y", "tgt"]).select("x", "y", F.struct("src", "tgt").alias("eid"))
-            tables[s.name] = aggregate_membership(both, numbered, "eid", list(s.dims), [s.agg])
-        elif s.kind in STRUCTURE and STRUCTURE[s.kind] is not None:
-            tables[s.name] = STRUCTURE[s.kind](graph, hubs, s.options)
+            both = held.select("x", "y", F.struct("src", "tgt").alias("eid"))
+            tables[s.name] = aggregate_membership(both, edges.withColumn("eid", F.struct("src", "tgt")), "eid", list(s.dims), [s.agg])
+    if rest := [s for s in query.summaries if s.kind in STRUCTURE]:
+        tables |= _of_parts(graph, listed, held.join(graph.edges, ["src", "tgt"]), rest)
     attributes = graph.vertices.join(F.broadcast(spark.createDataFrame([(h,) for h in hubs], "vid long")), "vid", "left_semi")
     return HubSummaryGraph(attributes, pairs, tables, hubs, graph, None, query.grouping.hops)
 

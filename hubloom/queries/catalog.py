@@ -60,7 +60,7 @@ def hubs_of(g: PropertyGraph, k: int) -> list[int]:
 
 
 def flow(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    return graph(spark, sf_dir, "part_flow", m=3)
+    return graph(spark, sf_dir, "part_flow", m=1)
 
 
 def near(spark: SparkSession, sf_dir: str) -> PropertyGraph:
@@ -72,7 +72,7 @@ def ids(spark: SparkSession, vids: list[int]) -> DataFrame:
     return spark.createDataFrame(list(enumerate(map(int, vids))), "rank int, vid long")
 
 
-FLOW, NEAR = S.part_flow(3), S.contact(10, "all")
+FLOW, NEAR = S.part_flow(), S.contact(10, "all")
 K = 5
 FLOW_REACH = [FLOW, S.top_hubs(K), S.REACH]
 NEAR_REACH = [NEAR, S.top_hubs(3), S.REACH]
@@ -95,9 +95,9 @@ query(
 query("graph_synthetic_edges", S.sql(S.synthetic(2000, 8), final="SELECT * FROM e"))(lambda s, d: graphs.synthetic_dag(s, 2000, 8).edges)
 query(
     "graph_word_succession",
-    """WITH w AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda x: x <> '') AS w FROM documents WHERE lang = 'es'),
-       p AS (SELECT w[i] AS a, w[i + 1] AS b FROM w, UNNEST(range(1, len(w))) t(i)) SELECT a, b, COUNT(*) AS n FROM p GROUP BY 1, 2""",
-)(lambda s, d: graphs.word_succession(s, d, "es"))
+    """WITH w AS (SELECT lang, list_filter(regexp_split_to_array(lower(text), '\\s+'), lambda x: x <> '') AS w FROM documents),
+       p AS (SELECT lang, w[i] AS a, w[i + 1] AS b FROM w, UNNEST(range(1, len(w))) t(i)) SELECT lang, a, b, COUNT(*) AS n FROM p GROUP BY 1, 2, 3""",
+)(graphs.word_succession)
 
 # -- measures ------------------------------------------------------------------------
 query(
@@ -256,9 +256,9 @@ query("scc_preaggregate", S.sql(*SCC, final="SELECT comp, v_grp, COUNT(*) AS ele
 )
 
 
-@query("topo_levels", S.sql(S.part_flow(12), " lv(vid, d) AS (SELECT vid, 0 FROM v UNION SELECT e.tgt, l.d + 1 FROM lv l JOIN e ON e.src = l.vid)", final="SELECT vid, CAST(MAX(d) AS BIGINT) AS level FROM lv GROUP BY vid"))
+@query("topo_levels", S.sql(FLOW, " lv(vid, d) AS (SELECT vid, 0 FROM v UNION SELECT e.tgt, l.d + 1 FROM lv l JOIN e ON e.src = l.vid)", final="SELECT vid, CAST(MAX(d) AS BIGINT) AS level FROM lv GROUP BY vid"))
 def _levels(s: SparkSession, d: str) -> DataFrame:
-    return cycles.topo_levels(graph(s, d, "part_flow", m=12))
+    return cycles.topo_levels(flow(s, d))
 
 
 # -- summaries -----------------------------------------------------------------------------------------
@@ -348,8 +348,8 @@ E_SUM = S.sql(
     *E_MEM, final="SELECT x, y, a.v_grp AS src_v_grp, e_grp, b.v_grp AS tgt_v_grp, CAST(SUM(e_mr) AS BIGINT) AS sum_e_mr FROM emem JOIN v a ON a.vid = src JOIN v b ON b.vid = tgt GROUP BY 1, 2, 3, 4, 5"
 )
 VARIANTS = {
-    "sn": {"method": "share_nothing"}, "sn_per_pair": {"method": "per_pair"}, "as": {}, "as_flat": {"layout": "flat"}, "as_equal": {"method": "equal_tags"},
-    "as_net_flat": {"objective": "net_flat", "layout": "flat"}, "as_net_chained": {"objective": "net_chained"}, "as_zero": {"merge_on_zero": True}, "auto": {"method": "auto"},
+    "sn": {"method": "share_nothing"}, "sn_per_pair": {"method": "per_pair"}, "as": {}, "as_chained": {"layout": "chained"}, "as_flat": {"layout": "flat", "steps": 1}, "as_equal": {"method": "equal_tags"},
+    "as_net_flat": {"objective": "net_flat", "layout": "flat"}, "as_net_chained": {"objective": "net_chained", "layout": "chained"}, "as_zero": {"merge_on_zero": True}, "auto": {"method": "auto"},
 }
 for _v, _o in VARIANTS.items():
     query(f"agg_vertex_{_v}", V_SUM)(lambda s, d, o=_o: _v_agg(s, d, [Agg("sum", "v_mr")], ["v_grp"], **o))
@@ -412,6 +412,14 @@ def _adds(s: SparkSession, d: str, k: int) -> DataFrame:
     return s.createDataFrame(rows, "element string, measure string, adds long, saved double")
 
 
+query(
+    "cost_adds_equal",
+    S.sql(
+        *FLOW_REACH, S.TAGS,
+        " size AS (SELECT a.s0, b.r0, COUNT(*) AS n FROM e JOIN tags a ON a.vid = e.src JOIN tags b ON b.vid = e.tgt WHERE a.s0 <> 0 AND b.r0 <> 0 GROUP BY 1, 2 )",
+        final="SELECT CAST(SUM(n + bit_count(s0) * bit_count(r0) - bit_count(s0 & r0)) AS BIGINT) AS adds FROM size",
+    ),
+)(lambda s, d: _adds(s, d, K).where("measure = 'equal_tags' and element = 'edge'").select("adds"))
 query("cost_adds_as")(lambda s, d: _adds(s, d, 20))
 
 
@@ -527,13 +535,48 @@ query("hsg_no_hubs", S.sql(FLOW, final="SELECT CAST(NULL AS BIGINT) AS x, CAST(N
 )
 
 
-@query("hsg_all_hubs", S.sql(NEAR, " tc(src, tgt) AS (SELECT vid, vid FROM (SELECT vid FROM v WHERE vid < 40) UNION SELECT t.src, e.tgt FROM tc t JOIN e ON e.src = t.tgt WHERE e.src < 40 AND e.tgt < 40)", final="SELECT src AS x, tgt AS y FROM tc WHERE src <> tgt"))
+@query("hsg_all_hubs", S.sql(NEAR, " tc(src, tgt) AS (SELECT vid, vid FROM v UNION SELECT t.src, e.tgt FROM tc t JOIN e ON e.src = t.tgt)", final="SELECT src AS x, tgt AS y FROM tc WHERE src <> tgt"))
 def _all_hubs(s: SparkSession, d: str) -> DataFrame:
-    g = scope_ops.attribute_subgraph(near(s, d), "vid < 40").saved()
+    g = near(s, d)
     return q.explore(g).hubs(lambda x: [r["vid"] for r in x.vertices.select("vid").orderBy("vid").collect()]).between().run().pairs
 
 
-query("hsg_custom_grouping", S.sql(NEAR, S.top_hubs(3), S.reach_hops(4), " mem AS (SELECT hx.vid AS x, hy.vid AS y, f.vid FROM fwd f JOIN bwd b ON f.vid = b.vid AND f.i <> b.i AND f.d + b.d <= 4 JOIN h hx ON hx.i = f.i JOIN h hy ON hy.i = b.i)", final="SELECT x, y, v_grp, COUNT(*) AS n FROM mem JOIN v USING (vid) GROUP BY 1, 2, 3"))(
+def same_groups(g: PropertyGraph, hubs: list[int]) -> DataFrame:
+    """A grouping of one's own: the part of two hubs is all vertices of either's group."""
+    pairs = g.vertices.sparkSession.createDataFrame([(x, y) for x in hubs for y in hubs if x != y], "x long, y long")
+    group = lambda end: F.broadcast(g.vertices.where(F.col("vid").isin(hubs)).select(F.col("vid").alias(end), F.col("v_grp").alias(f"{end}_grp")))
+    either = pairs.join(group("x"), "x").join(group("y"), "y").select("x", "y", F.explode(F.array_distinct(F.array("x_grp", "y_grp"))).alias("v_grp"))
+    return g.vertices.join(F.broadcast(either), "v_grp").select("x", "y", "vid")
+
+
+CUSTOM = [
+    NEAR, S.top_hubs(3),
+    " mem AS (SELECT DISTINCT a.vid AS x, b.vid AS y, v.vid FROM h a JOIN h b ON a.i <> b.i JOIN v va ON va.vid = a.vid JOIN v vb ON vb.vid = b.vid JOIN v ON v.v_grp IN (va.v_grp, vb.v_grp))",
+    S.EDGE_MEMBERS_ENDS,
+]
+CUSTOM_WALK = " walk(x, y, vid, d) AS (SELECT DISTINCT x, y, x, 0 FROM mem UNION SELECT w.x, w.y, m.tgt, w.d + 1 FROM walk w JOIN emem m ON m.x = w.x AND m.y = w.y AND m.src = w.vid WHERE w.d < 30)"
+_custom = lambda s, d, *what: q.explore(near(s, d)).hubs(lambda x: hubs_of(near(s, d), 3)).between(custom=same_groups).summarize(*what).run().tables
+query("tau_vertex_custom", S.sql(*CUSTOM, final="SELECT x, y, v_grp, COUNT(*) AS n FROM mem JOIN v USING (vid) GROUP BY 1, 2, 3"))(
+    lambda s, d: _custom(s, d, q.vertex_agg("count", None, ("v_grp",), "n"))["n"]
+)
+query("tau_edge_custom", S.sql(*CUSTOM, final="SELECT x, y, closeness, COUNT(*) AS edges FROM emem GROUP BY 1, 2, 3"))(lambda s, d: _custom(s, d, q.edge_count_by("closeness"))["edges"])
+query("tau_distance_custom", S.sql(*CUSTOM, CUSTOM_WALK, final="SELECT x, y, MIN(d) AS distance FROM walk WHERE vid = y GROUP BY 1, 2"))(
+    lambda s, d: _custom(s, d, q.structural("shortest_distance"))["shortest_distance"]
+)
+query(
+    "tau_strength_custom",
+    S.sql(
+        *CUSTOM, " t AS (SELECT src, SUM(freq) AS t FROM e GROUP BY src), a AS (SELECT x, y, emem.src, tgt, freq / t.t AS p FROM emem JOIN t ON t.src = emem.src)",
+        " w0 AS (SELECT DISTINCT x, y, x AS vid, 1.0::DOUBLE AS p FROM mem)",
+        *[f" w{i} AS (SELECT w.x, w.y, a.tgt AS vid, MAX(w.p * a.p) AS p FROM w{i - 1} w JOIN a ON a.x = w.x AND a.y = w.y AND a.src = w.vid GROUP BY 1, 2, 3)" for i in range(1, 5)],
+        final="SELECT x, y, ROUND(MAX(p), 6) AS strength FROM (SELECT * FROM w1 UNION ALL SELECT * FROM w2 UNION ALL SELECT * FROM w3 UNION ALL SELECT * FROM w4) WHERE vid = y GROUP BY 1, 2",
+    ),
+)(lambda s, d: _custom(s, d, q.structural("relationship_strength"))["relationship_strength"])
+query(
+    "tau_distance_hops",
+    S.sql(NEAR, S.top_hubs(3), S.reach_hops(3), S.MEMBERS, S.EDGE_MEMBERS_ENDS, CUSTOM_WALK, final="SELECT x, y, MIN(d) AS distance FROM walk WHERE vid = y GROUP BY 1, 2"),
+)(lambda s, d: q.explore(near(s, d)).hubs(lambda x: hubs_of(near(s, d), 3)).between(3).summarize(q.structural("shortest_distance")).run(_tags).tables["shortest_distance"])
+query("hsg_total_hops", S.sql(NEAR, S.top_hubs(3), S.reach_hops(4), " mem AS (SELECT hx.vid AS x, hy.vid AS y, f.vid FROM fwd f JOIN bwd b ON f.vid = b.vid AND f.i <> b.i AND f.d + b.d <= 4 JOIN h hx ON hx.i = f.i JOIN h hy ON hy.i = b.i)", final="SELECT x, y, v_grp, COUNT(*) AS n FROM mem JOIN v USING (vid) GROUP BY 1, 2, 3"))(
     lambda s, d: q.explore(near(s, d)).hubs(lambda x: hubs_of(near(s, d), 3)).between(4, mode="total").summarize(q.vertex_agg("count", None, ("v_grp",), "n")).run().tables["n"]
 )
 query("render_data_tables", S.sql(*V_MEM, final="SELECT x, y, COUNT(*) AS vertices FROM mem GROUP BY 1, 2"))(

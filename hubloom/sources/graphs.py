@@ -146,12 +146,12 @@ def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     return links.groupBy("page_id", "href").agg(F.count("*").alias("n"))
 
 
-def word_succession(spark: SparkSession, sf_dir: str, lang: str) -> DataFrame:
-    """``(a, b, n)``: word to following word over the documents of a language; large and cyclic."""
+def word_succession(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``(lang, a, b, n)``: word to following word over the documents of each language; large and cyclic."""
     words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
-    docs = read_table(spark, sf_dir, "documents").where(F.col("lang") == lang).select(words.alias("w"))
-    pairs = docs.select(F.explode(F.arrays_zip(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))).alias("a"), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(0))).alias("b"))).alias("p"))
-    return pairs.groupBy("p.a", "p.b").agg(F.count("*").alias("n"))
+    docs = read_table(spark, sf_dir, "documents").select("lang", words.alias("w"))
+    pairs = docs.select("lang", F.explode(F.arrays_zip(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))).alias("a"), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(0))).alias("b"))).alias("p"))
+    return pairs.groupBy("lang", "p.a", "p.b").agg(F.count("*").alias("n"))
 
 
 def synthetic_dag(spark: SparkSession, n: int, degree: int, v_card: int = 10, e_card: int = 10, locality: float = 1.0, seed: int = 1) -> PropertyGraph:
