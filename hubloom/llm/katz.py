@@ -1,14 +1,15 @@
 """Katz backoff language model over a whole corpus, scored on every text.
 
-The model is a bigram model with Good-Turing discounts:
+The model is a bigram model (the only order it has) with Good-Turing discounts:
 
-    P(w | h) = d(c) c / (c(h) + 1)   where the pair was seen c > 0 times,
+    P(w | h) = d(c) c / c(h)         where the pair was seen c > 0 times,
     P(w | h) = alpha(h) P(w)         where it was not, and
     P(w)     = d(c) c / N            for known words, the rest for one unknown type.
 
-``alpha(h)`` is the mass that discounts leave (the one added to ``c(h)`` keeps it
-above zero where no count is small enough to be discounted), divided by the
-unigram mass of the words not seen after ``h``: each history sums to exactly one.
+Counts above ``LARGEST`` keep all but ``LEFT`` of a count, so that a history whose
+pairs are all frequent leaves some mass too.  ``alpha(h)`` is the mass that
+discounts leave, divided by the unigram mass of the words not seen after ``h``:
+each history sums to exactly one.
 
 The corpus is coded once into batches of word numbers.  Count tables are
 partitioned by key hash; a batch sends each partition its distinct keys (with
@@ -38,8 +39,9 @@ from pyspark.sql import functions as F
 from hubloom.llm.common import saved
 
 END, START = np.uint64(0), np.uint64(1)
-#: Counts above this are not discounted.
+#: Counts above this are not discounted, but for the part of a count that keeps a history's rest above zero.
 LARGEST = 5
+LEFT = 0.01
 BATCH_BYTES = 3 << 20
 #: Corpus bytes a partition of the count tables serves.
 PARTITION_BYTES = 16 << 20
@@ -139,7 +141,12 @@ def discounts(n: np.ndarray) -> np.ndarray:
 
 
 def discounted(count: np.ndarray, d: np.ndarray) -> np.ndarray:
-    return count * np.where(count <= LARGEST, d[np.minimum(count, LARGEST).astype(np.int64)], 1.0)
+    return np.where(count <= LARGEST, count * d[np.minimum(count, LARGEST).astype(np.int64)], count - LEFT)
+
+
+def _narrow(n: np.ndarray) -> np.ndarray:
+    """Counts in as few bytes as the largest needs, up to eight."""
+    return n.astype(np.min_scalar_type(int(n.max(initial=0))))
 
 
 def code_corpus(docs: DataFrame) -> DataFrame:
@@ -183,11 +190,11 @@ def katz_scores(docs: DataFrame) -> DataFrame:
             for batch, blob in zip(pdf["batch"], pdf["coded"], strict=True):
                 b = Batch.unpacked(blob)
                 for kind, keys, of in ((0, b.words, b.stream), (1, b.pairs, b.pair_of)):
-                    count = np.bincount(of[b.in_train], minlength=len(keys)).astype(np.uint32)
+                    count = np.bincount(of[b.in_train], minlength=len(keys))
                     slot = (keys % np.uint64(parts)).astype(np.int64)
                     order = np.argsort(slot, kind="stable")
                     cut = np.searchsorted(slot[order], np.arange(parts + 1))
-                    rows = [(kind, p, batch, _pack(_deltas(keys[at]), count[at])) for p in range(parts) if len(at := order[cut[p] : cut[p + 1]])]
+                    rows = [(kind, p, batch, _pack(_deltas(keys[at]), _narrow(count[at]))) for p in range(parts) if len(at := order[cut[p] : cut[p + 1]])]
                     yield pd.DataFrame(rows, columns=["kind", "slot", "batch", "blob"])
 
     def total(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -207,7 +214,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
             words, tokens = seen, seen.sum()
         of_counts = np.bincount(np.minimum(seen, LARGEST + 2), minlength=LARGEST + 3)[: LARGEST + 2]
         ends = np.cumsum([len(k) for k in keys])[:-1]
-        answers = [_pack(t.astype(np.uint32), o) for t, o in zip(np.split(sums[of], ends), np.split(owner, ends), strict=True)]
+        answers = [_pack(_narrow(t), o) for t, o in zip(np.split(sums[of], ends), np.split(owner, ends), strict=True)]
         out = pd.DataFrame({"kind": pdf["kind"], "slot": pdf["slot"], "batch": pdf["batch"], "blob": answers})
         out["stats"] = [[int(len(words)), int(tokens), *of_counts.tolist()]] + [None] * (len(out) - 1)
         return out
@@ -229,7 +236,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
     d1, d2 = discounts(stats[0][2:]), discounts(stats[1][2:])
     # What discounts leave of the words' mass is the unknown type's.
     small = stats[0][2:][1 : LARGEST + 1]
-    lost = float((np.arange(1, LARGEST + 1) * (1 - d1[1:]) * small).sum())
+    lost = float((np.arange(1, LARGEST + 1) * (1 - d1[1:]) * small).sum() + LEFT * (types - small.sum()))
     n_train = max(tokens, 1.0)
     unknown = max(lost, 0.5) / n_train if tokens else 1.0
     shrink = 1.0 if lost >= 0.5 else (1.0 - unknown)
@@ -268,8 +275,8 @@ def katz_scores(docs: DataFrame) -> DataFrame:
                 cp = pair_count[b.pair_of]
                 seen = cp > 0
                 h = b.before
-                with np.errstate(divide="ignore"):
-                    logs = np.where(seen, np.log10(discounted(cp, d2) / (history[h] + 1)), np.log10(p1[b.stream]))
+                with np.errstate(divide="ignore", invalid="ignore"):
+                    logs = np.where(seen, np.log10(discounted(cp, d2) / history[h]), np.log10(p1[b.stream]))
                 part = of_doc(logs)
                 # Pairs that this batch owns tell their history what is taken of it, by count and by unigram mass.
                 one = np.unique(b.pair_of, return_index=True)[1]
@@ -306,7 +313,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         mass = np.bincount(of, weights=np.concatenate([r[3] for r in rows]), minlength=len(words))
         count = np.zeros(len(words))
         count[of] = np.concatenate([r[1] for r in rows])
-        alpha = (1 - taken / (count + 1)) / np.maximum(1 - mass, 1e-12)
+        alpha = (1 - taken / count) / np.maximum(1 - mass, 1e-12)
         out = []
         for batch, r in zip(pdf["batch"], rows, strict=True):
             if len(r[4]):

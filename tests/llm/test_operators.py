@@ -20,7 +20,7 @@ from hubloom.llm import registry
 from hubloom.llm.bpe import Encoder, bpe_documents, decode_column, encode_column, load_ranks
 from hubloom.llm.common import connected_components, texts
 from hubloom.llm.decontamination import contaminated
-from hubloom.llm.katz import LARGEST, discounts, held_out_id, katz_scores
+from hubloom.llm.katz import LARGEST, LEFT, _narrow, discounts, held_out_id, katz_scores
 from hubloom.llm.line_templates import drop_recurring_lines
 from hubloom.llm.quality import _kth_largest, gumbel, label_sample, ngram_buckets, resample, score_documents
 from hubloom.llm.runindex import RunIndex, remove_repeats
@@ -241,11 +241,11 @@ def test_katz_against_brute_force(spark):
     n, v = sum(uni.values()), len(uni)
     of_counts = lambda c: np.array([0, *[sum(x == r for x in c.values()) for r in range(1, LARGEST + 2)]], dtype=float)
     d1, d2 = discounts(of_counts(uni)), discounts(of_counts(bi))
-    cut = lambda c, d: c * (d[c] if c <= LARGEST else 1)
+    cut = lambda c, d: c * d[c] if c <= LARGEST else c - LEFT
     left = 1 - sum(cut(c, d1) for c in uni.values()) / n
     p1 = lambda w: cut(uni[w], d1) / n if uni[w] else left
-    alpha = {h: (1 - sum(cut(c, d2) for (a, _), c in bi.items() if a == h) / (hist[h] + 1)) / (1 - sum(p1(b) for (a, b) in bi if a == h)) for h in hist}
-    p2 = lambda h, w: cut(bi[(h, w)], d2) / (hist[h] + 1) if bi[(h, w)] else alpha.get(h, 1) * p1(w)
+    alpha = {h: (1 - sum(cut(c, d2) for (a, _), c in bi.items() if a == h) / hist[h]) / (1 - sum(p1(b) for (a, b) in bi if a == h)) for h in hist}
+    p2 = lambda h, w: cut(bi[(h, w)], d2) / hist[h] if bi[(h, w)] else alpha.get(h, 1) * p1(w)
     for h in list(hist)[:5]:
         assert math.isclose(sum(p2(h, w) for w in uni) + p2(h, "never seen"), 1, rel_tol=1e-9)
     want = {}
@@ -258,6 +258,7 @@ def test_katz_against_brute_force(spark):
     for r in got:
         assert any(tuple(r)[1:5] == w[:4] and math.isclose(r["base_score"], w[4], abs_tol=1e-8) and math.isclose(r["score"], w[5], abs_tol=1e-8) for w in want[r["doc_id"]])
     assert katz_scores(texts(docs_of(spark, []))).collect() == []
+    assert _narrow(np.array([3, 2**33])).tolist() == [3, 2**33] and _narrow(np.array([3, 255])).dtype == np.uint8
     assert held_out_id(12) == (zlib.crc32(b"12") % 5 == 1)
 
 
