@@ -36,7 +36,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubloom.llm.common import saved
+from hubloom.llm.common import release_shuffles, saved, saved_in_place
 
 END, START = np.uint64(0), np.uint64(1)
 #: Counts above this are not discounted, but for the part of a count that keeps a history's rest above zero.
@@ -181,7 +181,9 @@ def code_corpus(docs: DataFrame) -> DataFrame:
 def katz_scores(docs: DataFrame) -> DataFrame:
     """``(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score)``, a row for each of ``docs(doc_id, text)``."""
     spark = docs.sparkSession
-    coded = saved(code_corpus(docs), "coded")
+    # Written where it was read and never shuffled: answers come to a batch by the task that wrote it.
+    home = F.shiftright("batch", 32).cast("int").alias("home")
+    coded = saved_in_place(code_corpus(docs).select(home, "*"), "home", docs.rdd.getNumPartitions(), "coded")
     sizes = coded.agg(F.coalesce(F.sum(F.octet_length("coded")), F.lit(0))).first()[0]
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-2 * sizes // PARTITION_BYTES))
 
@@ -220,7 +222,8 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         return out
 
     shape = "kind int, slot int, batch long, blob binary"
-    replies = saved(coded.mapInPandas(ask, shape).groupBy("kind", "slot").applyInPandas(total, shape + ", stats array<long>"), "counts")
+    replies = saved(coded.select("batch", "coded").mapInPandas(ask, shape).groupBy("kind", "slot").applyInPandas(total, shape + ", stats array<long>"), "counts")
+    release_shuffles(spark)
     # A few sums for the whole model.
     totals = {
         r["kind"]: r
@@ -303,7 +306,10 @@ def katz_scores(docs: DataFrame) -> DataFrame:
                 yield pd.DataFrame(rows, columns=["kind", "slot", "batch", "blob", "docs"])
 
     doc_shape = "array<struct<doc_id:long,held_out:boolean,n_tokens:long,n_known:long,base_score:double,part:double>>"
-    settled = saved(coded.join(answers, "batch").mapInPandas(settle, f"{shape}, docs {doc_shape}"), "settled")
+    theirs = answers.select(home, F.col("batch").alias("of"), "answers")
+    both = coded.join(theirs, (coded["home"] == theirs["home"]) & (coded["batch"] - theirs["of"] == 0)).select("batch", "doc_ids", "coded", "answers")
+    settled = saved(both.mapInPandas(settle, f"{shape}, docs {doc_shape}"), "settled")
+    release_shuffles(spark)
 
     def weigh(pdf: pd.DataFrame) -> pd.DataFrame:
         """Backoff weights of a partition's histories, and the logs that waiting documents get."""
