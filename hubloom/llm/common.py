@@ -6,6 +6,7 @@ import atexit
 import gc
 import shutil
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -96,9 +97,14 @@ def saved_in_place(df: DataFrame, key: str, parts: int, label: str) -> DataFrame
 
 
 def release_shuffles(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of finished steps: their owners are garbage once their result is saved."""
-    gc.collect()
-    spark._jvm.System.gc()
+    """Let Spark delete the shuffle files of finished steps: their owners are garbage once their result is saved.
+
+    Without it, files stay until the driver happens to collect its garbage.
+    """
+    for _ in range(2):  # the second finds what the first has let go
+        gc.collect()
+        spark._jvm.System.gc()
+        time.sleep(0.5)
 
 
 def sha256_hex(col: Column) -> Column:

@@ -296,7 +296,8 @@ def katz_scores(docs: DataFrame) -> DataFrame:
                     t = told[word_slot[told] == p]
                     w = np.flatnonzero(word_slot[hd // docs_n] == p) if len(hd) else hd
                     if len(t) or len(w):
-                        rows.append((1, p, batch, _pack(b.words[t], history[t], taken[t], mass[t], b.words[hd[w] // docs_n], (hd[w] % docs_n).astype(np.int64), times[w].astype(np.int64)), None))
+                        told_of = (_deltas(b.words[t]), _narrow(history[t]), taken[t], mass[t])
+                        rows.append((1, p, batch, _pack(*told_of, _deltas(b.words[hd[w] // docs_n]), _narrow(hd[w] % docs_n), _narrow(times[w])), None))
                 ids = [None if i is None or i != i else int(i) for i in doc_ids]
                 per_doc = [
                     (i, not t, int(n), int(k), float(bs), float(ps))
@@ -314,6 +315,8 @@ def katz_scores(docs: DataFrame) -> DataFrame:
     def weigh(pdf: pd.DataFrame) -> pd.DataFrame:
         """Backoff weights of a partition's histories, and the logs that waiting documents get."""
         rows = [_unpack(b) for b in pdf["blob"]]
+        for r in rows:  # keys ascend, those of histories that wait with repeats
+            r[0], r[4] = _keys(r[0]), _keys(r[4])
         words, of = np.unique(np.concatenate([r[0] for r in rows]), return_inverse=True)
         taken = np.bincount(of, weights=np.concatenate([r[2] for r in rows]), minlength=len(words))
         mass = np.bincount(of, weights=np.concatenate([r[3] for r in rows]), minlength=len(words))
@@ -324,7 +327,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         for batch, r in zip(pdf["batch"], rows, strict=True):
             if len(r[4]):
                 each = np.log10(alpha[np.searchsorted(words, r[4])]) * r[6]
-                at, where = np.unique(r[5], return_inverse=True)
+                at, where = np.unique(r[5].astype(np.int64), return_inverse=True)
                 out.append((batch, _pack(at, np.bincount(where, weights=each))))
         return pd.DataFrame(out, columns=["batch", "waits"]).astype({"batch": "int64"})
 
