@@ -84,18 +84,39 @@ def saved(df: DataFrame, label: str) -> DataFrame:
 MOST_BUCKETS = 50_000
 
 
-def saved_in_place(df: DataFrame, key: str, parts: int, label: str) -> DataFrame:
-    """Like ``saved``, as a table bucketed by ``key``: a later join on it alone does not shuffle these rows.
+def even_homes(docs: DataFrame) -> list[int]:
+    """A number for each partition of ``docs`` (or for ``MOST_BUCKETS`` of them), each in a bucket of its own."""
+    n = max(1, min(docs.rdd.getNumPartitions(), MOST_BUCKETS))
+    many = n * (20 + 2 * n.bit_length())
+    number = F.col("id").cast("int")
+    found = docs.sparkSession.range(many).groupBy(F.pmod(F.hash(number), F.lit(n)).alias("bucket")).agg(F.min(number).alias("home")).collect()
+    by_bucket = {r["bucket"]: r["home"] for r in found}
+    return [by_bucket.get(b, many + b) for b in range(n)]
 
-    ``key`` should be one value a task, so that a task writes one file.
-    """
+
+def first_batch(homes: list[int]) -> int:
+    """Number of the first batch of this task: its home above 32 bits, then room for 65,536 batches."""
+    from pyspark import TaskContext
+
+    part = TaskContext.get().partitionId()
+    return homes[part % len(homes)] << 32 | part // len(homes) << 16
+
+
+def saved_in_place(df: DataFrame, homes: list[int], label: str) -> DataFrame:
+    """Like ``saved``, as a table bucketed by the home of ``batch`` (as ``home``): a later join on it alone does not shuffle these rows."""
     spark = df.sparkSession
     path = scratch_dir(spark, label)
     name = f"hubloom_{label}_{path[-12:]}"
-    df.write.bucketBy(max(1, min(parts, MOST_BUCKETS)), key).option("path", path).saveAsTable(name)
+    df.select(F.shiftright("batch", 32).cast("int").alias("home"), "*").write.bucketBy(len(homes), "home").option("path", path).saveAsTable(name)
     return spark.table(name)
 
 
+def with_answers(batches: DataFrame, answers: DataFrame, how: str = "inner") -> DataFrame:
+    """Rows of ``saved_in_place`` with the ``answers(batch, ..)`` to them, which alone are shuffled."""
+    theirs = answers.select(F.shiftright("batch", 32).cast("int").alias("home"), F.col("batch").alias("of"), *[c for c in answers.columns if c != "batch"])
+    return batches.join(theirs, (batches["home"] == theirs["home"]) & (batches["batch"] - theirs["of"] == 0), how).drop(theirs["home"])
+
+
 def release_shuffles(spark: SparkSession) -> None:
     """Let Spark delete the shuffle files of finished steps: their owners are garbage once their result is saved.
 

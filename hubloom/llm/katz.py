@@ -36,7 +36,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubloom.llm.common import release_shuffles, saved, saved_in_place
+from hubloom.llm.common import even_homes, first_batch, release_shuffles, saved, saved_in_place, with_answers
 
 END, START = np.uint64(0), np.uint64(1)
 #: Counts above this are not discounted, but for the part of a count that keeps a history's rest above zero.
@@ -149,20 +149,18 @@ def _narrow(n: np.ndarray) -> np.ndarray:
     return n.astype(np.min_scalar_type(int(n.max(initial=0))))
 
 
-def code_corpus(docs: DataFrame) -> DataFrame:
+def code_corpus(docs: DataFrame, homes: list[int]) -> DataFrame:
     """``(batch, doc_ids array<long>, coded binary)`` of ``docs(doc_id, text)``."""
 
     def code(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        from pyspark import TaskContext
-
-        part, n = TaskContext.get().partitionId(), 0
+        n = first_batch(homes)
         ids: list = []
         texts: list[str] = []
         size = 0
 
         def row() -> pd.DataFrame:
             batch = Batch.of_texts(texts, [not held_out_id(i) for i in ids])
-            return pd.DataFrame({"batch": [(part << 32) | n], "doc_ids": [ids], "coded": [batch.packed()]})
+            return pd.DataFrame({"batch": [n], "doc_ids": [ids], "coded": [batch.packed()]})
 
         for pdf in frames:
             for i, text in zip(pdf["doc_id"].astype("Int64"), pdf["text"], strict=True):
@@ -182,8 +180,8 @@ def katz_scores(docs: DataFrame) -> DataFrame:
     """``(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score)``, a row for each of ``docs(doc_id, text)``."""
     spark = docs.sparkSession
     # Written where it was read and never shuffled: answers come to a batch by the task that wrote it.
-    home = F.shiftright("batch", 32).cast("int").alias("home")
-    coded = saved_in_place(code_corpus(docs).select(home, "*"), "home", docs.rdd.getNumPartitions(), "coded")
+    homes = even_homes(docs)
+    coded = saved_in_place(code_corpus(docs, homes), homes, "coded")
     sizes = coded.agg(F.coalesce(F.sum(F.octet_length("coded")), F.lit(0))).first()[0]
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-2 * sizes // PARTITION_BYTES))
 
@@ -307,8 +305,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
                 yield pd.DataFrame(rows, columns=["kind", "slot", "batch", "blob", "docs"])
 
     doc_shape = "array<struct<doc_id:long,held_out:boolean,n_tokens:long,n_known:long,base_score:double,part:double>>"
-    theirs = answers.select(home, F.col("batch").alias("of"), "answers")
-    both = coded.join(theirs, (coded["home"] == theirs["home"]) & (coded["batch"] - theirs["of"] == 0)).select("batch", "doc_ids", "coded", "answers")
+    both = with_answers(coded, answers).select("batch", "doc_ids", "coded", "answers")
     settled = saved(both.mapInPandas(settle, f"{shape}, docs {doc_shape}"), "settled")
     release_shuffles(spark)
 

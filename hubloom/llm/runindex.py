@@ -36,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubloom.llm.common import release_shuffles, saved, saved_in_place
+from hubloom.llm.common import even_homes, first_batch, release_shuffles, saved, saved_in_place, with_answers
 from hubloom.llm.katz import _deltas, _keys, _pack, _unpack
 
 LENGTH = 50
@@ -260,19 +260,17 @@ def _slots(keys: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray]:
     return order, np.searchsorted(slot[order], np.arange(parts + 1))
 
 
-def text_batches(docs: DataFrame) -> DataFrame:
+def text_batches(docs: DataFrame, homes: list[int]) -> DataFrame:
     """``(batch, coded)`` of ``docs(doc_id, text)``: ids, sizes and bytes of whole documents."""
 
     def code(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        from pyspark import TaskContext
-
-        part, n, size = TaskContext.get().partitionId(), 0, 0
+        n, size = first_batch(homes), 0
         ids: list[int] = []
         texts: list[bytes] = []
 
         def row() -> pd.DataFrame:
             data = np.frombuffer(b"".join(texts), dtype=np.uint8)
-            return pd.DataFrame({"batch": [(part << 32) | n], "coded": [_pack(np.array(ids, dtype=np.int64), np.array([len(t) for t in texts], dtype=np.int64), data)]})
+            return pd.DataFrame({"batch": [n], "coded": [_pack(np.array(ids, dtype=np.int64), np.array([len(t) for t in texts], dtype=np.int64), data)]})
 
         for pdf in frames:
             for i, text in zip(pdf["doc_id"], pdf["text"], strict=True):
@@ -328,13 +326,8 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
     """
     spark = docs.sparkSession
     # Written where they were read and never shuffled: answers come to them by the task that wrote them.
-    home = F.shiftright("batch", 32).cast("int").alias("home")
-    batches = saved_in_place(text_batches(docs).select(home, "batch", "coded"), "home", docs.rdd.getNumPartitions(), "texts")
-
-    def with_answers(answers: DataFrame, how: str) -> DataFrame:
-        theirs = answers.select(home, F.col("batch").alias("of"), *[c for c in answers.columns if c != "batch"])
-        return batches.join(theirs, (batches["home"] == theirs["home"]) & (batches["batch"] - theirs["of"] == 0), how).drop(theirs["home"])
-
+    homes = even_homes(docs)
+    batches = saved_in_place(text_batches(docs, homes), homes, "texts")
     size = batches.agg(F.coalesce(F.sum(F.octet_length("coded")), F.lit(0))).first()[0]
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // PARTITION_BYTES))
     shape = "slot int, batch long, blob binary"
@@ -422,7 +415,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
             out.append(_pack(np.array([len(x) for x in lists], dtype=np.uint32), np.concatenate([np.zeros(0, np.int64), *lists]).astype(np.int64)))
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": out})
 
-    least = saved(dealt(with_answers(answers, "inner").select("batch", "coded", "states").mapInPandas(units_of, shape)).applyInPandas(search, shape), "least")
+    least = saved(dealt(with_answers(batches, answers).select("batch", "coded", "states").mapInPandas(units_of, shape)).applyInPandas(search, shape), "least")
     release_shuffles(spark)
     settled = least.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("least"))
 
@@ -473,6 +466,6 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
         out = pd.DataFrame(rows, columns=["doc_id", "n_bytes", "n_removed", "n_spans", "spans", "kept"])
         return out.astype({"doc_id": "Int64"})
 
-    return with_answers(settled, "left").select("coded", "least").mapInPandas(
+    return with_answers(batches, settled, "left").select("coded", "least").mapInPandas(
         cut_texts, "doc_id long, n_bytes long, n_removed long, n_spans long, spans array<struct<start:long,end:long>>, kept binary"
     )
