@@ -4,10 +4,12 @@ from __future__ import annotations
 
 import atexit
 import gc
+import inspect
 import shutil
 import tempfile
 import time
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -128,6 +130,30 @@ def release_shuffles(spark: SparkSession) -> None:
         time.sleep(0.5)
 
 
+def trimmed(work: Callable) -> Callable:
+    """A function of Pandas frames (an iterator's or a group's) after which its worker gives freed memory back: workers wait for tasks with what they hold."""
+
+    def give_back() -> None:
+        import ctypes
+
+        import pyarrow as pa
+
+        pa.default_memory_pool().release_unused()
+        if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):  # where the C library has it
+            trim(0)
+
+    def each(frames):  # noqa: ANN001, ANN202
+        yield from work(frames)
+        give_back()
+
+    def group(pdf):  # noqa: ANN001, ANN202
+        out = work(pdf)
+        give_back()
+        return out
+
+    return each if inspect.isgeneratorfunction(work) else group
+
+
 def sha256_hex(col: Column) -> Column:
     return F.sha2(col, 256)
 

@@ -36,7 +36,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubloom.llm.common import even_homes, first_batch, release_shuffles, saved, saved_in_place, with_answers
+from hubloom.llm.common import even_homes, first_batch, release_shuffles, saved, saved_in_place, trimmed, with_answers
 
 END, START = np.uint64(0), np.uint64(1)
 #: Counts above this are not discounted, but for the part of a count that keeps a history's rest above zero.
@@ -220,7 +220,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         return out
 
     shape = "kind int, slot int, batch long, blob binary"
-    replies = saved(coded.select("batch", "coded").mapInPandas(ask, shape).groupBy("kind", "slot").applyInPandas(total, shape + ", stats array<long>"), "counts")
+    replies = saved(coded.select("batch", "coded").mapInPandas(trimmed(ask), shape).groupBy("kind", "slot").applyInPandas(trimmed(total), shape + ", stats array<long>"), "counts")
     release_shuffles(spark)
     # A few sums for the whole model.
     totals = {
@@ -306,7 +306,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
 
     doc_shape = "array<struct<doc_id:long,held_out:boolean,n_tokens:long,n_known:long,base_score:double,part:double>>"
     both = with_answers(coded, answers).select("batch", "doc_ids", "coded", "answers")
-    settled = saved(both.mapInPandas(settle, f"{shape}, docs {doc_shape}"), "settled")
+    settled = saved(both.mapInPandas(trimmed(settle), f"{shape}, docs {doc_shape}"), "settled")
     release_shuffles(spark)
 
     def weigh(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -329,7 +329,7 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         return pd.DataFrame(out, columns=["batch", "waits"]).astype({"batch": "int64"})
 
     # A packed row for each batch and partition, as on the way there.
-    waits = settled.where("kind = 1").select("slot", "batch", "blob").groupBy("slot").applyInPandas(weigh, "batch long, waits binary")
+    waits = settled.where("kind = 1").select("slot", "batch", "blob").groupBy("slot").applyInPandas(trimmed(weigh), "batch long, waits binary")
     gathered = settled.where("kind = 0").select("batch", "docs").join(waits.groupBy("batch").agg(F.collect_list("waits").alias("waits")), "batch", "left")
 
     def finish(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

@@ -36,7 +36,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubloom.llm.common import even_homes, first_batch, release_shuffles, saved, saved_in_place, with_answers
+from hubloom.llm.common import even_homes, first_batch, release_shuffles, saved, saved_in_place, trimmed, with_answers
 from hubloom.llm.katz import _deltas, _keys, _pack, _unpack
 
 LENGTH = 50
@@ -357,7 +357,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
         ends = np.cumsum([len(k) for k in keys])[:-1]
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": [_pack(s) for s in np.split(state, ends)]})
 
-    states = saved(dealt(batches.select("batch", "coded").mapInPandas(anchors_of, shape)).applyInPandas(shared, shape), "states")
+    states = saved(dealt(batches.select("batch", "coded").mapInPandas(trimmed(anchors_of), shape)).applyInPandas(trimmed(shared), shape), "states")
     release_shuffles(spark)
     # One row a batch: at most one packed answer a partition.
     answers = states.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("states"))
@@ -415,7 +415,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
             out.append(_pack(np.array([len(x) for x in lists], dtype=np.uint32), np.concatenate([np.zeros(0, np.int64), *lists]).astype(np.int64)))
         return pd.DataFrame({"slot": pdf["slot"], "batch": pdf["batch"], "blob": out})
 
-    least = saved(dealt(with_answers(batches, answers).select("batch", "coded", "states").mapInPandas(units_of, shape)).applyInPandas(search, shape), "least")
+    least = saved(dealt(with_answers(batches, answers).select("batch", "coded", "states").mapInPandas(trimmed(units_of), shape)).applyInPandas(trimmed(search), shape), "least")
     release_shuffles(spark)
     settled = least.groupBy("batch").agg(F.collect_list(F.struct("slot", "blob")).alias("least"))
 
@@ -467,5 +467,5 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, anchor: int = ANCHOR)
         return out.astype({"doc_id": "Int64"})
 
     return with_answers(batches, settled, "left").select("coded", "least").mapInPandas(
-        cut_texts, "doc_id long, n_bytes long, n_removed long, n_spans long, spans array<struct<start:long,end:long>>, kept binary"
+        trimmed(cut_texts), "doc_id long, n_bytes long, n_removed long, n_spans long, spans array<struct<start:long,end:long>>, kept binary"
     )
