@@ -68,10 +68,10 @@ class TagCache:
     """Tags by graph, hubs and bound: a zoom or a second query on one graph traverses nothing again."""
 
     def __init__(self) -> None:
-        self.known: dict[tuple, DataFrame] = {}
+        self.known: dict[tuple, tuple[DataFrame, DataFrame]] = {}  # with the edges, so that their identity stays taken
 
     def vertices(self, graph: PropertyGraph, hubs: list[int], hops: int | None = None) -> DataFrame:
         key = (id(graph.edges), tuple(hubs), hops)
         if key not in self.known:
-            self.known[key] = saved(tag_vertices(graph, hubs, hops), "tags")
-        return self.known[key]
+            self.known[key] = (graph.edges, saved(tag_vertices(graph, hubs, hops), "tags"))
+        return self.known[key][1]

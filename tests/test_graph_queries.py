@@ -227,3 +227,19 @@ def test_contract(spark):
 
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_structural_summaries_are_of_the_part(spark):
+    g = made(spark, [(1, 2), (2, 4), (4, 5), (5, 3), (1, 6), (6, 3)]).saved()
+    part = lambda *rows: (lambda graph, hubs: spark.createDataFrame([(1, 3, v) for v in rows], "x long, y long, vid long"))
+    ask = lambda custom, name, **o: q.explore(g).hubs(lambda x: [1, 3]).between(custom=custom).summarize(q.structural(name, **o)).run().tables[name]
+    assert ask(part(1, 3), "shortest_distance").collect() == []  # no path inside
+    assert rows(ask(part(1, 2, 4, 5, 3), "shortest_distance"), "x", "y", "distance") == [(1, 3, 4)]
+    assert rows(ask(part(1, 2, 3, 4, 5, 6), "shortest_path"), "x", "y", "path") == [(1, 3, [1, 6, 3])]
+    assert rows(ask(part(1, 2, 3, 4, 5, 6), "min_cut"), "x", "y", "cut") == [(1, 3, 2)]
+    assert rows(ask(part(1, 3, 6), "min_cut"), "x", "y", "cut") == [(1, 3, 1)]
+    with pytest.raises(ValueError, match="none"):
+        q.explore(g).hubs(lambda x: []).summarize(q.structural("min_cut")).run()
+    # Bounded on each side: through 6, and not by the longer way.
+    found = q.explore(g).hubs(lambda x: [1, 3]).between(2).summarize(q.structural("weighted_distance", weight="e_mr")).run().tables["weighted_distance"]
+    assert rows(found, "x", "y", "distance") == [(1, 3, 7 + 19)]
