@@ -42,7 +42,7 @@ def shared_root(spark: SparkSession) -> str:
             sc.setCheckpointDir(named)
         return named.rstrip("/")
     if current is None:
-        if not sc.master.startswith("local["):
+        if sc.master.split("[")[0] != "local":
             raise ValueError("name a folder that all executors share in spark.checkpoint.dir")
         own = tempfile.mkdtemp(prefix="hubloom-")
         atexit.register(shutil.rmtree, own, True)
