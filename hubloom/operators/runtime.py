@@ -22,7 +22,7 @@ def shared_root(spark: SparkSession) -> str:
     if named:
         return named.rstrip("/")
     if current is None:
-        if not spark.sparkContext.master.startswith("local["):
+        if spark.sparkContext.master.split("[")[0] != "local":
             raise ValueError("name a folder that all executors share in spark.checkpoint.dir")
         own = tempfile.mkdtemp(prefix="hubloom-")
         atexit.register(shutil.rmtree, own, True)
