@@ -550,12 +550,12 @@ def same_groups(g: PropertyGraph, hubs: list[int]) -> DataFrame:
 
 
 CUSTOM = [
-    NEAR, S.top_hubs(3),
+    S.contact(), S.top_hubs(3),
     " mem AS (SELECT DISTINCT a.vid AS x, b.vid AS y, v.vid FROM h a JOIN h b ON a.i <> b.i JOIN v va ON va.vid = a.vid JOIN v vb ON vb.vid = b.vid JOIN v ON v.v_grp IN (va.v_grp, vb.v_grp))",
     S.EDGE_MEMBERS_ENDS,
 ]
 CUSTOM_WALK = " walk(x, y, vid, d) AS (SELECT DISTINCT x, y, x, 0 FROM mem UNION SELECT w.x, w.y, m.tgt, w.d + 1 FROM walk w JOIN emem m ON m.x = w.x AND m.y = w.y AND m.src = w.vid WHERE w.d < 30)"
-_custom = lambda s, d, *what: q.explore(near(s, d)).hubs(lambda x: hubs_of(near(s, d), 3)).between(custom=same_groups).summarize(*what).run().tables
+_custom = lambda s, d, *what: q.explore(g := graph(s, d, "contact_graph")).hubs(lambda x: hubs_of(g, 3)).between(custom=same_groups).summarize(*what).run().tables
 query("tau_vertex_custom", S.sql(*CUSTOM, final="SELECT x, y, v_grp, COUNT(*) AS n FROM mem JOIN v USING (vid) GROUP BY 1, 2, 3"))(
     lambda s, d: _custom(s, d, q.vertex_agg("count", None, ("v_grp",), "n"))["n"]
 )
