@@ -1,26 +1,28 @@
 """Katz backoff language model over a whole corpus, scored on every text.
 
-The model is a bigram model (the only order it has) with Good-Turing discounts:
+A model of any ``order`` with Good-Turing discounts; h' is a history h without its first word:
 
-    P(w | h) = d(c) c / c(h)         where the pair was seen c > 0 times,
-    P(w | h) = alpha(h) P(w)         where it was not, and
+    P(w | h) = d(c) c / c(h)         where h and w were seen together c > 0 times,
+    P(w | h) = alpha(h) P(w | h')    where they were not (alpha is 1 for a history never seen), and
     P(w)     = d(c) c / N            for known words, the rest for one unknown type.
 
-Counts above ``LARGEST`` keep all but ``LEFT`` of a count, so that a history whose
-pairs are all frequent leaves some mass too.  ``alpha(h)`` is the mass that
-discounts leave, divided by the unigram mass of the words not seen after ``h``:
+A word seen after h was seen after h' too, so the recursion of a token ends at the
+longest history it was seen after, and the weights on its way there depend on
+counts alone: all orders are settled in the same two exchanges.  Counts above ``LARGEST`` keep all but ``LEFT`` of a count, so that a history whose
+words are all frequent leaves some mass too.  ``alpha(h)`` is the mass that
+discounts leave, divided by the mass that h' gives to words not seen after ``h``:
 each history sums to exactly one.
 
 The corpus is coded once into batches of word numbers.  Count tables are
 partitioned by key hash; a batch sends each partition its distinct keys (with
 training counts), one packed row a partition, and gets the totals back in the
-same order.  So a token costs a few bytes of shuffle, a word or pair that fills
-a third of the corpus is one entry a batch, and no table is gathered anywhere.
-Histories get their backoff weights from the batches that own their pairs (each
-distinct pair has one), and unseen pairs of held-out texts are settled where the
+same order.  So a token costs a few bytes of shuffle an order, a word or n-gram that
+fills a third of the corpus is one entry a batch, and no table is gathered anywhere.
+Histories get their backoff weights from the batches that own their n-grams (each
+distinct one has an owner), and unseen n-grams of held-out texts are settled where the
 weight of their history is.
 
-Words and pairs are told apart by 64-bit hashes.  Null texts are empty: their
+Words and n-grams are told apart by 64-bit hashes.  Null texts are empty: their
 only token is the end.  Repeated rows count and score as often as they occur.
 """
 
@@ -42,6 +44,7 @@ END, START = np.uint64(0), np.uint64(1)
 #: Counts above this are not discounted, but for the part of a count that keeps a history's rest above zero.
 LARGEST = 5
 LEFT = 0.01
+ORDER = 2
 BATCH_BYTES = 2 << 20
 #: Corpus bytes a partition of the count tables serves.
 PARTITION_BYTES = 8 << 20
@@ -73,31 +76,55 @@ def _keys(planes: np.ndarray) -> np.ndarray:
         return np.cumsum(d, dtype=np.uint64)
 
 
+def _by_slot(slot: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray]:
+    order = np.argsort(slot, kind="stable")
+    return order, np.searchsorted(slot[order], np.arange(parts + 1))
+
+
 def held_out_id(doc_id: int | None, folds: int = 5, fold: int = 1) -> bool:
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % folds == fold
 
 
+def _after(h: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """Keys of histories followed by words."""
+    with np.errstate(over="ignore"):
+        key = (h * np.uint64(0x9E3779B97F4A7C15)) ^ ((w + np.uint64(0x7F4A7C15)) * np.uint64(0xC2B2AE3D27D4EB4F))
+        key ^= key >> np.uint64(31)
+        return key * np.uint64(0xD6E8FEB86659FD93)
+
+
 class Batch:
-    """Documents coded as numbers into a sorted list of distinct word hashes."""
+    """Documents coded as numbers into a sorted list of distinct word hashes.
+
+    ``grams[j]``: ascending keys of the n-grams of ``j + 1`` words and the number of that at each token;
+    ``history[j]``: the number, in ``grams[j]``, of what precedes each token; ``starts[j]``: that of a text's start.
+    """
 
-    def __init__(self, words: np.ndarray, stream: np.ndarray, lengths: np.ndarray, train: np.ndarray):
+    def __init__(self, words: np.ndarray, stream: np.ndarray, lengths: np.ndarray, train: np.ndarray, order: int):
         self.words, self.stream, self.lengths, self.train = words, stream, lengths, train
         self.doc = np.repeat(np.arange(len(lengths)), lengths)
-        first = np.cumsum(lengths) - lengths
-        start = int(np.searchsorted(words, START))
-        self.before = np.empty_like(stream)
-        self.before[1:] = stream[:-1]
-        self.before[first] = start
-        with np.errstate(over="ignore"):
-            h, w = words[self.before], words[stream]
-            key = (h * np.uint64(0x9E3779B97F4A7C15)) ^ ((w + np.uint64(0x7F4A7C15)) * np.uint64(0xC2B2AE3D27D4EB4F))
-            key ^= key >> np.uint64(31)
-            key *= np.uint64(0xD6E8FEB86659FD93)
-        self.pairs, self.pair_of = np.unique(key, return_inverse=True)
         self.in_train = train[self.doc]
+        first = np.cumsum(lengths) - lengths
+        self.grams, self.history, self.starts = [(words, stream)], [], []
+        start = np.array([START])
+        for n in range(2, order + 1):
+            keys, of = self.grams[-1]
+            self.starts.append(int(np.searchsorted(keys, start[0])))
+            before = np.empty_like(of)
+            before[1:] = of[:-1]
+            before[first] = self.starts[-1]
+            self.history.append(before)
+            every = _after(keys[before], words[stream])
+            start = _after(start, np.array([START]))
+            kept, at = np.unique(np.concatenate([every, start]) if n < order else every, return_inverse=True)
+            self.grams.append((kept, at[: len(every)].astype(np.uint32)))
+
+    def dealt(self, parts: int) -> list[tuple[np.ndarray, np.ndarray]]:
+        """For each order, its keys' numbers by partition and where the partitions' begin."""
+        return [_by_slot((keys % np.uint64(parts)).astype(np.int64), parts) for keys, _ in self.grams]
 
     @classmethod
-    def of_texts(cls, texts: list[str], train: list[bool]) -> Batch:
+    def of_texts(cls, texts: list[str], train: list[bool], order: int = 1) -> Batch:
         number: dict[bytes, int] = {}
 
         class Numbers(dict):
@@ -114,15 +141,15 @@ class Batch:
             lengths.append(len(codes))
         hashes = np.array([xxhash.xxh64_intdigest(w) for w in number] + [START, END], dtype=np.uint64)
         words, rank = np.unique(hashes, return_inverse=True)
-        return cls(words, rank[np.concatenate(parts)].astype(np.uint32), np.array(lengths, dtype=np.int64), np.array(train, dtype=bool))
+        return cls(words, rank[np.concatenate(parts)].astype(np.uint32), np.array(lengths, dtype=np.int64), np.array(train, dtype=bool), order)
 
     def packed(self) -> bytes:
         return _pack(_deltas(self.words), self.stream, self.lengths, self.train)
 
     @classmethod
-    def unpacked(cls, blob: bytes) -> Batch:
+    def unpacked(cls, blob: bytes, order: int) -> Batch:
         words, stream, lengths, train = _unpack(blob)
-        return cls(_keys(words), stream, lengths, train)
+        return cls(_keys(words), stream, lengths, train, order)
 
 
 def discounts(n: np.ndarray) -> np.ndarray:
@@ -176,25 +203,27 @@ def code_corpus(docs: DataFrame, homes: list[int]) -> DataFrame:
     return docs.select("doc_id", "text").mapInPandas(code, "batch long, doc_ids array<long>, coded binary")
 
 
-def katz_scores(docs: DataFrame) -> DataFrame:
-    """``(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score)``, a row for each of ``docs(doc_id, text)``."""
+def katz_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
+    """``(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score)``, a row for each of ``docs(doc_id, text)``.
+
+    ``order``: words of the longest n-gram, at least 1 (then ``score`` knows no history).
+    """
+    if order < 1:
+        raise ValueError("a model has one word at least")
     spark = docs.sparkSession
     # Written where it was read and never shuffled: answers come to a batch by the task that wrote it.
     homes = even_homes(docs)
     coded = saved_in_place(code_corpus(docs, homes), homes, "coded")
     sizes = coded.agg(F.coalesce(F.sum(F.octet_length("coded")), F.lit(0))).first()[0]
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-2 * sizes // PARTITION_BYTES))
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-order * sizes // PARTITION_BYTES))
 
     def ask(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in frames:
             for batch, blob in zip(pdf["batch"], pdf["coded"], strict=True):
-                b = Batch.unpacked(blob)
-                for kind, keys, of in ((0, b.words, b.stream), (1, b.pairs, b.pair_of)):
+                b = Batch.unpacked(blob, order)
+                for kind, ((keys, of), (dealt, cut)) in enumerate(zip(b.grams, b.dealt(parts), strict=True)):
                     count = np.bincount(of[b.in_train], minlength=len(keys))
-                    slot = (keys % np.uint64(parts)).astype(np.int64)
-                    order = np.argsort(slot, kind="stable")
-                    cut = np.searchsorted(slot[order], np.arange(parts + 1))
-                    rows = [(kind, p, batch, _pack(_deltas(keys[at]), _narrow(count[at]))) for p in range(parts) if len(at := order[cut[p] : cut[p + 1]])]
+                    rows = [(kind, p, batch, _pack(_deltas(keys[at]), _narrow(count[at]))) for p in range(parts) if len(at := dealt[cut[p] : cut[p + 1]])]
                     yield pd.DataFrame(rows, columns=["kind", "slot", "batch", "blob"])
 
     def total(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -207,16 +236,11 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         owner = np.zeros(len(of), dtype=bool)
         owner[first] = True
         seen = sums[sums > 0]
-        if pdf["kind"].iloc[0] == 0:
-            words = every[sums > 0]
-            tokens = seen.sum()
-        else:
-            words, tokens = seen, seen.sum()
         of_counts = np.bincount(np.minimum(seen, LARGEST + 2), minlength=LARGEST + 3)[: LARGEST + 2]
         ends = np.cumsum([len(k) for k in keys])[:-1]
         answers = [_pack(_narrow(t), o) for t, o in zip(np.split(sums[of], ends), np.split(owner, ends), strict=True)]
         out = pd.DataFrame({"kind": pdf["kind"], "slot": pdf["slot"], "batch": pdf["batch"], "blob": answers})
-        out["stats"] = [[int(len(words)), int(tokens), *of_counts.tolist()]] + [None] * (len(out) - 1)
+        out["stats"] = [[int(len(seen)), int(seen.sum()), *of_counts.tolist()]] + [None] * (len(out) - 1)
         return out
 
     shape = "kind int, slot int, batch long, blob binary"
@@ -234,68 +258,65 @@ def katz_scores(docs: DataFrame) -> DataFrame:
         return spark.createDataFrame([], RESULT)
     stats = {k: np.array([r[f"s{i}"] for i in range(LARGEST + 4)], dtype=float) for k, r in totals.items()}
     types, tokens = stats[0][0], stats[0][1]
-    d1, d2 = discounts(stats[0][2:]), discounts(stats[1][2:])
+    d = [discounts(stats[j][2:]) for j in range(order)]
     # What discounts leave of the words' mass is the unknown type's.
     small = stats[0][2:][1 : LARGEST + 1]
-    lost = float((np.arange(1, LARGEST + 1) * (1 - d1[1:]) * small).sum() + LEFT * (types - small.sum()))
+    lost = float((np.arange(1, LARGEST + 1) * (1 - d[0][1:]) * small).sum() + LEFT * (types - small.sum()))
     n_train = max(tokens, 1.0)
     unknown = max(lost, 0.5) / n_train if tokens else 1.0
     shrink = 1.0 if lost >= 0.5 else (1.0 - unknown)
 
     def unigram(c: np.ndarray) -> np.ndarray:
-        return np.where(c > 0, shrink * discounted(c, d1) / n_train, unknown)
+        return np.where(c > 0, shrink * discounted(c, d[0]) / n_train, unknown)
 
-    answers = replies.groupBy("batch").agg(F.collect_list(F.struct("kind", "slot", "blob")).alias("answers"))  # at most two a partition
+    answers = replies.groupBy("batch").agg(F.collect_list(F.struct("kind", "slot", "blob")).alias("answers"))  # at most one a partition and order
 
     def settle(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in frames:
             for batch, doc_ids, blob, got in zip(pdf["batch"], pdf["doc_ids"], pdf["coded"], pdf["answers"], strict=True):
-                b = Batch.unpacked(blob)
-                word_count, pair_count, owner = np.zeros(len(b.words)), np.zeros(len(b.pairs)), np.zeros(len(b.pairs), dtype=bool)
-                word_slot, pair_slot = (b.words % np.uint64(parts)).astype(np.int64), (b.pairs % np.uint64(parts)).astype(np.int64)
-                places = {}
-                for kind, slot in ((0, word_slot), (1, pair_slot)):
-                    order = np.argsort(slot, kind="stable")
-                    places[kind] = (order, np.searchsorted(slot[order], np.arange(parts + 1)))
+                b = Batch.unpacked(blob, order)
+                counts, owner, dealt = [np.zeros(len(k)) for k, _ in b.grams], [np.zeros(len(k), dtype=bool) for k, _ in b.grams], b.dealt(parts)
                 for a in got:
-                    order, cut = places[a["kind"]]
-                    at = order[cut[a["slot"]] : cut[a["slot"] + 1]]
-                    t, o = _unpack(a["blob"])
-                    if a["kind"] == 0:
-                        word_count[at] = t
-                    else:
-                        pair_count[at], owner[at] = t, o
+                    every, cut = dealt[a["kind"]]
+                    at = every[cut[a["slot"]] : cut[a["slot"] + 1]]
+                    counts[a["kind"]][at], owner[a["kind"]][at] = _unpack(a["blob"])
                 docs_n = len(b.lengths)
                 of_doc = lambda v: np.bincount(b.doc, weights=v, minlength=docs_n)  # noqa: E731, B023
-                c = word_count[b.stream]
+                c = counts[0][b.stream]
                 base = of_doc(np.log10((c + 0.5) / (n_train * (tokens > 0) + 0.5 * (types + 1))))
-                # As histories, words count as often as they occur; the start as often as there are texts, like the end.
-                is_start = b.words == START
-                history = np.where(is_start, word_count[np.searchsorted(b.words, END)], word_count)
-                p1 = unigram(word_count)
-                cp = pair_count[b.pair_of]
-                seen = cp > 0
-                h = b.before
-                with np.errstate(divide="ignore", invalid="ignore"):
-                    logs = np.where(seen, np.log10(discounted(cp, d2) / history[h]), np.log10(p1[b.stream]))
+                p1 = unigram(counts[0])
+                texts = counts[0][np.searchsorted(b.words, END)]  # as many as ends
+                shorter, logs, rows = p1[b.stream], np.log10(p1[b.stream]), []
+                for j, h in enumerate(b.history):
+                    # As histories, n-grams count as often as they occur; the start as often as there are texts.
+                    known = counts[j].copy()
+                    known[b.starts[j]] = texts
+                    of = b.grams[j + 1][1]
+                    cp = counts[j + 1][of]
+                    seen = cp > 0
+                    with np.errstate(divide="ignore", invalid="ignore"):
+                        p = discounted(cp, d[j + 1]) / known[h]
+                        logs = np.where(seen, np.log10(p), logs)
+                    # N-grams that this batch owns tell their history what is taken of it, by count and by the mass of shorter histories.
+                    one = np.full(len(owner[j + 1]), -1)
+                    one[of] = np.arange(len(of))
+                    mine = one[owner[j + 1] & (counts[j + 1] > 0)]
+                    hm = h[mine]
+                    taken = np.bincount(hm, weights=discounted(cp[mine], d[j + 1]), minlength=len(known))
+                    mass = np.bincount(hm, weights=shorter[mine], minlength=len(known))
+                    # Unseen ones after a known history wait for its weight: (history, document, times).
+                    wait = np.flatnonzero(~seen & (known[h] > 0))
+                    hd, times = np.unique(h[wait].astype(np.int64) * docs_n + b.doc[wait], return_counts=True)
+                    told = np.flatnonzero(np.bincount(hm, minlength=len(known)))
+                    keys = b.grams[j][0]
+                    slot = (keys % np.uint64(parts)).astype(np.int64)
+                    (t_of, t_cut), (w_of, w_cut) = _by_slot(slot[told], parts), _by_slot(slot[hd // docs_n], parts)
+                    for s in np.flatnonzero(np.diff(t_cut) + np.diff(w_cut)):
+                        t, w = told[t_of[t_cut[s] : t_cut[s + 1]]], w_of[w_cut[s] : w_cut[s + 1]]
+                        told_of = (_deltas(keys[t]), _narrow(known[t]), taken[t], mass[t])
+                        rows.append((j + 1, s, batch, _pack(*told_of, _deltas(keys[hd[w] // docs_n]), _narrow(hd[w] % docs_n), _narrow(times[w])), None))
+                    shorter = p
                 part = of_doc(logs)
-                # Pairs that this batch owns tell their history what is taken of it, by count and by unigram mass.
-                one = np.unique(b.pair_of, return_index=True)[1]
-                mine = one[owner & (pair_count > 0)]
-                hm, cm = h[mine], cp[mine]
-                taken = np.bincount(hm, weights=discounted(cm, d2), minlength=len(b.words))
-                mass = np.bincount(hm, weights=p1[b.stream[mine]], minlength=len(b.words))
-                # Unseen pairs after a known history wait for its weight: (history, document, times).
-                wait = np.flatnonzero(~seen & (history[h] > 0))
-                hd, times = np.unique(h[wait].astype(np.int64) * docs_n + b.doc[wait], return_counts=True)
-                rows = []
-                told = np.flatnonzero(np.bincount(hm, minlength=len(b.words)))
-                for p in range(parts):
-                    t = told[word_slot[told] == p]
-                    w = np.flatnonzero(word_slot[hd // docs_n] == p) if len(hd) else hd
-                    if len(t) or len(w):
-                        told_of = (_deltas(b.words[t]), _narrow(history[t]), taken[t], mass[t])
-                        rows.append((1, p, batch, _pack(*told_of, _deltas(b.words[hd[w] // docs_n]), _narrow(hd[w] % docs_n), _narrow(times[w])), None))
                 ids = [None if i is None or i != i else int(i) for i in doc_ids]
                 per_doc = [
                     (i, not t, int(n), int(k), float(bs), float(ps))
@@ -328,8 +349,8 @@ def katz_scores(docs: DataFrame) -> DataFrame:
                 out.append((batch, _pack(at, np.bincount(where, weights=each))))
         return pd.DataFrame(out, columns=["batch", "waits"]).astype({"batch": "int64"})
 
-    # A packed row for each batch and partition, as on the way there.
-    waits = settled.where("kind = 1").select("slot", "batch", "blob").groupBy("slot").applyInPandas(trimmed(weigh), "batch long, waits binary")
+    # A packed row for each batch, order and partition, as on the way there.
+    waits = settled.where("kind > 0").select("kind", "slot", "batch", "blob").groupBy("kind", "slot").applyInPandas(trimmed(weigh), "batch long, waits binary")
     gathered = settled.where("kind = 0").select("batch", "docs").join(waits.groupBy("batch").agg(F.collect_list("waits").alias("waits")), "batch", "left")
 
     def finish(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

@@ -1,6 +1,7 @@
 """Each operator against the library it reproduces or a brute-force version, on small and awkward inputs."""
 
 import base64
+import functools
 import hashlib
 import math
 import random
@@ -262,6 +263,49 @@ def test_katz_against_brute_force(spark):
     assert held_out_id(12) == (zlib.crc32(b"12") % 5 == 1)
 
 
+def test_katz_of_higher_orders_against_recursion(spark):
+    rnd = random.Random(5)
+    rows = [(i, None if i == 7 else " ".join(rnd.choice("a b c d e f".split()) if rnd.random() < 0.9 else f"x{i}" for _ in range(rnd.randrange(25)))) for i in range(60)]
+    rows += rows[:5]
+    top = 3
+    tokens = [(i, (t or "").encode().lower().split()) for i, t in rows]
+    grams, hist = [Counter() for _ in range(top + 1)], Counter()
+    for i, words in tokens:
+        if not held_out_id(i):
+            seq = ["<s>"] * (top - 1) + [*words, None]
+            for at in range(top - 1, len(seq)):
+                for j in range(1, top + 1):
+                    grams[j][tuple(seq[at - j + 1 : at + 1])] += 1
+                    hist[tuple(seq[at - j + 1 : at])] += 1
+    d = [None] + [discounts(np.array([0, *[sum(x == r for x in g.values()) for r in range(1, LARGEST + 2)]], dtype=float)) for g in grams[1:]]
+    cut = lambda c, j: c * d[j][c] if c <= LARGEST else c - LEFT
+    n = sum(grams[1].values())
+    left = 1 - sum(cut(c, 1) for c in grams[1].values()) / n
+
+    @functools.cache
+    def weight(h):
+        after = [g[-1] for g in grams[len(h) + 1] if g[:-1] == h]
+        return (1 - sum(cut(grams[len(h) + 1][(*h, w)], len(h) + 1) for w in after) / hist[h]) / (1 - sum(prob(h[1:], w) for w in after))
+
+    def prob(h, w):
+        j = len(h) + 1
+        if c := grams[j][(*h, w)]:
+            return cut(c, j) / (hist[h] if h else n)
+        return left if not h else (weight(h) if hist[h] else 1) * prob(h[1:], w)
+
+    known = [w for (w,) in grams[1]]
+    for h in [h for h in hist if len(h) == 2][:20]:
+        assert math.isclose(sum(prob(h, w) for w in known) + prob(h, "never seen"), 1, rel_tol=1e-9)
+    for order in (1, 2, 3):
+        got = katz_scores(texts(docs_of(spark, rows)), order).collect()
+        assert len(got) == len(rows)
+        want = {}
+        for i, words in tokens:
+            seq = ["<s>"] * (order - 1) + [*words, None]
+            want[i] = sum(math.log10(prob(tuple(seq[at - order + 1 : at]), seq[at])) for at in range(order - 1, len(seq)))
+        assert all(math.isclose(r["score"], want[r["doc_id"]], abs_tol=1e-8) for r in got)
+
+
 def test_line_templates(spark):
     rows = [(i, f"Own line {chr(97 + i) * 3} {chr(98 + i) * 4} {chr(99 + i) * 2}\nPrinted on 2024-01-{i:02d} by user{i} at desk {i}\nAll rights are reserved by {'Ann' if i % 3 else 'Bob'}.\nshort") for i in range(20)]
     rows += [(30, None), (31, ""), (32, "\n\n"), (None, "All rights are reserved by Ann."), (5, rows[5][1])]
