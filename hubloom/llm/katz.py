@@ -44,7 +44,7 @@ END, START = np.uint64(0), np.uint64(1)
 #: Counts above this are not discounted, but for the part of a count that keeps a history's rest above zero.
 LARGEST = 5
 LEFT = 0.01
-ORDER = 2
+ORDER = 3
 BATCH_BYTES = 2 << 20
 #: Corpus bytes a partition of the count tables serves.
 PARTITION_BYTES = 8 << 20
