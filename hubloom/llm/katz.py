@@ -8,7 +8,7 @@ A model of any ``order`` with Good-Turing discounts; h' is a history h without i
 
 A word seen after h was seen after h' too, so the recursion of a token ends at the
 longest history it was seen after, and the weights on its way there depend on
-counts alone: all orders are settled in the same two exchanges.  Counts above ``LARGEST`` keep all but ``LEFT`` of a count, so that a history whose
+counts alone: counts are exchanged one order at a time, weights all at once.  Counts above ``LARGEST`` keep all but ``LEFT`` of a count, so that a history whose
 words are all frequent leaves some mass too.  ``alpha(h)`` is the mass that
 discounts leave, divided by the mass that h' gives to words not seen after ``h``:
 each history sums to exactly one.
@@ -20,7 +20,8 @@ same order.  So a token costs a few bytes of shuffle an order, a word or n-gram
 fills a third of the corpus is one entry a batch, and no table is gathered anywhere.
 Histories get their backoff weights from the batches that own their n-grams (each
 distinct one has an owner), and unseen n-grams of held-out texts are settled where the
-weight of their history is.
+weight of their history is.  All n-grams of training texts are seen, so weights are made
+for the histories that some held-out text has, which requests and answers carry as a bit.
 
 Words and n-grams are told apart by 64-bit hashes.  Null texts are empty: their
 only token is the end.  Repeated rows count and score as often as they occur.
@@ -29,7 +30,7 @@ only token is the end.  Repeated rows count and score as often as they occur.
 from __future__ import annotations
 
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -76,6 +77,10 @@ def _keys(planes: np.ndarray) -> np.ndarray:
         return np.cumsum(d, dtype=np.uint64)
 
 
+def _bits(packed: np.ndarray, n: int) -> np.ndarray:
+    return np.unpackbits(packed, count=n).astype(bool)
+
+
 def _by_slot(slot: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray]:
     order = np.argsort(slot, kind="stable")
     return order, np.searchsorted(slot[order], np.arange(parts + 1))
@@ -98,30 +103,33 @@ class Batch:
 
     ``grams[j]``: ascending keys of the n-grams of ``j + 1`` words and the number of that at each token;
     ``history[j]``: the number, in ``grams[j]``, of what precedes each token; ``starts[j]``: that of a text's start.
+    ``upto``: words of the longest n-grams to make, of a model of ``order``.
     """
 
-    def __init__(self, words: np.ndarray, stream: np.ndarray, lengths: np.ndarray, train: np.ndarray, order: int):
+    def __init__(self, words: np.ndarray, stream: np.ndarray, lengths: np.ndarray, train: np.ndarray, order: int, upto: int | None = None):
         self.words, self.stream, self.lengths, self.train = words, stream, lengths, train
         self.doc = np.repeat(np.arange(len(lengths)), lengths)
         self.in_train = train[self.doc]
         first = np.cumsum(lengths) - lengths
         self.grams, self.history, self.starts = [(words, stream)], [], []
         start = np.array([START])
-        for n in range(2, order + 1):
+        for n in range(1, order):
             keys, of = self.grams[-1]
             self.starts.append(int(np.searchsorted(keys, start[0])))
             before = np.empty_like(of)
             before[1:] = of[:-1]
             before[first] = self.starts[-1]
             self.history.append(before)
+            if n == upto:
+                break
             every = _after(keys[before], words[stream])
             start = _after(start, np.array([START]))
-            kept, at = np.unique(np.concatenate([every, start]) if n < order else every, return_inverse=True)
+            kept, at = np.unique(np.concatenate([every, start]) if n + 1 < order else every, return_inverse=True)
             self.grams.append((kept, at[: len(every)].astype(np.uint32)))
 
-    def dealt(self, parts: int) -> list[tuple[np.ndarray, np.ndarray]]:
-        """For each order, its keys' numbers by partition and where the partitions' begin."""
-        return [_by_slot((keys % np.uint64(parts)).astype(np.int64), parts) for keys, _ in self.grams]
+    def dealt(self, j: int, parts: int) -> tuple[np.ndarray, np.ndarray]:
+        """The numbers of ``grams[j]`` by partition, and where each partition's begin."""
+        return _by_slot((self.grams[j][0] % np.uint64(parts)).astype(np.int64), parts)
 
     @classmethod
     def of_texts(cls, texts: list[str], train: list[bool], order: int = 1) -> Batch:
@@ -147,9 +155,9 @@ class Batch:
         return _pack(_deltas(self.words), self.stream, self.lengths, self.train)
 
     @classmethod
-    def unpacked(cls, blob: bytes, order: int) -> Batch:
+    def unpacked(cls, blob: bytes, order: int, upto: int | None = None) -> Batch:
         words, stream, lengths, train = _unpack(blob)
-        return cls(_keys(words), stream, lengths, train, order)
+        return cls(_keys(words), stream, lengths, train, order, upto)
 
 
 def discounts(n: np.ndarray) -> np.ndarray:
@@ -217,15 +225,22 @@ def katz_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
     sizes = coded.agg(F.coalesce(F.sum(F.octet_length("coded")), F.lit(0))).first()[0]
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-order * sizes // PARTITION_BYTES))
 
-    def ask(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in frames:
-            for batch, blob in zip(pdf["batch"], pdf["coded"], strict=True):
-                b = Batch.unpacked(blob, order)
-                for kind, ((keys, of), (dealt, cut)) in enumerate(zip(b.grams, b.dealt(parts), strict=True)):
+    def ask(kind: int) -> Callable:
+        def of_order(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for pdf in frames:
+                for batch, blob in zip(pdf["batch"], pdf["coded"], strict=True):
+                    b = Batch.unpacked(blob, order, kind + 1)
+                    (keys, of), (dealt, cut) = b.grams[kind], b.dealt(kind, parts)
                     count = np.bincount(of[b.in_train], minlength=len(keys))
-                    rows = [(kind, p, batch, _pack(_deltas(keys[at]), _narrow(count[at]))) for p in range(parts) if len(at := dealt[cut[p] : cut[p + 1]])]
+                    wanted = np.zeros(len(keys), dtype=bool)
+                    if kind < order - 1:
+                        wanted[b.history[kind][~b.in_train]] = True
+                    keys = keys // np.uint64(parts)  # the rest of the division is the partition
+                    rows = [(kind, p, batch, _pack(_deltas(keys[at]), _narrow(count[at]), np.packbits(wanted[at]))) for p in range(parts) if len(at := dealt[cut[p] : cut[p + 1]])]
                     yield pd.DataFrame(rows, columns=["kind", "slot", "batch", "blob"])
 
+        return of_order
+
     def total(pdf: pd.DataFrame) -> pd.DataFrame:
         """Totals of a partition's keys, back to each batch in its own order; the first batch of a key owns it."""
         pdf = pdf.sort_values("batch")
@@ -235,17 +250,22 @@ def katz_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
         sums = np.bincount(of, weights=np.concatenate([a[1] for a in asked])).astype(np.int64)
         owner = np.zeros(len(of), dtype=bool)
         owner[first] = True
+        wanted = np.zeros(len(every), dtype=bool)
+        wanted[of[np.concatenate([_bits(a[2], len(k)) for a, k in zip(asked, keys, strict=True)])]] = True
         seen = sums[sums > 0]
         of_counts = np.bincount(np.minimum(seen, LARGEST + 2), minlength=LARGEST + 3)[: LARGEST + 2]
         ends = np.cumsum([len(k) for k in keys])[:-1]
-        answers = [_pack(_narrow(t), o) for t, o in zip(np.split(sums[of], ends), np.split(owner, ends), strict=True)]
+        answers = [_pack(_narrow(t), np.packbits(o), np.packbits(w)) for t, o, w in zip(*[np.split(x, ends) for x in (sums[of], owner, wanted[of])], strict=True)]
         out = pd.DataFrame({"kind": pdf["kind"], "slot": pdf["slot"], "batch": pdf["batch"], "blob": answers})
         out["stats"] = [[int(len(seen)), int(seen.sum()), *of_counts.tolist()]] + [None] * (len(out) - 1)
         return out
 
     shape = "kind int, slot int, batch long, blob binary"
-    replies = saved(coded.select("batch", "coded").mapInPandas(trimmed(ask), shape).groupBy("kind", "slot").applyInPandas(trimmed(total), shape + ", stats array<long>"), "counts")
-    release_shuffles(spark)
+    replies = None
+    for kind in range(order):  # one after the other, so that the requests of one order lie on disk at a time
+        one = saved(coded.select("batch", "coded").mapInPandas(trimmed(ask(kind)), shape).groupBy("kind", "slot").applyInPandas(trimmed(total), shape + ", stats array<long>"), "counts")
+        replies = one if replies is None else replies.unionAll(one)
+        release_shuffles(spark)
     # A few sums for the whole model.
     totals = {
         r["kind"]: r
@@ -275,11 +295,14 @@ def katz_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
         for pdf in frames:
             for batch, doc_ids, blob, got in zip(pdf["batch"], pdf["doc_ids"], pdf["coded"], pdf["answers"], strict=True):
                 b = Batch.unpacked(blob, order)
-                counts, owner, dealt = [np.zeros(len(k)) for k, _ in b.grams], [np.zeros(len(k), dtype=bool) for k, _ in b.grams], b.dealt(parts)
+                counts = [np.zeros(len(k)) for k, _ in b.grams]
+                owner, wanted = ([np.zeros(len(k), dtype=bool) for k, _ in b.grams] for _ in range(2))
+                dealt = [b.dealt(j, parts) for j in range(order)]
                 for a in got:
                     every, cut = dealt[a["kind"]]
                     at = every[cut[a["slot"]] : cut[a["slot"] + 1]]
-                    counts[a["kind"]][at], owner[a["kind"]][at] = _unpack(a["blob"])
+                    t, o, w = _unpack(a["blob"])
+                    counts[a["kind"]][at], owner[a["kind"]][at], wanted[a["kind"]][at] = t, _bits(o, len(t)), _bits(w, len(t))
                 docs_n = len(b.lengths)
                 of_doc = lambda v: np.bincount(b.doc, weights=v, minlength=docs_n)  # noqa: E731, B023
                 c = counts[0][b.stream]
@@ -301,6 +324,7 @@ def katz_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
                     one = np.full(len(owner[j + 1]), -1)
                     one[of] = np.arange(len(of))
                     mine = one[owner[j + 1] & (counts[j + 1] > 0)]
+                    mine = mine[wanted[j][h[mine]]]
                     hm = h[mine]
                     taken = np.bincount(hm, weights=discounted(cp[mine], d[j + 1]), minlength=len(known))
                     mass = np.bincount(hm, weights=shorter[mine], minlength=len(known))
@@ -308,8 +332,7 @@ def katz_scores(docs: DataFrame, order: int = ORDER) -> DataFrame:
                     wait = np.flatnonzero(~seen & (known[h] > 0))
                     hd, times = np.unique(h[wait].astype(np.int64) * docs_n + b.doc[wait], return_counts=True)
                     told = np.flatnonzero(np.bincount(hm, minlength=len(known)))
-                    keys = b.grams[j][0]
-                    slot = (keys % np.uint64(parts)).astype(np.int64)
+                    keys, slot = b.grams[j][0] // np.uint64(parts), (b.grams[j][0] % np.uint64(parts)).astype(np.int64)
                     (t_of, t_cut), (w_of, w_cut) = _by_slot(slot[told], parts), _by_slot(slot[hd // docs_n], parts)
                     for s in np.flatnonzero(np.diff(t_cut) + np.diff(w_cut)):
                         t, w = told[t_of[t_cut[s] : t_cut[s + 1]]], w_of[w_cut[s] : w_cut[s + 1]]

@@ -231,7 +231,7 @@ def test_repeats_against_brute_force(spark, monkeypatch, hot):
 
 def test_katz_against_brute_force(spark):
     rows = awkward(random.Random(11), 60)
-    got = katz_scores(texts(docs_of(spark, rows))).collect()
+    got = katz_scores(texts(docs_of(spark, rows)), 2).collect()
     tokens = [(i, (t or "").encode().lower().split()) for i, t in rows]
     uni, bi, hist = Counter(), Counter(), Counter()
     for i, words in tokens:
