@@ -22,17 +22,28 @@ from hubloom.operators.graph import PropertyGraph
 from hubloom.operators.pair_aggregate import aggregate_membership, aggregate_pairs, lift_edges
 from hubloom.operators.runtime import saved
 from hubloom.operators.tags import TagCache, between_hops_total, hub_pairs, membership, tag_edges
+from hubloom.operators.simple_paths import simple_path_members
 from hubloom.plans.result import HubSummaryGraph
 
 
 @dataclass(frozen=True)
 class Grouping:
-    """``between`` by reachability, ``hops`` for a bound on each side, ``total`` for one on the whole path, or ``custom``."""
+    """``between`` by reachability, ``hops`` for a bound on each side, ``total`` for one on the whole path, or ``custom``.
+
+    ``simple_paths``: what lies on a path without repeated vertices, on graphs whose edges go both ways.
+    """
 
     hops: int | None = None
     mode: str = "per_side"
     edge_rule: str | None = None
     custom: Callable[[PropertyGraph, list[int]], DataFrame] | None = None
+    simple_paths: bool = False
+
+    def __post_init__(self) -> None:
+        if self.simple_paths:
+            if self.custom is not None or self.hops is not None:
+                raise ValueError("simple paths take no bound and no grouping of one's own")
+            object.__setattr__(self, "custom", simple_path_members)
 
     @property
     def rectangular(self) -> bool:

@@ -559,6 +559,9 @@ _custom = lambda s, d, *what: q.explore(g := graph(s, d, "contact_graph")).hubs(
 query("tau_vertex_custom", S.sql(*CUSTOM, final="SELECT x, y, v_grp, COUNT(*) AS n FROM mem JOIN v USING (vid) GROUP BY 1, 2, 3"))(
     lambda s, d: _custom(s, d, q.vertex_agg("count", None, ("v_grp",), "n"))["n"]
 )
+query("tau_vertex_simple_paths")(
+    lambda s, d: q.explore(g := graph(s, d, "mutual_contact", max_gap_s=180)).hubs(lambda x: hubs_of(g, 5)).between(simple_paths=True).summarize(q.vertex_agg("count", None, ("v_grp",), "n")).run().tables["n"]
+)
 query("tau_edge_custom", S.sql(*CUSTOM, final="SELECT x, y, closeness, COUNT(*) AS edges FROM emem GROUP BY 1, 2, 3"))(lambda s, d: _custom(s, d, q.edge_count_by("closeness"))["edges"])
 query("tau_distance_custom", S.sql(*CUSTOM, CUSTOM_WALK, final="SELECT x, y, MIN(d) AS distance FROM walk WHERE vid = y GROUP BY 1, 2"))(
     lambda s, d: _custom(s, d, q.structural("shortest_distance"))["shortest_distance"]

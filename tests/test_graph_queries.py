@@ -193,6 +193,45 @@ def test_no_hub_all_hubs_and_custom(spark, worked):
     assert [r["vertices"] for r in own.tables["vertices"].collect()] == [5]
 
 
+@pytest.mark.parametrize("seed", range(3))
+def test_simple_paths_against_enumeration(spark, seed):
+    rnd = random.Random(seed)
+    arcs = sorted({tuple(sorted(rnd.sample(range(12), 2))) for _ in range(13)}) + [(20, 21), (3, 3)]
+    hubs = [0, 3, 7, 11, 20, 21]
+    g = made(spark, arcs, range(12)).both_ways()
+    near = {v: {b if a == v else a for a, b in arcs if v in (a, b) and a != b} for v in [*range(12), 20, 21]}
+    want = set()
+
+    def walk(path, y):
+        if path[-1] == y:
+            want.update((path[0], y, v) for v in path)
+            return
+        for u in near[path[-1]] - set(path):
+            walk([*path, u], y)
+
+    for x, y in itertools.permutations(hubs, 2):
+        walk([x], y)
+    got = q.simple_path_members(g, hubs)
+    assert rows(got, "x", "y", "vid") == sorted(want)
+    result = q.explore(g).hubs(lambda x: hubs).between(simple_paths=True).summarize(q.vertex_count()).run()
+    counts = {(r["x"], r["y"]): r["vertices"] for r in result.tables["vertices"].collect()}
+    assert counts == {(x, y): sum(1 for a, b, _ in want if (a, b) == (x, y)) for x, y, _ in want}
+    result.validate(spark.createDataFrame(sorted(counts), "x long, y long"))
+    with pytest.raises(ValueError, match="disagree"):
+        result.validate(spark.createDataFrame([(0, 99)], "x long, y long"))
+    with pytest.raises(ValueError, match="bound"):
+        q.simple_path_members(g, hubs, local_edges=3)
+    assert q.simple_path_members(made(spark, [(1, 1)]), [1]).collect() == []
+
+
+def test_both_ways(spark):
+    g = made(spark, [(1, 2), (2, 3), (3, 2), (4, 5)]).both_ways()
+    assert rows(g.edges, "src", "tgt") == [(1, 2), (2, 1), (2, 3), (3, 2), (4, 5), (5, 4)] and not g.directed
+    tags = {r["vid"]: (r["s0"], r["r0"]) for r in tag_vertices(g, [1, 3, 5]).collect()}
+    # By walks, every vertex of a component is between all its hubs.
+    assert all(tags[v] == (0b011, 0b011) for v in (1, 2, 3)) and all(tags[v] == (0b100, 0b100) for v in (4, 5))
+
+
 def test_synthetic_graph_and_files(spark, tmp_path):
     g = graphs.synthetic_dag(spark, 300, 4).saved()
     assert g.edges.where("src >= tgt").isEmpty()
