@@ -118,10 +118,10 @@ def frequent_pretokens(docs: DataFrame, path: str, size: int = TABLE_ENTRIES) ->
 
     shape = "slot long, words array<string>, counts array<long>"
     level = docs.select("text").mapInPandas(summarise, shape)
-    while tasks > FAN_IN:
+    while tasks > 1:
         level = level.withColumn("slot", F.expr(f"slot div {FAN_IN}")).groupBy("slot").applyInPandas(merge, shape)
         tasks = -(-tasks // FAN_IN)
-    rows = level.toPandas()  # at most FAN_IN bounded summaries
+    rows = level.toPandas()  # one bounded summary
     if rows.empty:
         return []
     return list(merge(rows)["words"].iloc[0])
