@@ -164,8 +164,9 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """Smallest reachable id for each vertex of ``edges(a long, b long)``: rows ``(node, root)``.
 
     Alternating large-star / small-star contraction: both are grouped minima
-    followed by a join-free rewrite of the edge list, so a hub of any degree is
-    pre-aggregated map-side and no neighbour list is ever gathered.  Rounds stop
+    (combined map-side) joined back to the edge list.  No neighbour list is
+    gathered, but the edges of a large star share a join key: they stream through
+    a merge join, which adaptive execution splits where it is skewed.  Rounds stop
     when the edge list no longer changes (a stable star forest).  Vertices
     without an edge do not occur in the result.
     """
